@@ -5,13 +5,55 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import quality, simhash
+from . import embdedup, mixing, pieces, pii, quality, simhash, sstable, toxicity, urlfilter, warc
+
+from .common import Cut
 
 
 def _read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def _tokenizer(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op1_sstable_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sstable.round_trip(_read(spark, sf_dir, "documents"), _tokenizer("word_bpe_49k.json"), end_id=2)
+
+
+def op2_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return urlfilter.judge(_read(spark, sf_dir, "pages"))
+
+
+def op3_pii_deobfuscation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.detect(_read(spark, sf_dir, "documents"))
+
+
+def op4_toxicity_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.classify(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "labels"))
+
+
+def op6_archive_converter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.convert_pages(_read(spark, sf_dir, "pages")).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op7_sentencepiece_lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pieces.encode(_read(spark, sf_dir, "documents"), _tokenizer("piece_bpe_32k.model"))
+
+
+def op8_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embdedup.near_duplicates(_read(spark, sf_dir, "embeddings"))
+
+
+def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    weighed = mixing.weigh(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "embeddings"))
+    cut = Cut(spark)
+    return mixing.sample(cut, cut(weighed)).select("doc_id", "source", "lang", "topic", "n_tokens", "weight", "probability", "kept")
+
+
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge(_read(spark, sf_dir, "documents")).select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"
@@ -59,11 +101,62 @@ def op10_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {
-        "op5_quality_rules": op5_quality_rules,
-        "op10_simhash_near_dedup": op10_simhash_near_dedup,
-    }
+    return {f.__name__: f for f in (
+        op1_sstable_token_shards, op2_url_filter, op3_pii_deobfuscation, op4_toxicity_chain, op5_quality_rules,
+        op6_archive_converter, op7_sentencepiece_lattice, op8_embedding_near_dedup, op9_source_mixing, op10_simhash_near_dedup,
+    )}
+
+
+#: Archives: what the records say must be what the pages say.
+_OP6_SQL = """
+WITH p AS (
+  SELECT page_id, coalesce(html, '') AS html, octet_length(encode(coalesce(html, '')))::BIGINT AS payload_bytes, sha256(coalesce(html, '')) AS payload_digest FROM pages),
+g AS (SELECT payload_digest, min(page_id) AS first, count(*) AS n FROM p WHERE payload_bytes >= 100 GROUP BY 1)
+SELECT page_id, payload_bytes, payload_digest,
+       CASE WHEN n > 1 AND page_id <> first THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN n > 1 AND page_id <> first THEN first END AS refers_to
+FROM p LEFT JOIN g USING (payload_digest)
+"""
+
+#: All pairs of vectors by exact cosine; components by repeated minima.
+_OP8_SQL = """
+WITH RECURSIVE v AS (
+  SELECT vec_id, embedding::DOUBLE[] AS e, sqrt(list_sum(list_transform(embedding::DOUBLE[], lambda x: x * x))) AS n FROM embeddings),
+l AS (
+  SELECT a.vec_id AS x, b.vec_id AS y FROM v a JOIN v b ON a.vec_id <> b.vec_id AND a.n > 0 AND b.n > 0
+  WHERE list_dot_product(a.e, b.e) >= 0.9 * a.n * b.n),
+r AS (SELECT vec_id AS s, vec_id AS t FROM v UNION SELECT r.s, l.y FROM r JOIN l ON r.t = l.x)
+SELECT v.vec_id, (SELECT count(*) FROM l WHERE l.x = v.vec_id)::BIGINT AS n_links, c.m AS component_id, v.vec_id = c.m AS kept
+FROM v JOIN (SELECT s, min(t) AS m FROM r GROUP BY s) c ON c.s = v.vec_id
+"""
+
+
+def _op9_sql() -> str:
+    dims = mixing.DIMENSIONS
+    steps = ["w0 AS (SELECT c.*, tokens / (SELECT sum(tokens) FROM c) AS share, tokens / (SELECT sum(tokens) FROM c) AS raked, " + ", ".join(f"t_{d}.target AS target_{d}" for d in dims) + " FROM c " + " ".join(f"JOIN t_{d} USING ({d})" for d in dims) + ")"]
+    k = 0
+    for _ in range(mixing.ROUNDS):
+        for d in dims:
+            steps.append(f"w{k + 1} AS MATERIALIZED (SELECT * REPLACE (raked * target_{d} / sum(raked) OVER (PARTITION BY {d}) AS raked) FROM w{k})")
+            k += 1
+    targets = ",\n".join(
+        f"t_{d} AS (SELECT {d}, x / sum(x) OVER () AS target FROM (SELECT {d}, pow(sum(tokens), {mixing.TEMPERATURE}) AS x FROM c GROUP BY {d}))" for d in dims
+    )
+    return f"""
+WITH topics AS (SELECT vec_id AS doc_id, min(label)::VARCHAR AS topic FROM embeddings GROUP BY 1),
+d AS (
+  SELECT doc_id, coalesce(source, '(none)') AS source, coalesce(lang, '(none)') AS lang, coalesce(topic, '(none)') AS topic,
+         len(list_filter(string_split_regex(coalesce(text, ''), '[ \\t\\n\\x0B\\f\\r]+'), lambda w: w <> ''))::BIGINT AS n_tokens
+  FROM documents LEFT JOIN topics USING (doc_id)),
+c AS (SELECT source, lang, topic, sum(n_tokens)::DOUBLE AS tokens FROM d GROUP BY ALL HAVING sum(n_tokens) > 0),
+{targets},
+{", ".join(steps)},
+p AS (SELECT source, lang, topic, round(raked / share, 6) AS weight, round(raked / share / max(raked / share) OVER (), 6) AS probability FROM w{k})
+SELECT doc_id, source, lang, topic, n_tokens, coalesce(weight, 0.0) AS weight, coalesce(probability, 0.0) AS probability,
+       ('0x' || substr(md5(doc_id::VARCHAR || ':7'), 1, 8))::BIGINT / 4294967296.0::DOUBLE < coalesce(probability, 0.0) AS kept
+FROM d LEFT JOIN p USING (source, lang, topic)
+"""
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op5_quality_rules": _op5_sql()}
+    return {"op5_quality_rules": _op5_sql(), "op6_archive_converter": _OP6_SQL, "op8_embedding_near_dedup": _OP8_SQL, "op9_source_mixing": _op9_sql()}

@@ -103,3 +103,125 @@ def near_duplicates(docs: DataFrame, n: int = 3) -> DataFrame:
     least = cut(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
     named = cut(rooted.join(least, "root").select("fp", "component_id"))
     return fps.join(named, "fp").select("doc_id", "fp", "component_id")
+
+
+# --- near copies by similarity ------------------------------------------------------------------------------
+
+#: Words of the shingles whose similarity counts, and of the steadier ones that only find candidates.
+SHINGLE_WORDS, SEGMENT_WORDS = 5, 2
+#: Segments and their bits, of the candidate fingerprint; a lookup enumerates the ball of one bit around each.
+SEGMENTS, SEGMENT_BITS = 8, 20
+#: Bits of the fingerprint that decides, and how many may differ at the asked similarity.
+WIDE_BITS = 128
+
+
+def wide_radius(similarity: float, bits: int = WIDE_BITS) -> int:
+    """Differing bits allowed for shingle sets of that Jaccard similarity.
+
+    Equal-sized sets with Jaccard s have cosine 2s/(1+s); a bit differs with probability angle/pi. One and
+    a half standard deviations on top keep pairs at the limit itself.
+    """
+    p = np.arccos(2 * similarity / (1 + similarity)) / np.pi
+    return int(np.floor(bits * p + 1.5 * np.sqrt(bits * p * (1 - p))))
+
+
+def _mix(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    return h ^ (h >> np.uint64(32))
+
+
+def _grams(word_hashes: np.ndarray, n: int) -> np.ndarray:
+    """Distinct hashes of the n-word shingles (of the whole sequence if shorter)."""
+    n = min(n, len(word_hashes))
+    g = np.zeros(len(word_hashes) - n + 1, np.uint64)
+    for k in range(n):
+        g = _mix(g + word_hashes[k : len(word_hashes) - n + 1 + k])
+    return np.unique(g)
+
+
+def _wide(h: np.ndarray, bits: int) -> list[int]:
+    return [_majority(_mix(h + np.uint64(k * 0x632BE59BD9B4E019 & (1 << 64) - 1))) for k in range(-(-bits // 64))]
+
+
+def near_copy_prints(docs: DataFrame) -> DataFrame:
+    """(doc_id, same, wide, segments): a hash of the word sequence, the deciding fingerprint and the candidate segments."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import xxhash
+
+        digest, signed = xxhash.xxh64_intdigest, lambda x: x - (1 << 64) if x >> 63 else x
+        need = SEGMENTS * SEGMENT_BITS
+        mask = (1 << SEGMENT_BITS) - 1
+        for b in batches:
+            same, wide, segments = [], [], []
+            for t in b.column(1):
+                words = text_words(t.as_py())
+                same.append(signed(digest(b" ".join(words), SEED)))
+                h = np.fromiter((digest(w, SEED) for w in words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
+                wide.append([signed(x) for x in _wide(_grams(h, SHINGLE_WORDS), WIDE_BITS)])
+                whole = sum(x << 64 * k for k, x in enumerate(_wide(_grams(h, SEGMENT_WORDS), need)))
+                segments.append([whole >> SEGMENT_BITS * k & mask for k in range(SEGMENTS)])
+            yield pa.RecordBatch.from_arrays(
+                [b.column(0), pa.array(same, pa.int64()), pa.array(wide, pa.list_(pa.int64())), pa.array(segments, pa.list_(pa.int64()))],
+                ["doc_id", "same", "wide", "segments"],
+            )
+
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(
+        run, "doc_id long, same long, wide array<long>, segments array<long>"
+    )
+
+
+def near_copies(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
+    """(doc_id, same, component): groups of documents with equal words or similar five-word shingles.
+
+    Documents with equal word sequences collapse to one node. Nodes are looked up by multi-index hashing: each segment
+    table maps a segment's value to a few of its holders, each node fetches the ball of one bit around
+    each of its segments, and a match counts if the deciding fingerprints differ in no more bits than
+    ``wide_radius`` allows. A table keeps per value its smallest, largest and hash-first holder, so a value
+    that a whole group shares costs no more than any other and no pairs inside groups are emitted.
+    ``component`` is a number of the group (a node's hash).
+    """
+    cut = Cut(docs.sparkSession)
+    prints = cut(near_copy_prints(docs))
+    nodes = cut(prints.groupBy("same").agg(F.first("wide").alias("wide"), F.first("segments").alias("segments")))
+    key = lambda seg, k: seg + F.shiftleft(k.cast("long"), 40)
+    me = F.struct(F.col("same").alias("id"), F.get("wide", F.lit(0)).alias("w0"), F.get("wide", F.lit(1)).alias("w1"))
+    held = nodes.select(me.alias("n"), F.posexplode("segments").alias("k", "seg")).select("n", key(F.col("seg"), F.col("k")).alias("key"))
+    table = held.groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("b"), F.min_by("n", F.xxhash64("n.id", F.col("key"))).alias("c"))
+    ball = F.concat(F.array(F.lit(0).cast("long")), F.transform(F.sequence(F.lit(0), F.lit(SEGMENT_BITS - 1)), lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)))
+    asked = held.select("n", F.explode(F.transform(ball, lambda m: F.col("key").bitwiseXOR(m))).alias("key"))
+    met = asked.join(table.hint("shuffle_hash"), "key").select("n", F.explode(F.array_distinct(F.array("a", "b", "c"))).alias("m"))
+    distance = F.bit_count(F.col("n.w0").bitwiseXOR(F.col("m.w0"))) + F.bit_count(F.col("n.w1").bitwiseXOR(F.col("m.w1")))
+    edges = met.where(F.col("n.id") != F.col("m.id")).where(distance <= wide_radius(similarity)).select(F.col("n.id").alias("a"), F.col("m.id").alias("b"))
+    roots = connected_components(cut, edges.distinct())
+    grouped = cut(nodes.select("same").join(roots, nodes.same == roots.v, "left").select("same", F.coalesce("root", "same").alias("component")))
+    return prints.select("doc_id", "same").join(grouped, "same").select("doc_id", "same", "component")
+
+
+def keep_one_of_each(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
+    """One row of each group of near copies, with all columns of ``docs``: the one with the smallest doc_id.
+
+    Null identifiers come last; of rows with one identifier the one whose columns hash first stays. Rows that are equal in every
+    column are one row.
+    """
+    cut, names = Cut(docs.sparkSession), docs.columns
+    row = F.xxhash64(*[F.col(f"`{c}`") for c in names])
+    # The row's hash stands for it: the operator sees (hash, text), and doc_id comes back by the struct.
+    rows = docs.select(row.alias("doc_id"), F.col("text"), F.col("doc_id").cast("long").alias("number"))
+    numbers = cut(rows.select(F.col("doc_id").alias("row"), "number").distinct())
+    groups = near_copies(rows, similarity).select(F.col("doc_id").alias("row"), "component").distinct()
+    order = F.struct(F.col("number").isNull().alias("last"), "number", "row")
+    kept = cut(groups.join(numbers, "row").groupBy("component").agg(F.min(order).alias("o")).select(F.col("o.row").alias("_row"), F.col("o.number").alias("_number")))
+    marked = docs.withColumn("_row", row)
+    out = marked.join(kept.select("_row"), "_row", "left_semi")
+    repeated = cut(numbers_of_repeats(docs, row))
+    if repeated.isEmpty():
+        return out.select(*names)
+    once = out.join(repeated, "_row", "left_anti").select(*names)
+    return once.unionByName(out.join(repeated, "_row", "left_semi").dropDuplicates(["_row"]).select(*names))
+
+
+def numbers_of_repeats(docs: DataFrame, row) -> DataFrame:
+    """Hashes of rows that occur more than once in every column."""
+    return docs.groupBy(row.alias("_row")).count().where("count > 1").select("_row")
