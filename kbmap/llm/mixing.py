@@ -17,7 +17,7 @@ from .common import SPACE, Cut
 DIMENSIONS = ("source", "lang", "topic")
 NONE = "(none)"
 #: Target share of a value: its share of tokens to this power, normalised (1 keeps the mix, 0 makes it even).
-TEMPERATURE = 0.7
+TEMPERATURE = 0.85
 ROUNDS = 8
 
 
