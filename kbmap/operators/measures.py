@@ -83,9 +83,10 @@ def knowledge_fragment(kb: KB, seeds: set[str], depth: int) -> KB:
     classes = free({s for s in seeds if s in kb.classes})
     props = {p for p in kb.props if p.name in seeds}
     for _ in range(depth):
-        props |= {p for p in kb.props if p.range and (p.domain in classes or p.range in classes)}
+        at = frozenset(classes)
+        props |= {p for p in kb.props if p.range and (p.domain in at or p.range in at)}
         classes |= {c for p in props for c in (p.domain, p.range) if c}
-        classes |= {b for a, b in kb.subclasses if a in classes} | {a for a, b in kb.subclasses if b in classes}
+        classes |= {b for a, b in kb.subclasses if a in at} | {a for a, b in kb.subclasses if b in at}
         classes = free(classes)
     props = {p for p in props if p.domain in classes and (not p.range or p.range in classes)} | {p for p in kb.props if not p.range and p.domain in classes}
     keep = [c for c in kb.classes if c in classes]

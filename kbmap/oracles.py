@@ -162,6 +162,7 @@ def oracle_sql() -> dict[str, str]:
         "e4_counts": "WITH m AS (SELECT k, k + 1 AS o, k + 2 AS c FROM (SELECT unnest(range(1, 4)) AS k)), p AS (SELECT *, o * o + o AS po, c * c + c AS pc, o * (o - 1) + 2 * o * o AS go, c * (c - 1) + 2 * c * c AS gc FROM m) SELECT k, po * po * pc * pc * o AS baseline, o * pc * po * pc * o AS r2r, go * gc * o AS c2a, po * pc * o AS strict FROM p",
         "suggest_r2r": "SELECT * FROM (VALUES ('opendata', 'wrote/about', 'has_skill'), ('orders', '^placed_by', 'submits'), ('conversations', '^in_conv', 'has_utterance')) v(scenario, source_path, target_path)",
         "fragment_d1": "SELECT * FROM (VALUES ('class', 'Customer'), ('class', 'Supplier'), ('class', 'Nation'), ('prop', 'c_name'), ('prop', 's_name'), ('prop', 's_acctbal'), ('prop', 'n_name'), ('prop', 'supplier_in'), ('prop', 'lives_in')) v(kind, name)",
+        "fragment_d2": "SELECT * FROM (VALUES ('class', 'Customer'), ('class', 'Supplier'), ('class', 'Nation'), ('class', 'ActiveCustomer'), ('prop', 'c_name'), ('prop', 's_name'), ('prop', 's_acctbal'), ('prop', 'n_name'), ('prop', 'supplier_in'), ('prop', 'lives_in'), ('prop', 'purchased_from'), ('prop', 'returned_to')) v(kind, name)",
         "construct_scoped": f"{sparse}SELECT * FROM facts", "exchange_gold": f"{gold}SELECT * FROM facts", "construct_joint": f"{gold}SELECT * FROM facts",
         "construct_multi_renaming": f"{_facts(True, False, _LINKED + _LINKED_TYPES)}SELECT * FROM facts",
         "aligned_prop_exchange": f"{_facts(False, 'bare')}SELECT * FROM facts", "annotated_exchange": f"{_facts(False, True)}SELECT * FROM facts",
