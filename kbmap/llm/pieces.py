@@ -28,6 +28,10 @@ from pyspark.sql import functions as F
 
 from .common import DOCUMENT_COLUMNS, Cut
 
+#: Rows of a file that share a dictionary: bounds the words that a worker holds at once.
+CHUNK_ROWS = 4096
+#: Partitions of words per shuffle partition of the session.
+EXPANSION = 8
 #: Words above so many code points are folded in the worker that meets them, in time linear in their length.
 LONG_WORD = 200
 MAX_VOCABULARY = 1_000_000
@@ -153,15 +157,16 @@ def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
 
 
 def _chunked(docs: DataFrame, cut: Cut) -> DataFrame:
-    """The documents with ``chunk``, a number of the part of a file that a row comes from; tables that no file holds are written first."""
+    """The documents with ``chunk``, a number of the stretch of a file that a row comes from; tables that no file holds are written first."""
+    chunk = F.xxhash64("_metadata.file_path", F.floor(F.col("_metadata.row_index") / CHUNK_ROWS)).alias("chunk")
     columns = [F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")]
     try:
-        plain = docs.select(*columns, F.xxhash64("_metadata.file_path", "_metadata.file_block_start").alias("chunk"))
+        plain = docs.select(*columns, chunk)
         plain.schema  # noqa: B018  resolves the plan
         return plain
     except AnalysisException:
         held = cut(docs.select(*columns))
-        return held.select("doc_id", "text", F.xxhash64("_metadata.file_path", "_metadata.file_block_start").alias("chunk"))
+        return held.select("doc_id", "text", chunk)
 
 
 def _write_dictionaries(encoded: DataFrame, folder: str, pieces: Pieces) -> DataFrame:
@@ -230,12 +235,14 @@ def encode(docs: DataFrame, model: str) -> DataFrame:
             yield out()
 
     pairs = source.select("chunk", "text").mapInArrow(words_of, "word string, chunk long")
-    # One row per word with the chunks that have it: at most one number per part of a file.
-    words = pairs.repartition("word").groupBy("word").agg(F.collect_set("chunk").alias("carried"))
+    # One row per word with the chunks that have it: at most one number per chunk.
+    # A word becomes some forty substrings, so it takes more and smaller partitions to sort them in memory.
+    n = EXPANSION * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    words = pairs.repartition(n, "word").groupBy("word").agg(F.collect_set("chunk").alias("carried"))
     encoded = lattice(words, pieces).select(F.explode("carried").alias("chunk"), "word", "ids")
     listed = cut(_write_dictionaries(encoded, cut.path("words"), pieces))
     paths: dict[int, list[str]] = {}
-    for r in listed.collect():  # one row per part of a file
+    for r in listed.collect():  # one row per chunk
         paths.setdefault(r.chunk, []).append(r.path)
     where = spark.sparkContext.broadcast(paths)
 
