@@ -109,8 +109,8 @@ def near_duplicates(docs: DataFrame, n: int = 3) -> DataFrame:
 
 #: Words of the shingles whose similarity counts, and of the steadier ones that only find candidates.
 SHINGLE_WORDS, SEGMENT_WORDS = 5, 2
-#: Segments and their bits, of the candidate fingerprint; a lookup enumerates the ball of one bit around each.
-SEGMENTS, SEGMENT_BITS = 8, 20
+#: Share of bits of the candidate fingerprint that differ at the asked similarity, and pairs at it that no lookup may meet.
+SEGMENT_DIFFERENCE, MISSED = 0.09, 0.02
 #: Bits of the fingerprint that decides, and how many may differ at the asked similarity.
 WIDE_BITS = 128
 
@@ -125,6 +125,18 @@ def wide_radius(similarity: float, bits: int = WIDE_BITS) -> int:
     return int(np.floor(bits * p + 1.5 * np.sqrt(bits * p * (1 - p))))
 
 
+def segment_plan(n: int) -> tuple[int, int]:
+    """(segments, bits of each) for n documents.
+
+    Segments grow with the logarithm of n, so that a lookup meets a bounded number of strangers; their number
+    follows from the chance that two near copies differ in at most one bit of a segment.
+    """
+    bits = min(40, max(20, int(np.ceil(np.log2(max(n, 2)))) + 6))
+    d = SEGMENT_DIFFERENCE
+    near = (1 - d) ** bits + bits * d * (1 - d) ** (bits - 1)
+    return int(np.ceil(np.log(MISSED) / np.log(1 - near))), bits
+
+
 def _mix(h: np.ndarray) -> np.ndarray:
     h = (h ^ (h >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
     h = (h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -144,15 +156,14 @@ def _wide(h: np.ndarray, bits: int) -> list[int]:
     return [_majority(_mix(h + np.uint64(k * 0x632BE59BD9B4E019 & (1 << 64) - 1))) for k in range(-(-bits // 64))]
 
 
-def near_copy_prints(docs: DataFrame) -> DataFrame:
+def near_copy_prints(docs: DataFrame, n_segments: int, n_bits: int) -> DataFrame:
     """(doc_id, same, wide, segments): a hash of the word sequence, the deciding fingerprint and the candidate segments."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
         digest, signed = xxhash.xxh64_intdigest, lambda x: x - (1 << 64) if x >> 63 else x
-        need = SEGMENTS * SEGMENT_BITS
-        mask = (1 << SEGMENT_BITS) - 1
+        mask = (1 << n_bits) - 1
         for b in batches:
             same, wide, segments = [], [], []
             for t in b.column(1):
@@ -160,8 +171,8 @@ def near_copy_prints(docs: DataFrame) -> DataFrame:
                 same.append(signed(digest(b" ".join(words), SEED)))
                 h = np.fromiter((digest(w, SEED) for w in words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
                 wide.append([signed(x) for x in _wide(_grams(h, SHINGLE_WORDS), WIDE_BITS)])
-                whole = sum(x << 64 * k for k, x in enumerate(_wide(_grams(h, SEGMENT_WORDS), need)))
-                segments.append([whole >> SEGMENT_BITS * k & mask for k in range(SEGMENTS)])
+                whole = sum(x << 64 * k for k, x in enumerate(_wide(_grams(h, SEGMENT_WORDS), n_segments * n_bits)))
+                segments.append([whole >> n_bits * k & mask for k in range(n_segments)])
             yield pa.RecordBatch.from_arrays(
                 [b.column(0), pa.array(same, pa.int64()), pa.array(wide, pa.list_(pa.int64())), pa.array(segments, pa.list_(pa.int64()))],
                 ["doc_id", "same", "wide", "segments"],
@@ -183,13 +194,14 @@ def near_copies(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     ``component`` is a number of the group (a node's hash).
     """
     cut = Cut(docs.sparkSession)
-    prints = cut(near_copy_prints(docs))
+    n_segments, n_bits = segment_plan(docs.count())
+    prints = cut(near_copy_prints(docs, n_segments, n_bits))
     nodes = cut(prints.groupBy("same").agg(F.first("wide").alias("wide"), F.first("segments").alias("segments")))
     key = lambda seg, k: seg + F.shiftleft(k.cast("long"), 40)
     me = F.struct(F.col("same").alias("id"), F.get("wide", F.lit(0)).alias("w0"), F.get("wide", F.lit(1)).alias("w1"))
     held = nodes.select(me.alias("n"), F.posexplode("segments").alias("k", "seg")).select("n", key(F.col("seg"), F.col("k")).alias("key"))
     table = held.groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("b"), F.min_by("n", F.xxhash64("n.id", F.col("key"))).alias("c"))
-    ball = F.concat(F.array(F.lit(0).cast("long")), F.transform(F.sequence(F.lit(0), F.lit(SEGMENT_BITS - 1)), lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)))
+    ball = F.concat(F.array(F.lit(0).cast("long")), F.transform(F.sequence(F.lit(0), F.lit(n_bits - 1)), lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)))
     asked = held.select("n", F.explode(F.transform(ball, lambda m: F.col("key").bitwiseXOR(m))).alias("key"))
     met = asked.join(table.hint("shuffle_hash"), "key").select("n", F.explode(F.array_distinct(F.array("a", "b", "c"))).alias("m"))
     distance = F.bit_count(F.col("n.w0").bitwiseXOR(F.col("m.w0"))) + F.bit_count(F.col("n.w1").bitwiseXOR(F.col("m.w1")))
