@@ -3,7 +3,7 @@ enumeration of renamings, closed forms of the series, and plain joins for facts.
 
 from __future__ import annotations
 
-from .sources import scenarios
+from .sources import patterns, scenarios
 
 # --- schemas as inline tables ------------------------------------------------------------------------------------
 
@@ -137,7 +137,9 @@ def oracle_sql() -> dict[str, str]:
         return f"{_ALL}SELECT count(*)::BIGINT AS n FROM g WHERE {where}"
 
     gold, sparse = _facts(True), _facts(False)
-    return {
+    return patterns.SQL | {
+        "op_event_facts": "SELECT 'event/' || event_id AS s, 'type' AS p, 'iri' AS o_kind, upper(event_type[1]) || lower(event_type[2:]) AS o FROM events UNION SELECT 'event/' || event_id, 'done_by', 'iri', 'cust/' || user_id FROM events UNION SELECT 'event/' || event_id, 'amount', 'lit', CAST(CAST(value AS DECIMAL(18,2)) AS VARCHAR) FROM events WHERE value IS NOT NULL",
+        "op_events_by_day": "SELECT strftime(ts, '%Y-%m-%d') AS day, p, count(*) AS n FROM events, (VALUES ('type'), ('done_by'), ('amount')) v(p) GROUP BY 1, 2",
         "kb_profile": "SELECT * FROM (VALUES ('src', 4::BIGINT, 4::BIGINT, 4::BIGINT), ('tgt', 5, 4, 4)) v(kb, classes, attributes, object_properties)",
         "alignment_profile": "SELECT * FROM (VALUES ('c2c', 4::BIGINT), ('a2a', 4), ('r2r', 1)) v(kind, n)",
         "aligned_concepts": f"SELECT * FROM (VALUES {_values((s, c) for s in 'st' for c in _ALIGNED[s])}) v(side, concept)",

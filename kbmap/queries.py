@@ -5,14 +5,13 @@ from __future__ import annotations
 from functools import lru_cache
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .functions.paths import iri
 from .operators import assoc, baselines, interpret, measures
 from .plans.rules import Rule, exchange, to_sparql
-from .sources import scenarios
-from .sources.model import Alignment
+from .sources import patterns, scenarios
+from .streaming import incremental
 
 # --- shared pieces -----------------------------------------------------------------------------------------------
 
@@ -427,6 +426,16 @@ def op_page_titles(spark, sf_dir):
     return p.select(iri("page", "page_id").alias("s"), F.regexp_extract("html", r"<title>([^<]*)</title>", 1).alias("title"), F.regexp_extract("html", r'<html lang="([a-z]+)"', 1).alias("lang"))
 
 
+def op_event_facts(spark, sf_dir):
+    """The batch form of the streaming exchange."""
+    return incremental.event_facts(scenarios.table(spark, sf_dir, "events")).select("s", "p", "o_kind", "o")
+
+
+def op_events_by_day(spark, sf_dir):
+    facts = incremental.event_facts(scenarios.table(spark, sf_dir, "events"))
+    return incremental.counts_by_window(facts).select(F.date_format("start", "yyyy-MM-dd").alias("day"), "p", "n")
+
+
 def bench_property_to_path(spark, sf_dir):
     """One source property through an invented middle node: customer, address, country."""
     src = _sales(spark, sf_dir)
@@ -452,9 +461,10 @@ def queries() -> dict:
         skeletons_pruned_both, candidates, validity_counts, named_costs, gold_position, best_renamings, e4_counts, suggest_r2r, construct_scoped, exchange_gold, construct_joint,
         construct_per_solution, construct_multi_renaming, blank_stats, pattern_eval, simplify_profile, independent_rules, aligned_prop_exchange, annotated_exchange, facts_lost, fact_recall,
         fk_profile, shortest_assoc, overlap_dictionary, opendata_exchange, migrate_exchange, inverse_exchange, conversation_exchange, cycle_links, path_r2r_exchange, sparql_text,
-        examples_topn, op_growth, op_replies, op_fact_rollup, op_event_json, op_page_titles, bench_property_to_path, bench_flatten, bench_sink_property,
+        examples_topn, op_growth, op_replies, op_fact_rollup, op_event_facts, op_events_by_day, op_event_json, op_page_titles, bench_property_to_path, bench_flatten, bench_sink_property,
     )
     found = {f.__name__: f for f in plain}
+    found |= {f"bench_{f.__name__}": f for f in (patterns.rename_class, patterns.rename_property, patterns.hoist_property, patterns.resourcify)}
     for d in (1, 2, 3, 4):
         found[f"assoc_paths_depth{d}"] = lambda spark, sf_dir, d=d: _paths(spark, "s", d)
     found |= {
