@@ -32,9 +32,9 @@ CATEGORIES = {
 
 @dataclass(frozen=True)
 class Settings:
-    sample_rows: int = 12_000
+    sample_rows: int = 6_000
     vocabulary: int = 1000
-    folds: int = 4
+    folds: int = 3
     ridge: float = 0.5
     threshold: float = 0.5
 
@@ -71,7 +71,7 @@ def _fit(x: np.ndarray, y: np.ndarray, ridge: float) -> np.ndarray:
         hess = (x1 * (p * (1 - p))[:, None]).T @ x1 + np.diag(shrink)
         step = np.linalg.solve(hess, x1.T @ (p - y) + shrink * w)
         w -= step
-        if np.abs(step).max() < 1e-6:
+        if np.abs(step).max() < 1e-3:
             break
     return w
 
