@@ -111,18 +111,8 @@ def near_duplicates(docs: DataFrame, n: int = 3) -> DataFrame:
 SHINGLE_WORDS, SEGMENT_WORDS = 5, 2
 #: Share of bits of the candidate fingerprint that differ at the asked similarity, and pairs at it that no lookup may meet.
 SEGMENT_DIFFERENCE, MISSED = 0.09, 0.02
-#: Bits of the fingerprint that decides, and how many may differ at the asked similarity.
-WIDE_BITS = 128
-
-
-def wide_radius(similarity: float, bits: int = WIDE_BITS) -> int:
-    """Differing bits allowed for shingle sets of that Jaccard similarity.
-
-    Equal-sized sets with Jaccard s have cosine 2s/(1+s); a bit differs with probability angle/pi. One and
-    a half standard deviations on top keep pairs at the limit itself.
-    """
-    p = np.arccos(2 * similarity / (1 + similarity)) / np.pi
-    return int(np.floor(bits * p + 1.5 * np.sqrt(bits * p * (1 - p))))
+#: Words of 64 bits in the parity map that bounds a pair's difference from below before its shingles are compared.
+PARITY_WORDS = 16
 
 
 def segment_plan(n: int) -> tuple[int, int]:
@@ -156,61 +146,103 @@ def _wide(h: np.ndarray, bits: int) -> list[int]:
     return [_majority(_mix(h + np.uint64(k * 0x632BE59BD9B4E019 & (1 << 64) - 1))) for k in range(-(-bits // 64))]
 
 
+def _parity(h: np.ndarray) -> np.ndarray:
+    """Bit k is 1 if an odd number of ``h`` fall on it: two maps differ in no more bits than the sets have unshared members."""
+    count = np.bincount((h >> np.uint64(20)).astype(np.int64) % (64 * PARITY_WORDS), minlength=64 * PARITY_WORDS)
+    return np.packbits((count & 1).astype(bool), bitorder="little").view("<i8")
+
+
 def near_copy_prints(docs: DataFrame, n_segments: int, n_bits: int) -> DataFrame:
-    """(doc_id, same, wide, segments): a hash of the word sequence, the deciding fingerprint and the candidate segments."""
+    """(doc_id, same, parity, grams, segments): a hash of the word sequence, the hashed shingles with their parity map and the candidate segments.
+
+    A word sequence that a batch has met before leaves the last three null.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
         digest, signed = xxhash.xxh64_intdigest, lambda x: x - (1 << 64) if x >> 63 else x
         mask = (1 << n_bits) - 1
-        for b in batches:
-            same, wide, segments = [], [], []
-            for t in b.column(1):
-                words = text_words(t.as_py())
-                same.append(signed(digest(b" ".join(words), SEED)))
-                h = np.fromiter((digest(w, SEED) for w in words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
-                wide.append([signed(x) for x in _wide(_grams(h, SHINGLE_WORDS), WIDE_BITS)])
-                whole = sum(x << 64 * k for k, x in enumerate(_wide(_grams(h, SEGMENT_WORDS), n_segments * n_bits)))
-                segments.append([whole >> n_bits * k & mask for k in range(n_segments)])
-            yield pa.RecordBatch.from_arrays(
-                [b.column(0), pa.array(same, pa.int64()), pa.array(wide, pa.list_(pa.int64())), pa.array(segments, pa.list_(pa.int64()))],
-                ["doc_id", "same", "wide", "segments"],
-            )
+        for whole_batch in batches:
+            for b in (whole_batch.slice(k, 512) for k in range(0, whole_batch.num_rows, 512)):
+                same, parity, grams, segments, met = [], [], [], [], set()
+                for t in b.column(1):
+                    words = text_words(t.as_py())
+                    same.append(signed(digest(b" ".join(words), SEED)))
+                    if same[-1] in met:
+                        for column in (parity, grams, segments):
+                            column.append(None)
+                        continue
+                    met.add(same[-1])
+                    h = np.fromiter((digest(w, SEED) for w in words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
+                    g = _grams(h, SHINGLE_WORDS)
+                    parity.append(_parity(g))
+                    grams.append(g.view(np.int64))
+                    whole = sum(x << 64 * k for k, x in enumerate(_wide(_grams(h, SEGMENT_WORDS), n_segments * n_bits)))
+                    segments.append([whole >> n_bits * k & mask for k in range(n_segments)])
+                longs = pa.list_(pa.int64())
+                yield pa.RecordBatch.from_arrays(
+                    [b.column(0), pa.array(same, pa.int64()), pa.array(parity, longs), pa.array(grams, longs), pa.array(segments, longs)],
+                    ["doc_id", "same", "parity", "grams", "segments"],
+                )
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(
-        run, "doc_id long, same long, wide array<long>, segments array<long>"
+        run, "doc_id long, same long, parity array<long>, grams array<long>, segments array<long>"
     )
 
 
+def may_reach(a: str, b: str, similarity: float) -> Column:
+    """False only for pairs (structs with size and parity) whose sets cannot have that Jaccard similarity."""
+    differ = sum((F.bit_count(F.get(f"{a}.parity", F.lit(k)).bitwiseXOR(F.get(f"{b}.parity", F.lit(k)))) for k in range(PARITY_WORDS)), F.lit(0))
+    return differ <= (F.col(f"{a}.size") + F.col(f"{b}.size")) * ((1 - similarity) / (1 + similarity)) + 1e-6
+
+
+def similar(cut: Cut, pairs: DataFrame, prints: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose shingle sets have that Jaccard similarity, counted exactly; sets travel for these pairs only."""
+    pairs = cut(pairs)
+    asked = pairs.select(F.explode(F.array("a", "b")).alias("same")).distinct()
+    held = cut(prints.where("grams is not null").select("same", "grams").join(asked, "same", "left_semi").groupBy("same").agg(F.first("grams").alias("grams")))
+    left, right = held.toDF("a", "x"), held.toDF("b", "y")
+    shared = F.size(F.array_intersect("x", "y"))
+    both = pairs.join(left, "a").join(right, "b").select("a", "b", shared.alias("n"), (F.size("x") + F.size("y")).alias("m"))
+    out = cut(both.where(F.col("n") / (F.col("m") - F.col("n")) >= similarity).select("a", "b"))
+    cut.drop(held)
+    return out
+
+
 def near_copies(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """(doc_id, same, component): groups of documents with equal words or similar five-word shingles.
 
     Documents with equal word sequences collapse to one node. Nodes are looked up by multi-index hashing: each segment
     table maps a segment's value to a few of its holders, each node fetches the ball of one bit around
-    each of its segments, and a match counts if the deciding fingerprints differ in no more bits than
-    ``wide_radius`` allows. A table keeps per value its smallest, largest and hash-first holder, so a value
+    each of its segments, and a match counts if the Jaccard similarity of the two shingle sets is high enough.
+    A table keeps per value its smallest, largest and hash-first holder, so a value
     that a whole group shares costs no more than any other and no pairs inside groups are emitted.
     ``component`` is a number of the group (a node's hash).
     """
     cut = Cut(docs.sparkSession)
     n_segments, n_bits = segment_plan(docs.count())
     prints = cut(near_copy_prints(docs, n_segments, n_bits))
-    nodes = cut(prints.groupBy("same").agg(F.first("wide").alias("wide"), F.first("segments").alias("segments")))
+    nodes = cut(prints.where("grams is not null").groupBy("same").agg(F.first(F.size("grams")).alias("size"), F.first("parity").alias("parity"), F.first("segments").alias("segments")))
     key = lambda seg, k: seg + F.shiftleft(k.cast("long"), 40)
-    me = F.struct(F.col("same").alias("id"), F.get("wide", F.lit(0)).alias("w0"), F.get("wide", F.lit(1)).alias("w1"))
-    held = nodes.select(me.alias("n"), F.posexplode("segments").alias("k", "seg")).select("n", key(F.col("seg"), F.col("k")).alias("key"))
-    table = held.groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("b"), F.min_by("n", F.xxhash64("n.id", F.col("key"))).alias("c"))
+    held = nodes.select("same", F.posexplode("segments").alias("k", "seg")).select(F.col("same").alias("n"), key(F.col("seg"), F.col("k")).alias("key"))
+    table = held.groupBy("key").agg(F.min("n").alias("x"), F.max("n").alias("y"), F.min_by("n", F.xxhash64("n", F.col("key"))).alias("z"))
     ball = F.concat(F.array(F.lit(0).cast("long")), F.transform(F.sequence(F.lit(0), F.lit(n_bits - 1)), lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)))
     asked = held.select("n", F.explode(F.transform(ball, lambda m: F.col("key").bitwiseXOR(m))).alias("key"))
-    met = asked.join(table.hint("shuffle_hash"), "key").select("n", F.explode(F.array_distinct(F.array("a", "b", "c"))).alias("m"))
-    distance = F.bit_count(F.col("n.w0").bitwiseXOR(F.col("m.w0"))) + F.bit_count(F.col("n.w1").bitwiseXOR(F.col("m.w1")))
-    edges = met.where(F.col("n.id") != F.col("m.id")).where(distance <= wide_radius(similarity)).select(F.col("n.id").alias("a"), F.col("m.id").alias("b"))
-    roots = connected_components(cut, edges.distinct())
+    met = asked.join(table.hint("shuffle_hash"), "key").select("n", F.explode(F.array_distinct(F.array("x", "y", "z"))).alias("m")).where("n <> m")
+    pairs = cut(met.select(F.least("n", "m").alias("a"), F.greatest("n", "m").alias("b")).distinct())
+    edges = similar(cut, plausible(pairs, nodes, similarity), prints, similarity)
+    roots = connected_components(cut, edges)
     grouped = cut(nodes.select("same").join(roots, nodes.same == roots.v, "left").select("same", F.coalesce("root", "same").alias("component")))
     return prints.select("doc_id", "same").join(grouped, "same").select("doc_id", "same", "component")
 
 
+def plausible(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) that ``may_reach`` leaves, by the sizes and parity maps of ``nodes``."""
+    side = lambda name: nodes.select(F.col("same").alias(name), F.struct("size", "parity").alias(f"of_{name}"))
+    return pairs.join(side("a"), "a").join(side("b"), "b").where(may_reach("of_a", "of_b", similarity)).select("a", "b")
+
+
 def keep_one_of_each(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """One row of each group of near copies, with all columns of ``docs``: the one with the smallest doc_id.
 

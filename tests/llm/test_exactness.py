@@ -456,3 +456,18 @@ def test_near_copies_by_similarity(spark, odd):
     out = simhash.keep_one_of_each(odd)
     assert out.columns == odd.columns and sorted(str(r.doc_id) for r in out.collect()) == ["1", "3", "8", "None"]
     assert simhash.keep_one_of_each(odd.limit(0)).count() == 0
+
+
+def shingle_similarity(a: str, b: str) -> float:
+    x, y = ({" ".join(w[i : i + 5]) for i in range(len(w) - 4)} for w in (a.split(), b.split()))
+    return len(x & y) / len(x | y)
+
+
+def test_a_shared_template_links_nothing(spark):
+    rng = random.Random(10)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(5))
+    template = [word() for _ in range(140)]
+    rows = [(i, " ".join([word() for _ in range(30)] + template + [word() for _ in range(30)]), "en", "s", 1) for i in range(2000)]
+    assert 0.5 < shingle_similarity(rows[0][1], rows[1][1]) < 0.54
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(4)
+    assert simhash.keep_one_of_each(df).count() == 2000
