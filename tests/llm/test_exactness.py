@@ -471,3 +471,21 @@ def test_a_shared_template_links_nothing(spark):
     assert 0.5 < shingle_similarity(rows[0][1], rows[1][1]) < 0.54
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(4)
     assert simhash.keep_one_of_each(df).count() == 2000
+
+
+def test_block_and_append_edits_are_found(spark):
+    """Every pair at 0.8 or more by brute force, for edits that two-word fingerprints cannot tell from strangers."""
+    rng = random.Random(11)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(5))
+    rows, linked = [], 0
+    for k in range(300):
+        w, n = [word() for _ in range(300)], rng.randrange(20, 34)
+        at = rng.randrange(300 - n)
+        other = w[:at] + [word() for _ in range(n)] + w[at + n :] if k % 2 else w + [word() for _ in range(2 * n)]
+        pair = " ".join(w), " ".join(other)
+        linked += shingle_similarity(*pair) >= 0.8
+        rows += [(2 * k, pair[0]), (2 * k + 1, pair[1])]
+    want = {i // 2 for i, t in rows if i % 2 == 0 and shingle_similarity(t, rows[i + 1][1]) >= 0.8}
+    got = simhash.near_copies(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).groupBy("component").agg(F.collect_list("doc_id").alias("m")).where("size(m) > 1").collect()
+    found = {min(r.m) // 2 for r in got}
+    assert 200 < linked == len(want) and found <= want and len(found) >= 0.99 * linked, (len(found), linked)
