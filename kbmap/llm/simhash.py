@@ -114,6 +114,8 @@ SHINGLE_WORDS = 5
 BANDS, BAND_VALUES = 40, 8
 #: Words of 64 bits in the parity map that bounds a pair's difference from below before its shingles are compared.
 PARITY_WORDS = 16
+#: Holders of one band that are compared as one piece; a band with more is cut in blocks, each met by every holder.
+BLOCK = 2048
 
 
 def _mix(h: np.ndarray) -> np.ndarray:
@@ -214,19 +216,23 @@ def near_copies(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
 
     Documents with equal word sequences collapse to one node. Nodes that share a band of their MinHash signature are candidates, and
     a match counts if the Jaccard similarity of the two shingle sets is high enough.
-    A table keeps per band its smallest, largest and hash-first holder, so a value
-    that a whole group shares costs no more than any other and no pairs inside groups are emitted.
+    Every holder of a band first meets the band's smallest holder. The components of these links stand for what is
+    already joined; then all pairs of a band's holders from different components meet, so that only pairs that
+    could not change a component are left out. Crowded bands are cut in blocks.
     ``component`` is a number of the group (a node's hash).
     """
     cut = Cut(docs.sparkSession)
     prints = cut(near_copy_prints(docs))
     nodes = cut(prints.where("grams is not null").groupBy("same").agg(F.first(F.size("grams")).alias("size"), F.first("parity").alias("parity")))
     held = prints.select(F.col("same").alias("n"), F.explode("bands").alias("key"))
-    table = held.groupBy("key").agg(F.min("n").alias("x"), F.max("n").alias("y"), F.min_by("n", F.xxhash64("n", F.col("key"))).alias("z"))
-    met = held.join(table.where("x <> y"), "key").select("n", F.explode(F.array_distinct(F.array("x", "y", "z"))).alias("m")).where("n <> m")
-    pairs = cut(met.select(F.least("n", "m").alias("a"), F.greatest("n", "m").alias("b")).distinct())
+    # Bands with one holder end here.
+    least = held.groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("top")).where("a <> top").select("key", "a")
+    shared = cut(held.join(least, "key").select("key", "a", "n").distinct())
+    pairs = cut(shared.where("a <> n").select("a", F.col("n").alias("b")).distinct())
     edges = similar(cut, plausible(pairs, nodes, similarity), prints, similarity)
-    roots = connected_components(cut, edges)
+    joined = cut(nodes.join(connected_components(cut, edges).withColumnRenamed("v", "same"), "same", "left").withColumn("root", F.coalesce("root", "same")))
+    rest = similar(cut, holder_pairs(cut, shared.select("key", F.col("n").alias("same")), joined, similarity), prints, similarity)
+    roots = connected_components(cut, edges.unionByName(rest))
     grouped = cut(nodes.select("same").join(roots, nodes.same == roots.v, "left").select("same", F.coalesce("root", "same").alias("component")))
     return prints.select("doc_id", "same").join(grouped, "same").select("doc_id", "same", "component")
 
@@ -237,6 +243,21 @@ def plausible(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFram
     return pairs.join(side("a"), "a").join(side("b"), "b").where(may_reach("of_a", "of_b", similarity)).select("a", "b")
 
 
+def holder_pairs(cut: Cut, shared: DataFrame, joined: DataFrame, similarity: float) -> DataFrame:
+    """Pairs (a, b) of holders of one band (key, same) in different components that ``may_reach`` leaves.
+
+    Each holder stands in one block of its band and is met by the holders of all blocks.
+    """
+    rows = cut(shared.join(joined.select("same", "root"), "same"))
+    bands = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
+    blocks = bands.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
+    mixed = cut(rows.join(blocks, "key").join(joined.select("same", F.struct("size", "parity").alias("of")), "same"))
+    left = mixed.select("key", F.pmod(F.xxhash64("same"), F.col("blocks")).cast("int").alias("block"), F.col("same").alias("a"), F.col("root").alias("ra"), F.col("of").alias("of_a"))
+    right = mixed.select("key", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("same").alias("b"), F.col("root").alias("rb"), F.col("of").alias("of_b"))
+    met = left.join(right.hint("merge"), ["key", "block"]).where("a < b and ra <> rb").where(may_reach("of_a", "of_b", similarity))
+    return met.select("a", "b").distinct()
+
+
 def keep_one_of_each(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """One row of each group of near copies, with all columns of ``docs``: the one with the smallest doc_id.
 

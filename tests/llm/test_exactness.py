@@ -489,3 +489,31 @@ def test_block_and_append_edits_are_found(spark):
     got = simhash.near_copies(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).groupBy("component").agg(F.collect_list("doc_id").alias("m")).where("size(m) > 1").collect()
     found = {min(r.m) // 2 for r in got}
     assert 200 < linked == len(want) and found <= want and len(found) >= 0.99 * linked, (len(found), linked)
+
+
+def test_every_holder_of_a_band_is_met(spark):
+    """Pairs at 0.8 among crowds of strangers at 0.75, so that most bands of a pair are the crowd's too."""
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(5))
+    template, rows = [word() for _ in range(86)], []
+    for k in range(2000):
+        w = template + [word() for _ in range(14)]
+        rows.append((len(rows), " ".join(w)))
+        if k % 10 == 0:
+            rows.append((len(rows), " ".join(w[:-10] + [word() for _ in range(10)])))
+    pairs = [(i - 1, i) for i, t in rows if i and shingle_similarity(rows[i - 1][1], t) >= 0.8]
+    assert len(pairs) == 200
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    component = {r.doc_id: r.component for r in simhash.near_copies(df).collect()}
+    assert sum(component[a] == component[b] for a, b in pairs) >= 0.99 * len(pairs), sum(component[a] == component[b] for a, b in pairs)
+    assert len(set(component.values())) >= 2000
+
+
+def test_crowded_bands_are_cut_in_blocks(spark):
+    from kbmap.llm.common import Cut
+
+    n, parity = simhash.BLOCK + 500, [0] * simhash.PARITY_WORDS
+    joined = spark.range(n).select(F.col("id").alias("same"), (F.col("id") - F.col("id") % 1000).alias("root"), F.lit(9).alias("size"), F.lit(parity).alias("parity"))
+    shared = spark.range(n).select(F.lit(1).cast("long").alias("key"), F.col("id").alias("same"))
+    want = sum(a * b for k, a in enumerate([1000, 1000, n - 2000]) for b in [1000, 1000, n - 2000][k + 1 :])
+    assert simhash.holder_pairs(Cut(spark), shared, joined, 0.8).count() == want
