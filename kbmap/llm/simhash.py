@@ -234,7 +234,10 @@ def near_copies(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     rest = similar(cut, holder_pairs(cut, shared.select("key", F.col("n").alias("same")), joined, similarity), prints, similarity)
     roots = connected_components(cut, edges.unionByName(rest))
     grouped = cut(nodes.select("same").join(roots, nodes.same == roots.v, "left").select("same", F.coalesce("root", "same").alias("component")))
-    return prints.select("doc_id", "same").join(grouped, "same").select("doc_id", "same", "component")
+    names = cut(prints.select("doc_id", "same"))
+    for done in (prints, shared, pairs):
+        cut.drop(done)
+    return names.join(grouped, "same").select("doc_id", "same", "component")
 
 
 def plausible(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
