@@ -1,8 +1,8 @@
 """Embedding near-duplicates by product quantisation.
 
 Equal vectors collapse first. A coarse k-means, fitted on a bounded sample, cuts the distinct vectors
-into inverted lists; sub-space codebooks code the residuals. Each vector probes its nearest lists:
-look-up tables give the asymmetric distance to every coded member, members whose distance can reach the
+into inverted lists; sub-space codebooks code the residuals. Each vector probes every list that can hold a vector within the
+threshold, by bounds and not by a count: look-up tables give the asymmetric distance to every coded member, members whose distance can reach the
 threshold (the code's own error is stored, so the triangle inequality loses none of a probed list)
 are compared by exact double-precision cosine. Lists are cut in blocks of bounded size, so no task
 holds a whole list, and a block emits per vector a count and a spanning link, never its pairs.
@@ -30,7 +30,6 @@ class Settings:
     sample_rows: int = 20_000  # most rows that fit the quantisers
     list_size: int = 400  # rows a list holds on average
     max_lists: int = 4096
-    probes: int = 12
     subspaces: int = 8
     codes: int = 64
     block: int = 2048  # most members compared at once
@@ -68,6 +67,18 @@ class Quantiser:
         top = np.argpartition(d, probes - 1, axis=1)[:, :probes]
         return np.take_along_axis(top, np.take_along_axis(d, top, 1).argsort(1, kind="stable"), 1)
 
+    def reachable(self, x: np.ndarray, own: np.ndarray, reach: float, radius: np.ndarray) -> np.ndarray:
+        """Mask (row, list) of the lists that may hold a vector within ``reach`` of a row whose nearest centre is ``own``.
+
+        A member lies within its list's radius of the centre (negative for empty lists) and on its centre's side of the
+        plane half-way to the row's own centre; the row must be within ``reach`` of both bodies.
+        """
+        d = np.maximum((x * x).sum(1)[:, None] + (self.centres * self.centres).sum(1) - 2 * x @ self.centres.T, 0)
+        c = self.centres[own]
+        apart = np.sqrt(np.maximum((c * c).sum(1)[:, None] + (self.centres * self.centres).sum(1) - 2 * c @ self.centres.T, 0))
+        beyond = d - d[np.arange(len(x)), own][:, None]
+        return (radius >= 0) & (np.sqrt(d) <= reach + radius + 1e-6) & (beyond <= 2 * reach * apart + 1e-6)
+
     def code(self, x: np.ndarray, lists: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Codes of the residuals and each row's distance from what its code stands for."""
         r = x - self.centres[lists]
@@ -141,19 +152,34 @@ def near_duplicates(embeddings: DataFrame, s: Settings = Settings()) -> DataFram
                 continue
             flat = b.column(2).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
             unit = flat / np.linalg.norm(flat, axis=1, keepdims=True)
-            lists = q.near(unit, s.probes)
-            codes, error = q.code(unit, lists[:, 0])
+            own = np.concatenate([q.near(unit[a : a + 1024], 1)[:, 0] for a in range(0, len(unit), 1024)])
+            codes, error = q.code(unit, own)
+            away = np.sqrt(((unit - q.centres[own]) ** 2).sum(1))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), b.column(1), pa.array(list(unit), pa.list_(pa.float64())), pa.array(list(lists), pa.list_(pa.int64())), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(error)],
-                ["rep", "copies", "unit", "lists", "code", "error"],
+                [b.column(0), b.column(1), pa.array(list(unit), pa.list_(pa.float64())), pa.array(own, pa.int64()), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(error), pa.array(away)],
+                ["rep", "copies", "unit", "list", "code", "error", "away"],
             )
 
     same_width = reps.where(F.size("embedding") == width).select("rep", "copies", "embedding")
-    coded = cut(same_width.mapInArrow(assign, "rep long, copies long, unit array<double>, lists array<long>, code binary, error double"))
-    sizes = coded.groupBy(F.get("lists", F.lit(0)).alias("list")).count().collect()  # one row per list, at most max_lists
+    coded = cut(same_width.mapInArrow(assign, "rep long, copies long, unit array<double>, list long, code binary, error double, away double"))
+    sizes = coded.groupBy("list").agg(F.count(F.lit(1)), F.max("away")).collect()  # one row per list, at most max_lists
     blocks = spark.createDataFrame([(int(r[0]), -(-int(r[1]) // s.block)) for r in sizes], "list long, blocks int")
-    held = coded.withColumn("list", F.get("lists", F.lit(0))).join(F.broadcast(blocks), "list").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    asked = coded.select("rep", "copies", "unit", F.explode("lists").alias("list")).join(F.broadcast(blocks), "list").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    radius = np.full(len(model.value.centres), -1.0)
+    for r in sizes:
+        radius[r[0]] = r[2]
+    reach = float(np.sqrt(max(0.0, 2 - 2 * s.threshold)))
+
+    def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        q = model.value
+        for whole in batches:
+            for b in (whole.slice(k, 512) for k in range(0, whole.num_rows, 512)):
+                unit = b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
+                mask = q.reachable(unit, b.column(2).to_numpy(zero_copy_only=False), reach, radius)
+                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([np.flatnonzero(m) for m in mask], pa.list_(pa.int64()))], ["rep", "unit", "lists"])
+
+    probed = coded.select("rep", "unit", "list").mapInArrow(probe, "rep long, unit array<double>, lists array<long>")
+    held = coded.join(F.broadcast(blocks), "list").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    asked = probed.select("rep", "unit", F.explode("lists").alias("list")).join(F.broadcast(blocks), "list").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
     # Queries of a block are dealt over slices too, so that a list which many vectors probe is not one task.
     slices = asked.groupBy("list", "block").agg(F.ceil(F.count(F.lit(1)) / F.lit(4 * s.block)).cast("int").alias("slices")).collect()  # one row per block: n / block and max_lists at most
     by_block = spark.createDataFrame([tuple(r) for r in slices], "list long, block int, slices int")
@@ -167,13 +193,13 @@ def near_duplicates(embeddings: DataFrame, s: Settings = Settings()) -> DataFram
             return empty
         m_id, m_n, m_x = left["rep"].to_numpy(), left["copies"].to_numpy(), np.stack(left["unit"].to_numpy())
         codes, error = np.frombuffer(b"".join(left["code"]), np.uint8).reshape(len(left), -1), left["error"].to_numpy()
-        reach = np.sqrt(max(0.0, 2 - 2 * s.threshold)) + error + 1e-6
+        limit = reach + error + 1e-6
         q_id, q_x = right["q_rep"].to_numpy(), np.stack(right["q_unit"].to_numpy())
         ids = np.unique(np.concatenate([m_id, q_id]))
         count, edges = np.zeros(len(q_id), np.int64), []
         for a in range(0, len(q_id), 256):
             x = q_x[a : a + 256]
-            i, j = np.nonzero(q.distances(x, centre, codes) <= reach)
+            i, j = np.nonzero(q.distances(x, centre, codes) <= limit)
             if not len(i):
                 continue
             if 4 * len(i) > len(x) * len(m_id):

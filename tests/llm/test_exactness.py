@@ -517,3 +517,18 @@ def test_crowded_bands_are_cut_in_blocks(spark):
     shared = spark.range(n).select(F.lit(1).cast("long").alias("key"), F.col("id").alias("same"))
     want = sum(a * b for k, a in enumerate([1000, 1000, n - 2000]) for b in [1000, 1000, n - 2000][k + 1 :])
     assert simhash.holder_pairs(Cut(spark), shared, joined, 0.8).count() == want
+
+
+def test_embedding_links_over_many_lists(spark):
+    """Spread-out vectors over far more lists than any fixed number of probes: every link by brute force."""
+    rng = np.random.default_rng(13)
+    base = rng.normal(size=(1500, 64))
+    noise = rng.normal(size=base.shape)
+    noise -= (noise * base).sum(1, keepdims=True) / (base * base).sum(1, keepdims=True) * base
+    noise *= np.linalg.norm(base, axis=1, keepdims=True) / np.linalg.norm(noise, axis=1, keepdims=True)
+    x = np.concatenate([base, 0.905 * base + np.sqrt(1 - 0.905**2) * noise])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {r.vec_id: r.n_links for r in embdedup.near_duplicates(df, embdedup.Settings(list_size=20)).collect()}
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    want = (u @ u.T >= 0.9).sum(1) - 1
+    assert want.sum() >= 3000 and [got[i] for i in range(len(x))] == want.tolist(), (sum(got.values()), want.sum())
