@@ -42,7 +42,6 @@ RULES = (
 )
 #: Words whose presence in a host labels a URL as unwanted when no labelled table is given.
 SEED_WORDS = ("casino", "spam", "pills", "porn", "viagra", "betting", "jackpot", "replica")
-MAX_TRAIN_ROWS = 50_000
 _LOWER = ("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
 
 
@@ -79,7 +78,7 @@ def suffix_of(host: Column) -> Column:
 
 
 def features(url: Column, host: Column, path: Column) -> dict[str, Column]:
-    """Integer features by name; the entropy looks at the first 256 code points of the host, which no host name exceeds."""
+    """Integer features by name; the entropy is that of the whole host."""
     u = F.coalesce(url, F.lit(""))
     count = lambda s, p: F.regexp_count(s, F.lit(p))
     return {
@@ -91,7 +90,7 @@ def features(url: Column, host: Column, path: Column) -> dict[str, Column]:
         "digit_percent": F.round(100 * count(u, "[0-9]") / F.greatest(F.length(u), F.lit(1))).cast("int"),
         "host_digits": count(host, "[0-9]"),
         "host_hyphens": count(host, "-"),
-        "host_entropy": _entropy(F.substring(host, 1, 256)),
+        "host_entropy": _entropy(host),
         "parameters": F.when(u.contains("?"), count(u, "[?&][^=&#]+=")).otherwise(0),
         "fragment": u.contains("#").cast("int"),
         "secure": F.lower(F.substring(u, 1, 8)).eqNullSafe("https://").cast("int"),
@@ -200,8 +199,8 @@ def suffix_statistics(labelled: DataFrame) -> DataFrame:
 def judge(pages: DataFrame, labelled: DataFrame | None = None, rules=RULES, b: Boosting = Boosting()) -> DataFrame:
     """page_id, host, path, rule, verdict and the model's probability for every row of ``pages``.
 
-    ``labelled`` has url and label (1 unwanted); at most MAX_TRAIN_ROWS of its rows, chosen by hash, fit the
-    model. Without it the pages themselves are labelled by SEED_WORDS in the host, which no feature sees.
+    ``labelled`` has url and label (1 unwanted); the suffix statistics and the trees are aggregates over all of its
+    rows. Without it the pages themselves are labelled by SEED_WORDS in the host, which no feature sees.
     """
     cut = Cut(pages.sparkSession)
 
@@ -213,14 +212,12 @@ def judge(pages: DataFrame, labelled: DataFrame | None = None, rules=RULES, b: B
         source = described(pages).withColumn("label", F.col("host").rlike("|".join(SEED_WORDS)).cast("int"))
     else:
         source = described(labelled.where("label is not null"), F.col("label").cast("int").alias("label"))
-    n = max(1, (pages if labelled is None else labelled).count())
-    part = min(1.0, 0.9 * MAX_TRAIN_ROWS / n)
     names = [*features(F.lit(""), F.lit(""), F.lit("")), "suffix_rate"]
-    chosen = cut(source.where(F.pmod(F.xxhash64("url"), F.lit(1_000_000)) < F.lit(math.ceil(part * 1_000_000))).drop("url", "host", "path"))
-    suffixes = cut(suffix_statistics(chosen))
+    described_rows = cut(source.drop("url", "host", "path"))
+    suffixes = cut(suffix_statistics(described_rows))
     default = int(suffixes.agg(F.coalesce(F.round(F.avg("suffix_rate")), F.lit(0))).first()[0])
     rated = lambda df: df.join(suffixes, "suffix", "left").withColumn("suffix_rate", F.coalesce("suffix_rate", F.lit(default)))
-    model = train(cut, rated(chosen).select(*names, "label"), names, b)
+    model = train(cut, rated(described_rows).select(*names, "label"), names, b)
     rule = matched_rule(F.col("host"), F.col("path"), rules)
     return (
         rated(described(pages, F.col("page_id").cast("long").alias("page_id")))

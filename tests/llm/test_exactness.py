@@ -532,3 +532,16 @@ def test_embedding_links_over_many_lists(spark):
     u = x / np.linalg.norm(x, axis=1, keepdims=True)
     want = (u @ u.T >= 0.9).sum(1) - 1
     assert want.sum() >= 3000 and [got[i] for i in range(len(x))] == want.tolist(), (sum(got.values()), want.sum())
+
+
+def test_rare_suffixes_and_long_hosts_count_whole(spark):
+    """A suffix with few rows among many is judged by all of them, and a host by all of its characters."""
+    rare = spark.range(200).select(F.concat(F.lit("http://h"), F.col("id"), F.lit(".rare.zz/")).alias("url"), F.lit(1).alias("label"))
+    many = spark.range(1_000_000).select(F.concat(F.lit("http://h"), F.col("id"), F.lit(".common.zz/")).alias("url"), F.lit(0).alias("label"))
+    labelled = rare.unionByName(many)
+    pages = spark.createDataFrame([(i, f"http://h{i}.rare.zz/") for i in range(100)] + [(1000 + i, f"http://h{i}.common.zz/") for i in range(100)], "page_id long, url string")
+    got = urlfilter.judge(pages, labelled, (), urlfilter.Boosting(trees=1, depth=1, bins=4)).collect()
+    assert {(r.page_id < 1000, r.verdict) for r in got} == {(True, "block"), (False, "allow")}
+    host = "a" * 256 + "".join(chr(0x4E00 + k) for k in range(64))
+    entropy = urlfilter.features(F.lit("http://" + host), F.lit(host), F.lit(""))["host_entropy"]
+    assert spark.range(1).select(entropy.alias("e")).first().e > 0
