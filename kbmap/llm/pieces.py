@@ -1,22 +1,29 @@
 """SentencePiece encoding as a relational lattice, and decoding.
 
 A piece never holds a space after another character, so a text falls into words (a run of spaces and
-what follows) that are encoded apart. Every different word of a chunk of the input goes through the lattice
-once: its substrings of bounded length are exploded and joined to the piece table, the matches (edges)
-are grouped by word, and a fold over the edges in order of their ends keeps the best way to each position.
-The pieces of each chunk's words are then written beside the other data, and the chunk's texts look them up, so no text is
-shuffled and no dictionary of the whole corpus is broadcast.
+what follows) that are encoded apart. Every different word goes through the lattice once: its substrings of
+bounded length are exploded and joined to the piece table, the matches (edges) are grouped by word, and a fold
+over the edges in order of their ends keeps the best way to each position. A file's texts fall into stretches of
+rows with a bounded number of different words; the pieces of each stretch's words are written as one file
+in the scratch folder, and the texts look them up there, so no text is shuffled and nothing that grows with the corpus is
+broadcast or collected. Words that many sampled rows have are encoded first and broadcast (at most ``HEAD_WORDS``); they
+needn't travel with every stretch. What the sample holds changes no result. A word that
+neither table has is an error, never encoded in another way.
 
 Scores add up as those of a unigram model, as the sentencepiece library does when it is given the same pieces as a
 unigram model; of equal ways the one whose last piece is longest wins. Characters without a piece become
 byte pieces. Null and empty texts have no pieces. Decoding gives the text back; a literal U+2581 comes
-back as a space.
+back as a space. Repeated rows give a row each; an empty table gives an empty result. A word above ``LONG_WORD`` code points is cut
+where no piece spans two neighbours, which every way passes; only a run above that bound without any such place is folded
+by the worker that meets it, in time linear in its length.
 """
 
 from __future__ import annotations
 
+import bisect
 import re
 import zlib
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -26,15 +33,21 @@ from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import DOCUMENT_COLUMNS, Cut
+from .common import Cut
 
-#: Rows of a file that share a dictionary: bounds the words that a worker holds at once.
-CHUNK_ROWS = 4096
+#: Different words after which a stretch of rows ends: bounds what a worker holds at once.
+STRETCH_WORDS = 600_000
+#: Most words in the broadcast table, the files they are sampled from, and the share (one in so many) of these files' rows.
+HEAD_WORDS, HEAD_FILES, HEAD_SHARE = 200_000, 32, 16
 #: Partitions of words per shuffle partition of the session.
 EXPANSION = 8
-#: Words above so many code points are folded in the worker that meets them, in time linear in their length.
-LONG_WORD = 200
+#: Words that a task groups in memory before it falls back to sorting.
+GROUPED_WORDS = 20_000
+#: Words above so many code points are cut at places that every way passes.
+LONG_WORD = 1000
 MAX_VOCABULARY = 1_000_000
+#: Ids decoded at once, and ids or rows after which a batch is handed on.
+SLICE, BATCH_IDS, BATCH_ROWS = 1 << 18, 1 << 20, 1000
 _SPACE = "▁"
 
 
@@ -75,9 +88,12 @@ class Pieces:
     def longest(self) -> int:
         return max(map(len, self.table))
 
+    def hard(self) -> str:
+        return "".join(c for c in "\n\t\r" if not any(c in p for p in self.table))
+
     def splitter(self) -> re.Pattern:
         """Matches one word after the other; characters that no piece holds stand alone where they are line or tab characters."""
-        hard = "".join(c for c in "\n\t\r" if not any(c in p for p in self.table))
+        hard = self.hard()
         alone = f"|[{re.escape(hard)}]" if hard else ""
         return re.compile(rf" +[^ {re.escape(hard)}]*|[^ {re.escape(hard)}]+{alone}")
 
@@ -109,6 +125,32 @@ class Pieces:
             at = -best[at][1]
         return ids[::-1]
 
+    def cutter(self):
+        """A function that cuts a long word at every place that no piece spans."""
+        pairs = {p[k : k + 2] for p in self.table for k in range(len(p) - 1)}
+
+        def cut(word: str) -> list[str]:
+            places = [k for k in range(1, len(word)) if word[k - 1 : k + 1] not in pairs]
+            return [word[a:b] for a, b in zip([0, *places], [*places, len(word)])]
+
+        return cut
+
+    def decoder(self):
+        """A function from an array of ids to the bytes they stand for, gathered in slices of bounded size."""
+        sizes = np.array([len(b) for b in self.as_bytes], np.int64)
+        starts, blob = sizes.cumsum() - sizes, np.frombuffer(b"".join(self.as_bytes), np.uint8)
+
+        def back(ids: np.ndarray) -> bytes:
+            out = []
+            for k in range(0, len(ids), SLICE):
+                part = ids[k : k + SLICE]
+                n = sizes[part]
+                ends = n.cumsum()
+                out.append(blob[np.repeat(starts[part] - ends + n, n) + np.arange(ends[-1])].tobytes())
+            return b"".join(out)
+
+        return back
+
     def decode(self, ids) -> str:
         back = self.as_bytes
         text = b"".join([back[i] for i in ids]).decode("utf-8", "replace")
@@ -119,21 +161,59 @@ def split_words(text: str | None, splitter: re.Pattern) -> list[str]:
     return splitter.findall(" " + text.replace(_SPACE, " ")) if text else []
 
 
+def is_spaced(word: str) -> bool:
+    """Whether a word is exactly one space and something behind it."""
+    return word[:1] == " " and word[1:2] not in ("", " ")
+
+
+def word_runs(pieces: Pieces):
+    """A function from a text to runs (spaced, words) in order; words of a spaced run stand without their one leading space.
+
+    Gives what ``split_words`` gives; plain lines are cut by ``str.split``, others by the pattern.
+    """
+    splitter, hard = pieces.splitter(), pieces.hard()
+    odd = [c for c in hard if c != "\n"]
+
+    def runs(text: str | None) -> list[tuple[bool, list[str]]]:
+        if not text:
+            return []
+        text = " " + text.replace(_SPACE, " ")
+        if "\n" not in hard:
+            return [(False, splitter.findall(text))]
+        out = []
+        for k, line in enumerate(text.split("\n")):
+            if k:
+                out.append((False, ["\n"]))
+            if not line:
+                continue
+            if "  " in line or line[-1] == " " or any(c in line for c in odd):
+                out.append((False, splitter.findall(line)))
+            else:
+                first, *rest = line.split(" ")
+                if first:
+                    out.append((False, [first]))
+                if rest:
+                    out.append((True, rest))
+        return out
+
+    return runs
+
+
 def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
-    """(word, carried, ids) from (word, carried), which must be distinct and partitioned by word: no further shuffle.
+    """(word, ids) from (word), which must be distinct and partitioned by word: no further shuffle.
 
     ``ids`` has the piece numbers; -1 - c stands for the character c that has no piece.
     """
     spark = words.sparkSession
     table = spark.createDataFrame([(p, i, s) for p, (i, s) in pieces.table.items()], "sub string, id int, score double")
-    ends = words.select("word", "carried", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("j"))
-    spans = ends.select("word", "carried", "j", F.explode(F.sequence(F.greatest(F.col("j") - pieces.longest, F.lit(0)), F.col("j") - 1)).alias("i"))
+    ends = words.select("word", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("j"))
+    spans = ends.select("word", "j", F.explode(F.sequence(F.greatest(F.col("j") - pieces.longest, F.lit(0)), F.col("j") - 1)).alias("i"))
     subs = spans.withColumn("sub", F.substring("word", F.col("i") + 1, F.col("j") - F.col("i")))
     edges = subs.join(F.broadcast(table), "sub", "left").where("id is not null or j - i = 1")  # at most MAX_VOCABULARY rows
     edge = F.struct(
         "j", "i", F.coalesce("score", F.lit(pieces.unknown_score)).alias("s"), F.coalesce("id", -1 - F.ascii("sub")).alias("p")
     )
-    grouped = edges.groupBy("word").agg(F.first("carried").alias("carried"), F.array_sort(F.collect_list(edge)).alias("e"))
+    grouped = edges.groupBy("word").agg(F.sort_array(F.collect_list(edge)).alias("e"))
     start = F.expr("named_struct('a', array(named_struct('s', 0D, 'i', 0, 'p', 0)), 'c', named_struct('s', double('-infinity'), 'i', 0, 'p', 0))")
 
     def step(t, e):
@@ -143,7 +223,7 @@ def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
             F.struct(t.a.alias("a"), F.greatest(t.c, way).alias("c"))
         )
 
-    best = grouped.select("word", "carried", F.aggregate("e", start, step, lambda t: F.concat(t.a, F.array(t.c))).alias("best"))
+    best = grouped.select("word", F.aggregate("e", start, step, lambda t: F.concat(t.a, F.array(t.c))).alias("best"))
     none = F.array().cast("array<int>")
 
     def back(t, k):
@@ -153,24 +233,96 @@ def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
     walk = F.aggregate(
         F.sequence(F.length("word"), F.lit(1), F.lit(-1)), F.struct(F.length("word").alias("at"), none.alias("ids")), back, lambda t: t.ids
     )
-    return best.select("word", "carried", walk.alias("ids"))
+    return best.select("word", walk.alias("ids"))
+
+
+def pack_lists(lists: pa.ListArray, pieces: Pieces) -> pa.Array:
+    """Lists of ids as bytes: an unsigned number of the model's width each."""
+    flat = lists.flatten().to_numpy(zero_copy_only=False)
+    if len(flat) and flat.min() < 0:
+        return pa.array([pieces.pack(x) for x in lists.to_pylist()], pa.binary())
+    sizes = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    ends = np.concatenate([[0], sizes.cumsum()]).astype(np.int32) * np.int32(pieces.width)
+    return pa.Array.from_buffers(pa.binary(), len(lists), [None, pa.py_buffer(ends.tobytes()), pa.py_buffer(flat.astype(f"<u{pieces.width}").tobytes())])
 
 
-def _chunked(docs: DataFrame, cut: Cut) -> DataFrame:
-    """The documents with ``chunk``, a number of the stretch of a file that a row comes from; tables that no file holds are written first."""
-    chunk = F.xxhash64("_metadata.file_path", F.floor(F.col("_metadata.row_index") / CHUNK_ROWS)).alias("chunk")
+def _located(docs: DataFrame, cut: Cut) -> DataFrame:
+    """doc_id, text, the path and number of the file that a row comes from, and its place there; tables that no file holds are written first."""
     columns = [F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")]
+    place = [F.col("_metadata.file_path").alias("path"), F.xxhash64("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row")]
     try:
-        plain = docs.select(*columns, chunk)
+        plain = docs.select(*columns, *place)
         plain.schema  # noqa: B018  resolves the plan
         return plain
     except AnalysisException:
-        held = cut(docs.select(*columns))
-        return held.select("doc_id", "text", chunk)
+        return cut(docs.select(*columns)).select("doc_id", "text", *place)
 
 
-def _write_dictionaries(encoded: DataFrame, folder: str, pieces: Pieces) -> DataFrame:
-    """A file per chunk with the words and packed ids of that chunk; returns (chunk, path) of those of the tasks that count."""
+def frequent_words(source: DataFrame, shared, size: int) -> DataFrame:
+    """(word): the words that most sampled rows have, at most ``size``; a bounded number of files is sampled."""
+    files = sorted(source.inputFiles())
+    chosen = files[:: max(1, -(-len(files) // HEAD_FILES))]
+    rows = source.where(F.col("path").isin(chosen) & (F.col("row") % HEAD_SHARE == 0)).select("text")
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        runs = word_runs(shared.value)
+        for b in batches:
+            found: Counter = Counter()
+            for text in b.column(0):
+                met = set()
+                for spaced, words in runs(text.as_py()):
+                    met.update([f" {w}" for w in words] if spaced else words)
+                found.update(w for w in met if len(w) <= LONG_WORD)
+            yield pa.RecordBatch.from_arrays([pa.array(found.keys(), pa.string()), pa.array(found.values(), pa.int64())], ["word", "n"])
+
+    counted = rows.mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).where("n > 1")
+    return counted.orderBy(F.desc("n"), "word").limit(size).select("word")
+
+
+def _stretch_words(shared, head):
+    """For mapInArrow over (file, row, text): the words of each stretch that the broadcast table lacks, with the stretch."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pieces = shared.value
+        runs, cut_long = word_runs(pieces), pieces.cutter()
+        known_spaced, known_plain = set(head.value[0]), set(head.value[1])
+        spaced_words, plain_words, at, first, last = set(), set(), None, 0, 0
+
+        def out():
+            rest = (spaced_words.difference(known_spaced), plain_words.difference(known_plain))
+            words = {w for w in rest[1] if len(w) <= LONG_WORD}
+            words.update(f" {w}" for w in rest[0] if len(w) < LONG_WORD)
+            for w in [*(w for w in rest[1] if len(w) > LONG_WORD), *(f" {w}" for w in rest[0] if len(w) >= LONG_WORD)]:
+                words.update(x for x in cut_long(w) if len(x) <= LONG_WORD and x not in known_plain and not (x[0] == " " and x[1:] in known_spaced))
+            found = sorted(words)
+            # A stretch with nothing of its own still has a table: its absence would be an error.
+            found = found or [" "]
+            for k in range(0, len(found), 50_000):
+                part = found[k : k + 50_000]
+                n = len(part)
+                yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([at] * n, pa.int64()), pa.array([first << 32 | last - first] * n, pa.int64())], ["word", "file", "span"])
+
+        for b in batches:
+            for file, row, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
+                if at is not None and (file != at or row != last + 1 or len(spaced_words) + len(plain_words) > STRETCH_WORDS):
+                    yield from out()
+                    spaced_words, plain_words, at = set(), set(), None
+                if at is None:
+                    at, first = file, row
+                last = row
+                for spaced, words in runs(text.as_py()):
+                    (spaced_words if spaced else plain_words).update(words)
+        if at is not None:
+            yield from out()
+
+    return run
+
+
+def _write_dictionaries(rows: DataFrame, folder: str, shared) -> int:
+    """A file per stretch with its words and packed ids, under its file's number and named after its rows; returns how many.
+
+    A file gets its name when it is whole, and every attempt writes the same, so retries and copies of a task do no harm.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import uuid
@@ -178,114 +330,156 @@ def _write_dictionaries(encoded: DataFrame, folder: str, pieces: Pieces) -> Data
         from pyarrow import fs
 
         schema = pa.schema([("word", pa.string()), ("ids", pa.binary())])
-        at = sink = writer = path = None
-        done: list[tuple[int, str]] = []
+        at = sink = writer = system = name = None
+        done = 0
+
+        def close():
+            writer.close()
+            sink.close()
+            target = f"{name.rpartition('/')[0]}/{at[1] >> 32}-{(at[1] >> 32) + (at[1] & 0xFFFFFFFF)}.arrow"
+            try:
+                system.move(name, target)
+            except OSError:
+                if system.get_file_info(target).type != fs.FileType.File:
+                    raise
+
         for b in batches:
-            chunks = b.column(0).to_numpy(zero_copy_only=False)
-            cuts = [0, *(np.flatnonzero(np.diff(chunks)) + 1).tolist(), len(chunks)]
+            files, spans = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy(zero_copy_only=False)
+            cuts = [0, *(np.flatnonzero((np.diff(files) != 0) | (np.diff(spans) != 0)) + 1).tolist(), len(files)]
             for x, y in zip(cuts, cuts[1:]):
                 if x == y:
                     continue
-                if writer is None or chunks[x] != at:
-                    if writer is not None:
-                        writer.close()
-                        sink.close()
-                    at, path = int(chunks[x]), f"{folder}/{uuid.uuid4().hex}.arrow"
-                    done.append((at, path))
-                    system, name = fs.FileSystem.from_uri(path)
+                if (int(files[x]), int(spans[x])) != at:
+                    if at is not None:
+                        close()
+                    at, done = (int(files[x]), int(spans[x])), done + 1
+                    system, name = fs.FileSystem.from_uri(f"{folder}/{at[0] & (1 << 64) - 1:016x}/{uuid.uuid4().hex}.part")
                     system.create_dir(name.rpartition("/")[0], recursive=True)
                     sink = system.open_output_stream(name)
                     writer = pa.ipc.new_stream(sink, schema, options=pa.ipc.IpcWriteOptions(compression="zstd"))
                 part = b.slice(x, y - x)
-                packed = [pieces.pack(i) for i in part.column(2).to_pylist()]
-                writer.write_batch(pa.RecordBatch.from_arrays([part.column(1).cast(pa.string()), pa.array(packed, pa.binary())], schema=schema))
-        if writer is not None:
-            writer.close()
-            sink.close()
-        if done:
-            yield pa.RecordBatch.from_arrays([pa.array([c for c, _ in done], pa.int64()), pa.array([p for _, p in done])], ["chunk", "path"])
+                writer.write_batch(pa.RecordBatch.from_arrays([part.column(2).cast(pa.string()), pack_lists(part.column(3), shared.value)], schema=schema))
+        if at is not None:
+            close()
+        yield pa.RecordBatch.from_arrays([pa.array([done], pa.int64())], ["n"])
 
-    return encoded.repartition("chunk").sortWithinPartitions("chunk").select("chunk", "word", "ids").mapInArrow(run, "chunk long, path string")
+    dealt = rows.repartition("file", "span").sortWithinPartitions("file", "span").select("file", "span", "word", "ids")
+    return dealt.mapInArrow(run, "n long").agg(F.coalesce(F.sum("n"), F.lit(0))).collect()[0][0]
 
 
-def encode(docs: DataFrame, model: str) -> DataFrame:
-    """(doc_id, ids, n_pieces, ids_crc32, round_trip): one row per row of ``docs``.
+class Stretches:
+    """Tables of the stretches of one file after the other, read as rows ask for them."""
 
-    ``round_trip`` says that decoding the ids gives the text back, but for literal U+2581.
-    """
-    spark: SparkSession = docs.sparkSession
-    cut, pieces = Cut(spark), Pieces.load(model)
-    shared = spark.sparkContext.broadcast(pieces)  # bounded by MAX_VOCABULARY
-    source = _chunked(docs, cut)
+    def __init__(self, folder: str, head: tuple[dict, dict]):
+        self.folder, self.head, self.file, self.last, self.spaced, self.plain = folder, head, None, -1, {}, {}
 
-    def words_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        splitter, seen, at = shared.value.splitter(), set(), None
+    def turn_to(self, file: int, row: int) -> None:
+        if file == self.file and self.first <= row <= self.last:
+            return
+        from pyarrow import fs
+
+        if file != self.file:
+            self.system, self.at = fs.FileSystem.from_uri(f"{self.folder}/{file & (1 << 64) - 1:016x}")
+            names = [i.base_name for i in self.system.get_file_info(fs.FileSelector(self.at)) if i.base_name.endswith(".arrow")]
+            self.spans = sorted((*map(int, n[: -len(".arrow")].split("-")), n) for n in names)
+        k = bisect.bisect(self.spans, (row, float("inf"))) - 1
+        if k < 0 or not self.spans[k][0] <= row <= self.spans[k][1]:
+            raise LookupError(f"no table of words for row {row} of file {file}")
+        self.file, (self.first, self.last, name) = file, self.spans[k]
+        self.spaced, self.plain = dict(self.head[0]), dict(self.head[1])
+        with self.system.open_input_file(f"{self.at}/{name}") as f:
+            for batch in pa.ipc.open_stream(f):
+                words, ids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+                self.spaced.update((w[1:], i) for w, i in zip(words, ids) if is_spaced(w))
+                self.plain.update((w, i) for w, i in zip(words, ids) if not is_spaced(w))
+
+
+def _apply(shared, head, folder: str):
+    """For mapInArrow over (file, row, doc_id, text): ids, their number and checksum, and whether decoding gives the text back."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        p, tables = shared.value, Stretches(folder, head.value)
+        runs, cut_long, back, kind = word_runs(p), p.cutter(), p.decoder(), f"<u{p.width}"
+        doc_ids, parts, trips, held = [], [], [], 0
+
+        def plain(w: str) -> bytes:
+            ids = tables.spaced.get(w[1:]) if is_spaced(w) else tables.plain.get(w)
+            if ids is not None:
+                return ids
+            if len(w) <= LONG_WORD:
+                raise LookupError("a word is missing from its stretch's table")
+            segments = cut_long(w)
+            return p.pack(p.fold(w)) if len(segments) == 1 else b"".join(map(plain, segments))
 
         def out():
-            return pa.RecordBatch.from_arrays([pa.array(sorted(seen), pa.string()), pa.array([at] * len(seen), pa.int64())], ["word", "chunk"])
+            sizes = np.array([len(x) // p.width for x in parts], np.int64)
+            flat, ends = np.frombuffer(b"".join(parts), kind), np.concatenate([[0], sizes.cumsum()]).astype(np.int32)
+            wide = flat.astype("<u4")
+            crc = [zlib.crc32(wide[a:b]) for a, b in zip(ends, ends[1:])]
+            return pa.RecordBatch.from_arrays(
+                [pa.array(doc_ids, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(wide.view(np.int32))), pa.array(sizes), pa.array(crc, pa.int64()), pa.array(trips, pa.bool_())],
+                ["doc_id", "ids", "n_pieces", "ids_crc32", "round_trip"],
+            )
 
         for b in batches:
-            for chunk, text in zip(b.column(0).to_pylist(), b.column(1)):
-                if chunk != at or len(seen) > 500_000:
-                    if seen:
-                        yield out()
-                    seen, at = set(), chunk
-                seen.update(w for w in split_words(text.as_py(), splitter) if len(w) <= LONG_WORD)
-        if seen:
+            for file, row, doc_id, value in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(3)):
+                text, ways = value.as_py() or "", []
+                if text:
+                    tables.turn_to(file, row)
+                    for spaced, words in runs(text):
+                        got = list(map((tables.spaced if spaced else tables.plain).get, words))
+                        if None in got:
+                            got = [x if x is not None else plain(f" {w}" if spaced else w) for x, w in zip(got, words)]
+                        ways += got
+                ids = b"".join(ways)
+                doc_ids.append(doc_id)
+                parts.append(ids)
+                trips.append(back(np.frombuffer(ids, kind)) == ((" " + text.replace(_SPACE, " ")).encode("utf-8", "surrogatepass") if text else b""))
+                held += len(ids)
+                if held > p.width * BATCH_IDS or len(parts) >= BATCH_ROWS:
+                    yield out()
+                    doc_ids, parts, trips, held = [], [], [], 0
+        if parts:
             yield out()
 
-    pairs = source.select("chunk", "text").mapInArrow(words_of, "word string, chunk long")
-    # One row per word with the chunks that have it: at most one number per chunk.
-    # A word becomes some forty substrings, so it takes more and smaller partitions to sort them in memory.
-    n = EXPANSION * int(spark.conf.get("spark.sql.shuffle.partitions"))
-    words = pairs.repartition(n, "word").groupBy("word").agg(F.collect_set("chunk").alias("carried"))
-    encoded = lattice(words, pieces).select(F.explode("carried").alias("chunk"), "word", "ids")
-    listed = cut(_write_dictionaries(encoded, cut.path("words"), pieces))
-    paths: dict[int, list[str]] = {}
-    for r in listed.collect():  # one row per chunk
-        paths.setdefault(r.chunk, []).append(r.path)
-    where = spark.sparkContext.broadcast(paths)
-
-    def apply(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyarrow import fs
+    return run
 
-        p, at, known = shared.value, None, {}
-        splitter = p.splitter()
-        kind = f"<u{p.width}"
-        for b in batches:
-            for k in range(0, b.num_rows, 1000):
-                part = b.slice(k, min(1000, b.num_rows - k))
-                packed, trips = [], []
-                for chunk, text in zip(part.column(0).to_pylist(), part.column(2)):
-                    if chunk != at:
-                        at, known = chunk, {}
-                        for path in where.value.get(chunk, ()):
-                            system, name = fs.FileSystem.from_uri(path)
-                            with system.open_input_file(name) as f:
-                                for batch in pa.ipc.open_stream(f):
-                                    known.update(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
-                    text = text.as_py() or ""
-                    ways = []
-                    for w in split_words(text, splitter):
-                        ids = known.get(w)
-                        if ids is None:
-                            ids = p.pack(p.fold(w))
-                            if len(w) <= LONG_WORD:
-                                known[w] = ids
-                        ways.append(ids)
-                    ids = b"".join(ways)
-                    packed.append(ids)
-                    trips.append(p.decode(np.frombuffer(ids, kind).tolist()) == text.replace(_SPACE, " "))
-                sizes = np.array([len(x) // p.width for x in packed], np.int32)
-                flat = np.frombuffer(b"".join(packed), kind).astype(np.int32)
-                ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], sizes.cumsum()]).astype(np.int32)), pa.array(flat))
-                crc = [zlib.crc32(np.frombuffer(x, kind).astype("<u4").tobytes()) for x in packed]
-                yield pa.RecordBatch.from_arrays(
-                    [part.column(1), ids, pa.array(sizes.astype(np.int64)), pa.array(crc, pa.int64()), pa.array(trips, pa.bool_())],
-                    ["doc_id", "ids", "n_pieces", "ids_crc32", "round_trip"],
-                )
-
-    return source.select("chunk", "doc_id", "text").mapInArrow(apply, "doc_id long, ids array<int>, n_pieces long, ids_crc32 long, round_trip boolean")
+
+def _table_of(rows, pieces: Pieces) -> tuple[dict, dict]:
+    """Words with exactly one leading space, without it, and the others, each with its packed ids."""
+    spaced = {r.word[1:]: pieces.pack(r.ids) for r in rows if is_spaced(r.word)}
+    return spaced, {r.word: pieces.pack(r.ids) for r in rows if not is_spaced(r.word)}
+
+
+def encode(docs: DataFrame, model: str) -> DataFrame:
+    """(doc_id, ids, n_pieces, ids_crc32, round_trip): one row per row of ``docs``.
+
+    ``round_trip`` says that decoding the ids gives the text back, but for literal U+2581.
+    """
+    spark: SparkSession = docs.sparkSession
+    cut, pieces = Cut(spark), Pieces.load(model)
+    shared = spark.sparkContext.broadcast(pieces)  # bounded by MAX_VOCABULARY
+    source = _located(docs, cut)
+    # A word becomes some sixty substrings, so it takes more and smaller partitions to group them in memory.
+    n = EXPANSION * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    threshold = "spark.sql.objectHashAggregate.sortBased.fallbackThreshold"
+    before = spark.conf.get(threshold)
+    spark.conf.set(threshold, str(GROUPED_WORDS))
+    try:
+        frequent = cut(frequent_words(source, shared, HEAD_WORDS))
+        head = spark.sparkContext.broadcast(_table_of(lattice(frequent.repartition(n, "word"), pieces).collect(), pieces))  # HEAD_WORDS at most
+        pairs = source.select("file", "row", "text").mapInArrow(_stretch_words(shared, head), "word string, file long, span long").where("word is not null")
+        dealt = pairs.repartition(n, "word")
+        # The condition keeps all columns of this branch, so that both read one exchange.
+        words = dealt.groupBy("word").agg(F.max("file").alias("f"), F.max("span").alias("s")).where("f is not null and s is not null").select("word")
+        encoded = lattice(words, pieces)
+        rows = dealt.join(encoded.hint("shuffle_hash"), "word").select("file", "span", "word", "ids")
+        folder = cut.path("words")
+        _write_dictionaries(rows, folder, shared)
+    finally:
+        spark.conf.set(threshold, before)
+    placed = source.select("file", "row", "doc_id", "text")
+    return placed.mapInArrow(_apply(shared, head, folder), "doc_id long, ids array<int>, n_pieces long, ids_crc32 long, round_trip boolean")
 
 
 def decode(encoded: DataFrame, model: str) -> DataFrame:

@@ -330,12 +330,44 @@ def test_lattice_equals_brute_force(spark):
         return max(s for s, _ in ways(0))
 
     score = {v[0]: v[1] for v in table.table.values()}
-    df = spark.createDataFrame([(w, [1]) for w in words], "word string, carried array<int>").repartition("word")
+    df = spark.createDataFrame([(w,) for w in words], "word string").repartition("word")
     for r in pieces.lattice(df, table).collect():
         assert sum(score.get(i, table.unknown_score) for i in r.ids) == pytest.approx(brute(r.word))
         assert r.ids == table.fold(r.word)
 
 
+def test_word_runs_equal_the_pattern():
+    table = pieces.Pieces.load(tokenizers_files.path("piece_bpe_32k.model"))
+    runs, splitter, rng = pieces.word_runs(table), table.splitter(), random.Random(8)
+    for _ in range(3000):
+        text = "".join(rng.choice(["a", "b.", " ", "  ", "\n", "\t", "\r", "é", "\u2581", "word "]) for _ in range(rng.randrange(12)))
+        assert [f" {w}" if spaced else w for spaced, words in runs(text) for w in words] == pieces.split_words(text, splitter)
+
+
+def test_every_word_comes_from_the_lattice(spark, monkeypatch, tmp_path):
+    """Without the reference fold nothing changes: long words are cut at places that no piece spans; many stretches and files; no broadcast words."""
+    path = tokenizers_files.path("piece_bpe_32k.model")
+    table = pieces.Pieces.load(path)
+    rng = random.Random(5)
+    word = lambda n: "".join(rng.choice("abcdeéß.,#") for _ in range(n))
+    texts = [" ".join(word(1 + rng.randrange(9)) for _ in range(rng.randrange(60))) for _ in range(200)] + ["=a" * 900, "x\n\n" + "ab.é" * 700, None, ""]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3).write.parquet(f"{tmp_path}/d")
+    docs = spark.read.parquet(f"{tmp_path}/d")
+    monkeypatch.setattr(pieces, "STRETCH_WORDS", 400)
+    for head in (0, 50):
+        monkeypatch.setattr(pieces, "HEAD_WORDS", head)
+        got = {r.doc_id: r for r in pieces.encode(docs, path).collect()}
+        for k, text in enumerate(texts):
+            whole = [i for w in pieces.split_words(text, table.splitter()) for i in np.frombuffer(table.pack(table.fold(w)), "<u2").tolist()]
+            assert got[k].ids == whole and got[k].round_trip
+
+
+def test_a_lost_table_is_an_error(tmp_path):
+    (tmp_path / f"{5:016x}").mkdir()
+    with pytest.raises(LookupError):
+        pieces.Stretches(f"file://{tmp_path}", ({}, {})).turn_to(5, 0)
+
+
 def test_piece_rows(spark, odd):
     path = tokenizers_files.path("piece_bpe_32k.model")
     got = pieces.encode(odd, path).collect()
