@@ -23,7 +23,10 @@ def event_facts(events: DataFrame, lateness: str = "1 hour") -> DataFrame:
     fact = lambda p, kind, o: F.struct(me.alias("s"), F.lit(p).alias("p"), F.lit(kind).alias("o_kind"), o.alias("o"))
     rows = F.array(fact("type", "iri", F.initcap("event_type")), fact("done_by", "iri", iri("cust", "user_id")), fact("amount", "lit", lexical(F.col("value"), "double")))
     facts = events.select(F.col("ts").cast("timestamp").alias("ts"), F.explode(rows).alias("f")).select("ts", "f.*").where("s is not null and o is not null")
-    return facts.withWatermark("ts", lateness).dropDuplicatesWithinWatermark(["s", "p", "o"]) if facts.isStreaming else facts.dropDuplicates(["s", "p", "o"])
+    key = ["s", "p", "o_kind", "o"]
+    if facts.isStreaming:
+        return facts.withWatermark("ts", lateness).dropDuplicatesWithinWatermark(key)
+    return facts.groupBy(*key).agg(F.min("ts").alias("ts")).select("ts", *key)
 
 
 def counts_by_window(facts: DataFrame, width: str = "1 day") -> DataFrame:
