@@ -21,6 +21,7 @@ by the worker that meets it, in time linear in its length.
 from __future__ import annotations
 
 import bisect
+import functools
 import re
 import zlib
 from collections import Counter
@@ -84,7 +85,7 @@ class Pieces:
             raise ValueError("the model has no byte pieces")
         return cls(table, base, min(s for _, s in table.values()) - 10.0, back, 2 if n <= 65536 else 4)
 
-    @property
+    @functools.cached_property
     def longest(self) -> int:
         return max(map(len, self.table))
 
