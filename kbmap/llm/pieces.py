@@ -89,6 +89,18 @@ class Pieces:
     def longest(self) -> int:
         return max(map(len, self.table))
 
+    def competitive(self) -> dict[str, tuple[int, float]]:
+        """The pieces that a best way can hold: single characters and those whose score no smaller pieces surpass."""
+        out = {}
+        for piece, (i, score) in self.table.items():
+            best = [0.0]
+            for b in range(1, len(piece) + 1):
+                ways = [(a, self.table.get(piece[a:b])) for a in range(b) if b - a < len(piece)]
+                best.append(max((best[a] + (hit[1] if hit else self.unknown_score) for a, hit in ways if hit or b - a == 1), default=score))
+            if len(piece) == 1 or best[-1] <= score:
+                out[piece] = (i, score)
+        return out
+
     def hard(self) -> str:
         return "".join(c for c in "\n\t\r" if not any(c in p for p in self.table))
 
@@ -200,51 +212,51 @@ def word_runs(pieces: Pieces):
     return runs
 
 
+#: Bytes of a piece number in the fold, and the bit that marks a character without a piece.
+NUMBER, CHARACTER = 3, 1 << 23
+
+
 def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
     """(word, ids) from (word), which must be distinct and partitioned by word: no further shuffle.
 
-    ``ids`` has the piece numbers; -1 - c stands for the character c that has no piece.
+    ``ids`` holds ``NUMBER`` bytes (greatest first) for each piece; numbers with the bit ``CHARACTER`` stand for a character that has none.
+    Each position keeps its best score and the pieces on the way there; of equal scores the first edge, whose piece is longest, stays.
     """
     spark = words.sparkSession
-    table = spark.createDataFrame([(p, i, s) for p, (i, s) in pieces.table.items()], "sub string, id int, score double")
+    rows = [(p, i.to_bytes(NUMBER, "big"), s) for p, (i, s) in pieces.competitive().items()]
+    table = spark.createDataFrame(rows, "sub string, id binary, score double")
     ends = words.select("word", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("j"))
     spans = ends.select("word", "j", F.explode(F.sequence(F.greatest(F.col("j") - pieces.longest, F.lit(0)), F.col("j") - 1)).alias("i"))
     subs = spans.withColumn("sub", F.substring("word", F.col("i") + 1, F.col("j") - F.col("i")))
     edges = subs.join(F.broadcast(table), "sub", "left").where("id is not null or j - i = 1")  # at most MAX_VOCABULARY rows
-    edge = F.struct(
-        "j", "i", F.coalesce("score", F.lit(pieces.unknown_score)).alias("s"), F.coalesce("id", -1 - F.ascii("sub")).alias("p")
-    )
+    character = F.unhex(F.lpad(F.hex(F.ascii("sub") + F.lit(CHARACTER)), 2 * NUMBER, "0"))
+    edge = F.struct("j", "i", F.coalesce("score", F.lit(pieces.unknown_score)).alias("s"), F.coalesce("id", character).alias("p"))
     grouped = edges.groupBy("word").agg(F.sort_array(F.collect_list(edge)).alias("e"))
-    start = F.expr("named_struct('a', array(named_struct('s', 0D, 'i', 0, 'p', 0)), 'c', named_struct('s', double('-infinity'), 'i', 0, 'p', 0))")
+    start = F.expr("named_struct('a', array(named_struct('s', 0D, 'p', X'')), 'c', named_struct('s', double('-infinity'), 'p', X''))")
 
     def step(t, e):
-        before = F.when(e.i == F.size(t.a), t.c.s).otherwise(F.get(t.a, e.i).s)
-        way = F.struct((before + e.s).alias("s"), (-e.i).alias("i"), e.p.alias("p"))
-        return F.when(e.j > F.size(t.a), F.struct(F.concat(t.a, F.array(t.c)).alias("a"), way.alias("c"))).otherwise(
-            F.struct(t.a.alias("a"), F.greatest(t.c, way).alias("c"))
-        )
-
-    best = grouped.select("word", F.aggregate("e", start, step, lambda t: F.concat(t.a, F.array(t.c))).alias("best"))
-    none = F.array().cast("array<int>")
-
-    def back(t, k):
-        hit = F.get("best", k)
-        return F.when(k == t.at, F.struct((-hit.i).alias("at"), F.concat(F.array(hit.p), t.ids).alias("ids"))).otherwise(t)
-
-    walk = F.aggregate(
-        F.sequence(F.length("word"), F.lit(1), F.lit(-1)), F.struct(F.length("word").alias("at"), none.alias("ids")), back, lambda t: t.ids
-    )
-    return best.select("word", walk.alias("ids"))
-
-
-def pack_lists(lists: pa.ListArray, pieces: Pieces) -> pa.Array:
-    """Lists of ids as bytes: an unsigned number of the model's width each."""
-    flat = lists.flatten().to_numpy(zero_copy_only=False)
-    if len(flat) and flat.min() < 0:
-        return pa.array([pieces.pack(x) for x in lists.to_pylist()], pa.binary())
-    sizes = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
-    ends = np.concatenate([[0], sizes.cumsum()]).astype(np.int32) * np.int32(pieces.width)
-    return pa.Array.from_buffers(pa.binary(), len(lists), [None, pa.py_buffer(ends.tobytes()), pa.py_buffer(flat.astype(f"<u{pieces.width}").tobytes())])
+        """``t.a`` has the positions before the one whose edges come now, ``t.c`` that one's best way so far."""
+        n, before = F.size(t.a), F.get(t.a, e.i)
+        way = lambda x: F.struct((x.s + e.s).alias("s"), F.concat(x.p, e.p).alias("p"))
+        better = F.when(before.s + e.s > t.c.s, F.struct(t.a.alias("a"), way(before).alias("c"))).otherwise(t)
+        moved = F.struct(F.concat(t.a, F.array(t.c)).alias("a"), F.when(e.i == n, way(t.c)).otherwise(way(before)).alias("c"))
+        return F.when(e.j <= n, better).otherwise(moved)
+
+    return grouped.select("word", F.aggregate("e", start, step, lambda t: t.c.p).alias("ids"))
+
+
+def pack_folded(folded: pa.Array, pieces: Pieces) -> pa.Array:
+    """The lattice's ids as unsigned numbers of the model's width; characters without a piece as their byte pieces."""
+    raw = folded.cast(pa.large_binary())
+    ends = np.frombuffer(raw.buffers()[1], np.int64)[raw.offset : raw.offset + len(raw) + 1]
+    data = np.frombuffer(raw.buffers()[2] or b"", np.uint8)[ends[0] : ends[-1]].reshape(-1, NUMBER).astype(np.int32)
+    flat = data[:, 0] << 16 | data[:, 1] << 8 | data[:, 2]
+    cuts = (ends - ends[0]) // NUMBER
+    if len(flat) and flat.max() >= CHARACTER:
+        signed = np.where(flat >= CHARACTER, CHARACTER - 1 - flat, flat)
+        return pa.array([pieces.pack(signed[a:b].tolist()) for a, b in zip(cuts, cuts[1:])], pa.binary())
+    at = (cuts * pieces.width).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(raw), [None, pa.py_buffer(at.tobytes()), pa.py_buffer(flat.astype(f"<u{pieces.width}").tobytes())])
 
 
 def _located(docs: DataFrame, cut: Cut) -> DataFrame:
@@ -261,7 +273,8 @@ def _located(docs: DataFrame, cut: Cut) -> DataFrame:
 
 def frequent_words(source: DataFrame, shared, size: int) -> DataFrame:
     """(word): the words that most sampled rows have, at most ``size``; a bounded number of files is sampled."""
-    files = sorted(source.inputFiles())
+    named = source.sparkSession._jvm.org.apache.hadoop.fs.Path
+    files = sorted(named(f).toString() for f in source.inputFiles())
     chosen = files[:: max(1, -(-len(files) // HEAD_FILES))]
     rows = source.where(F.col("path").isin(chosen) & (F.col("row") % HEAD_SHARE == 0)).select("text")
 
@@ -359,7 +372,7 @@ def _write_dictionaries(rows: DataFrame, folder: str, shared) -> int:
                     sink = system.open_output_stream(name)
                     writer = pa.ipc.new_stream(sink, schema, options=pa.ipc.IpcWriteOptions(compression="zstd"))
                 part = b.slice(x, y - x)
-                writer.write_batch(pa.RecordBatch.from_arrays([part.column(2).cast(pa.string()), pack_lists(part.column(3), shared.value)], schema=schema))
+                writer.write_batch(pa.RecordBatch.from_arrays([part.column(2).cast(pa.string()), pack_folded(part.column(3), shared.value)], schema=schema))
         if at is not None:
             close()
         yield pa.RecordBatch.from_arrays([pa.array([done], pa.int64())], ["n"])
@@ -448,8 +461,9 @@ def _apply(shared, head, folder: str):
 
 def _table_of(rows, pieces: Pieces) -> tuple[dict, dict]:
     """Words with exactly one leading space, without it, and the others, each with its packed ids."""
-    spaced = {r.word[1:]: pieces.pack(r.ids) for r in rows if is_spaced(r.word)}
-    return spaced, {r.word: pieces.pack(r.ids) for r in rows if not is_spaced(r.word)}
+    ids = pack_folded(pa.array([bytes(r.ids) for r in rows], pa.binary()), pieces).to_pylist()
+    spaced = {r.word[1:]: x for r, x in zip(rows, ids) if is_spaced(r.word)}
+    return spaced, {r.word: x for r, x in zip(rows, ids) if not is_spaced(r.word)}
 
 
 def encode(docs: DataFrame, model: str) -> DataFrame:
