@@ -2,8 +2,13 @@
 
 from __future__ import annotations
 
+import atexit
 import uuid
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
+from pyspark.errors import AnalysisException
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -17,15 +22,15 @@ SPACE = r"[ \t\n\x0B\f\r]+"
 def scratch_dir(spark: SparkSession) -> str:
     """A new folder name below ``spark.checkpoint.dir``.
 
-    All executors must see that folder. Only a local session (one machine by definition) may
-    leave the setting out; then ``/tmp/checkpoints`` serves. Elsewhere a missing setting raises.
+    All executors must see that folder. Where the setting is missing, a local session (one machine by
+    definition) uses a folder below Spark's warehouse; elsewhere that raises.
     """
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
         if not spark.sparkContext.master.startswith("local"):
             raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
-        base = "file:///tmp/checkpoints"
-    elif "://" not in base and not base.startswith("file:"):
+        base = spark.conf.get("spark.sql.warehouse.dir") + "/scratch"
+    if "://" not in base and not base.startswith("file:"):
         base = spark._jvm.org.apache.hadoop.fs.Path(base).getFileSystem(spark._jsc.hadoopConfiguration()).makeQualified(
             spark._jvm.org.apache.hadoop.fs.Path(base)
         ).toString()
@@ -41,11 +46,17 @@ def remove(spark: SparkSession, path: str) -> None:
 class Cut:
     """Tables written to the shared folder, so that lost executors recompute nothing before them.
 
-    ``cut(df)`` writes and rereads; ``drop(df)`` deletes a table that no later plan reads.
+    ``cut(df)`` writes and rereads; ``drop(df)`` deletes a table that no later plan reads. Results are read from the
+    folder when they are asked for, so what is left of it goes when the driver ends (or by ``close``).
     """
 
     def __init__(self, spark: SparkSession):
         self.spark, self.root, self.n, self.paths = spark, scratch_dir(spark), 0, {}
+        atexit.register(self.close)
+
+    def close(self) -> None:
+        if self.spark.sparkContext._jsc is not None:
+            remove(self.spark, self.root)
 
     def __call__(self, df: DataFrame) -> DataFrame:
         path = f"{self.root}/{self.n:04d}"
@@ -64,6 +75,88 @@ class Cut:
         return f"{self.root}/{name}"
 
 
+def located(docs: DataFrame, cut: Cut, *columns: Column) -> DataFrame:
+    """The columns with ``path``, ``file`` (its number) and ``row``: the file that a row comes from and its place there.
+
+    Together these name a row wherever the table is read again, without a shuffle. Tables that no file holds are written first.
+    """
+    place = [F.col("_metadata.file_path").alias("path"), F.xxhash64("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row")]
+    try:
+        plain = docs.select(*columns, *place)
+        plain.schema  # noqa: B018  resolves the plan
+        return plain
+    except AnalysisException:
+        return cut(docs.select(*columns)).select("*", *place)
+
+
+def folder_of(folder: str, file: int) -> str:
+    return f"{folder}/{file & (1 << 64) - 1:016x}"
+
+
+def named_whole(system, name: str, target: str) -> None:
+    """Give a whole file its name. Every attempt of a task writes the same, so one that comes second does no harm."""
+    from pyarrow import fs
+
+    try:
+        system.move(name, target)
+    except OSError:
+        if system.get_file_info(target).type != fs.FileType.File:
+            raise
+
+
+def write_row_sets(rows: DataFrame, folder: str) -> int:
+    """Write the row numbers of (file, row) as one small file per input file; returns their number."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyarrow import fs
+
+        held: dict[int, list[np.ndarray]] = {}
+
+        def close(file: int) -> int:
+            numbers = np.unique(np.concatenate(held.pop(file)))
+            system, at = fs.FileSystem.from_uri(folder_of(folder, file))
+            system.create_dir(at, recursive=True)
+            with system.open_output_stream(part := f"{at}/{uuid.uuid4().hex}.part") as f:
+                f.write(numbers.astype("<i8").tobytes())
+            named_whole(system, part, f"{at}/rows")
+            return len(numbers)
+
+        n = 0
+        for b in batches:
+            files, numbers = (b.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
+            for file in np.unique(files).tolist():
+                for done in [f for f in held if f != file]:
+                    n += close(done)
+                held.setdefault(file, []).append(numbers[files == file])
+        for file in list(held):
+            n += close(file)
+        yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64())], ["n"])
+
+    dealt = rows.select("file", "row").repartition("file").sortWithinPartitions("file")
+    return dealt.mapInArrow(run, "n long").agg(F.coalesce(F.sum("n"), F.lit(0))).collect()[0][0]
+
+
+class RowSets:
+    """For workers: whether (file, row) pairs are in the sets below a folder; one file's set is held at a time."""
+
+    def __init__(self, folder: str):
+        self.folder, self.file, self.numbers = folder, None, np.empty(0, np.int64)
+
+    def mask(self, files: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        from pyarrow import fs
+
+        out = np.zeros(len(files), bool)
+        for file in np.unique(files).tolist():
+            if file != self.file:
+                system, at = fs.FileSystem.from_uri(folder_of(self.folder, file))
+                there = system.get_file_info(f"{at}/rows").type == fs.FileType.File
+                self.numbers = np.frombuffer(system.open_input_file(f"{at}/rows").read(), "<i8") if there else np.empty(0, np.int64)
+                self.file = file
+            mine = files == file
+            out[mine] = np.isin(rows[mine], self.numbers)
+        return out
+
+
 def words(text: Column) -> Column:
     """Array of the words ``[^\\x20\\x09-\\x0D]+``; null text gives an empty array."""
     return F.filter(F.split(F.coalesce(text, F.lit("")), SPACE), lambda w: w != "")

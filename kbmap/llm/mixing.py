@@ -105,4 +105,5 @@ def keep_mixed(docs: DataFrame, embeddings: DataFrame, seed: int = 7) -> DataFra
         F.coalesce(F.col("doc_id").cast("string"), F.lit("null")).alias("_key"), F.col("source").alias("_source"), F.col("lang").alias("_lang")
     ).distinct()
     whole = docs.withColumns({"_key": F.coalesce(F.col("doc_id").cast("long").cast("string"), F.lit("null")), "_source": key[0], "_lang": key[1]})
-    return whole.join(cut(kept), ["_key", "_source", "_lang"], "left_semi").select(*names)
+    # Always by a shuffle: the kept identifiers grow with the table.
+    return whole.join(cut(kept).hint("merge"), ["_key", "_source", "_lang"], "left_semi").select(*names)

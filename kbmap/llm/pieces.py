@@ -30,11 +30,10 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Cut
+from .common import Cut, folder_of, located, named_whole
 
 #: Different words after which a stretch of rows ends: bounds what a worker holds at once.
 STRETCH_WORDS = 600_000
@@ -259,18 +258,6 @@ def pack_folded(folded: pa.Array, pieces: Pieces) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(raw), [None, pa.py_buffer(at.tobytes()), pa.py_buffer(flat.astype(f"<u{pieces.width}").tobytes())])
 
 
-def _located(docs: DataFrame, cut: Cut) -> DataFrame:
-    """doc_id, text, the path and number of the file that a row comes from, and its place there; tables that no file holds are written first."""
-    columns = [F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")]
-    place = [F.col("_metadata.file_path").alias("path"), F.xxhash64("_metadata.file_path").alias("file"), F.col("_metadata.row_index").alias("row")]
-    try:
-        plain = docs.select(*columns, *place)
-        plain.schema  # noqa: B018  resolves the plan
-        return plain
-    except AnalysisException:
-        return cut(docs.select(*columns)).select("doc_id", "text", *place)
-
-
 def frequent_words(source: DataFrame, shared, size: int) -> DataFrame:
     """(word): the words that most sampled rows have, at most ``size``; a bounded number of files is sampled."""
     named = source.sparkSession._jvm.org.apache.hadoop.fs.Path
@@ -350,12 +337,7 @@ def _write_dictionaries(rows: DataFrame, folder: str, shared) -> int:
         def close():
             writer.close()
             sink.close()
-            target = f"{name.rpartition('/')[0]}/{at[1] >> 32}-{(at[1] >> 32) + (at[1] & 0xFFFFFFFF)}.arrow"
-            try:
-                system.move(name, target)
-            except OSError:
-                if system.get_file_info(target).type != fs.FileType.File:
-                    raise
+            named_whole(system, name, f"{name.rpartition('/')[0]}/{at[1] >> 32}-{(at[1] >> 32) + (at[1] & 0xFFFFFFFF)}.arrow")
 
         for b in batches:
             files, spans = b.column(0).to_numpy(zero_copy_only=False), b.column(1).to_numpy(zero_copy_only=False)
@@ -367,7 +349,7 @@ def _write_dictionaries(rows: DataFrame, folder: str, shared) -> int:
                     if at is not None:
                         close()
                     at, done = (int(files[x]), int(spans[x])), done + 1
-                    system, name = fs.FileSystem.from_uri(f"{folder}/{at[0] & (1 << 64) - 1:016x}/{uuid.uuid4().hex}.part")
+                    system, name = fs.FileSystem.from_uri(f"{folder_of(folder, at[0])}/{uuid.uuid4().hex}.part")
                     system.create_dir(name.rpartition("/")[0], recursive=True)
                     sink = system.open_output_stream(name)
                     writer = pa.ipc.new_stream(sink, schema, options=pa.ipc.IpcWriteOptions(compression="zstd"))
@@ -393,7 +375,7 @@ class Stretches:
         from pyarrow import fs
 
         if file != self.file:
-            self.system, self.at = fs.FileSystem.from_uri(f"{self.folder}/{file & (1 << 64) - 1:016x}")
+            self.system, self.at = fs.FileSystem.from_uri(folder_of(self.folder, file))
             names = [i.base_name for i in self.system.get_file_info(fs.FileSelector(self.at)) if i.base_name.endswith(".arrow")]
             self.spans = sorted((*map(int, n[: -len(".arrow")].split("-")), n) for n in names)
         k = bisect.bisect(self.spans, (row, float("inf"))) - 1
@@ -474,7 +456,7 @@ def encode(docs: DataFrame, model: str) -> DataFrame:
     spark: SparkSession = docs.sparkSession
     cut, pieces = Cut(spark), Pieces.load(model)
     shared = spark.sparkContext.broadcast(pieces)  # bounded by MAX_VOCABULARY
-    source = _located(docs, cut)
+    source = located(docs, cut, F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     # A word becomes some sixty substrings, so it takes more and smaller partitions to group them in memory.
     n = EXPANSION * int(spark.conf.get("spark.sql.shuffle.partitions"))
     threshold = "spark.sql.objectHashAggregate.sortBased.fallbackThreshold"

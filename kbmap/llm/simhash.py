@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import DOCUMENT_COLUMNS, Cut, connected_components
+from .common import Cut, RowSets, connected_components, located, write_row_sets
 
 SEED = 42
 
@@ -155,54 +155,79 @@ def _parity(h: np.ndarray) -> np.ndarray:
     return np.packbits((count & 1).astype(bool), bitorder="little").view("<i8")
 
 
-def near_copy_prints(docs: DataFrame) -> DataFrame:
-    """(doc_id, same, parity, grams, bands): a hash of the word sequence, the hashed shingles with their parity map and the keys of the bands.
+def _word_hashes(words: list[bytes]) -> np.ndarray:
+    import xxhash
+
+    return np.fromiter((xxhash.xxh64_intdigest(w, SEED) for w in words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
+
 
-    A word sequence that a batch has met before leaves the last three null.
+def near_copy_prints(rows: DataFrame) -> DataFrame:
+    """(file, row, same, size, parity, bands) of (file, row, text).
+
+    ``same`` is a hash (128 bits) of the word sequence; then the number of hashed shingles, their parity map and the keys of the
+    bands. A word sequence that a batch has met before leaves the last three null.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
 
-        digest, signed = xxhash.xxh64_intdigest, lambda x: x - (1 << 64) if x >> 63 else x
         for whole_batch in batches:
             for b in (whole_batch.slice(k, 512) for k in range(0, whole_batch.num_rows, 512)):
-                same, parity, grams, bands, met = [], [], [], [], set()
-                for t in b.column(1):
+                same, size, parity, bands, met = [], [], [], [], set()
+                for t in b.column(2):
                     words = text_words(t.as_py())
-                    same.append(signed(digest(b" ".join(words), SEED)))
+                    same.append(xxhash.xxh3_128_digest(b" ".join(words), SEED))
                     if same[-1] in met:
-                        for column in (parity, grams, bands):
+                        for column in (size, parity, bands):
                             column.append(None)
                         continue
                     met.add(same[-1])
-                    h = np.fromiter((digest(w, SEED) for w in words), np.uint64, len(words)) if words else np.zeros(1, np.uint64)
-                    g = _grams(h, SHINGLE_WORDS)
+                    g = _grams(_word_hashes(words), SHINGLE_WORDS)
+                    size.append(len(g))
                     parity.append(_parity(g))
-                    grams.append(g.view(np.int64))
                     bands.append(_bands(g))
                 longs = pa.list_(pa.int64())
                 yield pa.RecordBatch.from_arrays(
-                    [b.column(0), pa.array(same, pa.int64()), pa.array(parity, longs), pa.array(grams, longs), pa.array(bands, longs)],
-                    ["doc_id", "same", "parity", "grams", "bands"],
+                    [b.column(0), b.column(1), pa.array(same, pa.binary()), pa.array(size, pa.int64()), pa.array(parity, longs), pa.array(bands, longs)],
+                    ["file", "row", "same", "size", "parity", "bands"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(
-        run, "doc_id long, same long, parity array<long>, grams array<long>, bands array<long>"
+    return rows.select("file", "row", "text").mapInArrow(
+        run, "file long, row long, same binary, size long, parity array<long>, bands array<long>"
     )
 
 
+def shingle_sets(cut: Cut, rows: DataFrame, prints: DataFrame, asked: DataFrame) -> DataFrame:
+    """(same, grams) of the asked word sequences (same): their texts are found by file and row, so no text travels."""
+    first = prints.where("size is not null").select("same", "file", "row").join(asked, "same", "left_semi").groupBy("same").agg(F.min(F.struct("file", "row")).alias("at"))
+    folder = cut.path(f"asked-{cut.n:04d}")
+    write_row_sets(first.select("at.file", "at.row"), folder)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import xxhash
+
+        wanted = RowSets(folder)
+        for b in batches:
+            hit = wanted.mask(b.column(0).to_numpy(), b.column(1).to_numpy())
+            for t in b.column(2).filter(pa.array(hit)):
+                words = text_words(t.as_py())
+                g = _grams(_word_hashes(words), SHINGLE_WORDS).view(np.int64)
+                same = xxhash.xxh3_128_digest(b" ".join(words), SEED)
+                yield pa.RecordBatch.from_arrays([pa.array([same], pa.binary()), pa.array([g], pa.list_(pa.int64()))], ["same", "grams"])
+
+    return cut(rows.select("file", "row", "text").mapInArrow(run, "same binary, grams array<long>"))
+
+
 def may_reach(a: str, b: str, similarity: float) -> Column:
     """False only for pairs (structs with size and parity) whose sets cannot have that Jaccard similarity."""
     differ = sum((F.bit_count(F.get(f"{a}.parity", F.lit(k)).bitwiseXOR(F.get(f"{b}.parity", F.lit(k)))) for k in range(PARITY_WORDS)), F.lit(0))
     return differ <= (F.col(f"{a}.size") + F.col(f"{b}.size")) * ((1 - similarity) / (1 + similarity)) + 1e-6
 
 
-def similar(cut: Cut, pairs: DataFrame, prints: DataFrame, similarity: float) -> DataFrame:
-    """The pairs (a, b) whose shingle sets have that Jaccard similarity, counted exactly; sets travel for these pairs only."""
+def similar(cut: Cut, pairs: DataFrame, rows: DataFrame, prints: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (a, b) whose shingle sets have that Jaccard similarity, counted exactly; sets are made for these pairs only."""
     pairs = cut(pairs)
-    asked = pairs.select(F.explode(F.array("a", "b")).alias("same")).distinct()
-    held = cut(prints.where("grams is not null").select("same", "grams").join(asked, "same", "left_semi").groupBy("same").agg(F.first("grams").alias("grams")))
+    held = shingle_sets(cut, rows, prints, pairs.select(F.explode(F.array("a", "b")).alias("same")).distinct())
     left, right = held.toDF("a", "x"), held.toDF("b", "y")
     shared = F.size(F.array_intersect("x", "y"))
     both = pairs.join(left, "a").join(right, "b").select("a", "b", shared.alias("n"), (F.size("x") + F.size("y")).alias("m"))
@@ -211,33 +236,32 @@ def similar(cut: Cut, pairs: DataFrame, prints: DataFrame, similarity: float) ->
     return out
 
 
-def near_copies(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """(doc_id, same, component): groups of documents with equal words or similar five-word shingles.
+def near_copies(rows: DataFrame, similarity: float, cut: Cut) -> DataFrame:
+    """(file, row, component) of (file, row, text): groups of rows with equal words or similar five-word shingles.
 
-    Documents with equal word sequences collapse to one node. Nodes that share a band of their MinHash signature are candidates, and
+    Rows with equal word sequences collapse to one node. Nodes that share a band of their MinHash signature are candidates, and
     a match counts if the Jaccard similarity of the two shingle sets is high enough.
     Every holder of a band first meets the band's smallest holder. The components of these links stand for what is
     already joined; then all pairs of a band's holders from different components meet, so that only pairs that
     could not change a component are left out. Crowded bands are cut in blocks.
-    ``component`` is a number of the group (a node's hash).
+    ``component`` names the group (a node's hash).
     """
-    cut = Cut(docs.sparkSession)
-    prints = cut(near_copy_prints(docs))
-    nodes = cut(prints.where("grams is not null").groupBy("same").agg(F.first(F.size("grams")).alias("size"), F.first("parity").alias("parity")))
-    held = prints.select(F.col("same").alias("n"), F.explode("bands").alias("key"))
+    prints = cut(near_copy_prints(rows))
+    nodes = cut(prints.where("size is not null").groupBy("same").agg(F.first("size").alias("size"), F.first("parity").alias("parity")))
+    held = prints.where("size is not null").select(F.col("same").alias("n"), F.explode("bands").alias("key"))
     # Bands with one holder end here.
     least = held.groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("top")).where("a <> top").select("key", "a")
     shared = cut(held.join(least, "key").select("key", "a", "n").distinct())
     pairs = cut(shared.where("a <> n").select("a", F.col("n").alias("b")).distinct())
-    edges = similar(cut, plausible(pairs, nodes, similarity), prints, similarity)
+    edges = similar(cut, plausible(pairs, nodes, similarity), rows, prints, similarity)
     joined = cut(nodes.join(connected_components(cut, edges).withColumnRenamed("v", "same"), "same", "left").withColumn("root", F.coalesce("root", "same")))
-    rest = similar(cut, holder_pairs(cut, shared.select("key", F.col("n").alias("same")), joined, similarity), prints, similarity)
+    rest = similar(cut, holder_pairs(cut, shared.select("key", F.col("n").alias("same")), joined, similarity), rows, prints, similarity)
     roots = connected_components(cut, edges.unionByName(rest))
     grouped = cut(nodes.select("same").join(roots, nodes.same == roots.v, "left").select("same", F.coalesce("root", "same").alias("component")))
-    names = cut(prints.select("doc_id", "same"))
-    for done in (prints, shared, pairs):
+    out = cut(prints.select("file", "row", "same").join(grouped, "same").select("file", "row", "component"))
+    for done in (prints, nodes, shared, pairs, joined, grouped):
         cut.drop(done)
-    return names.join(grouped, "same").select("doc_id", "same", "component")
+    return out
 
 
 def plausible(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFrame:
@@ -264,26 +288,26 @@ def holder_pairs(cut: Cut, shared: DataFrame, joined: DataFrame, similarity: flo
 def keep_one_of_each(docs: DataFrame, similarity: float = 0.8) -> DataFrame:
     """One row of each group of near copies, with all columns of ``docs``: the one with the smallest doc_id.
 
-    Null identifiers come last; of rows with one identifier the one whose columns hash first stays. Rows that are equal in every
-    column are one row.
+    Null identifiers come last; of rows with one identifier the first of the smallest file number stays. The rows that go
+    are named by file and place, and the second reading of the table leaves them out: no text is shuffled. A null or empty text
+    is a text without words; such rows are copies of each other. An empty table gives an empty result.
     """
     cut, names = Cut(docs.sparkSession), docs.columns
-    row = F.xxhash64(*[F.col(f"`{c}`") for c in names])
-    # The row's hash stands for it: the operator sees (hash, text), and doc_id comes back by the struct.
-    rows = docs.select(row.alias("doc_id"), F.col("text"), F.col("doc_id").cast("long").alias("number"))
-    numbers = cut(rows.select(F.col("doc_id").alias("row"), "number").distinct())
-    groups = near_copies(rows, similarity).select(F.col("doc_id").alias("row"), "component").distinct()
-    order = F.struct(F.col("number").isNull().alias("last"), "number", "row")
-    kept = cut(groups.join(numbers, "row").groupBy("component").agg(F.min(order).alias("o")).select(F.col("o.row").alias("_row"), F.col("o.number").alias("_number")))
-    marked = docs.withColumn("_row", row)
-    out = marked.join(kept.select("_row"), "_row", "left_semi")
-    repeated = cut(numbers_of_repeats(docs, row))
-    if repeated.isEmpty():
-        return out.select(*names)
-    once = out.join(repeated, "_row", "left_anti").select(*names)
-    return once.unionByName(out.join(repeated, "_row", "left_semi").dropDuplicates(["_row"]).select(*names))
-
-
-def numbers_of_repeats(docs: DataFrame, row) -> DataFrame:
-    """Hashes of rows that occur more than once in every column."""
-    return docs.groupBy(row.alias("_row")).count().where("count > 1").select("_row")
+    table = located(docs, cut, F.struct(*[F.col(f"`{c}`") for c in names]).alias("doc"))
+    rows = table.select("file", "row", F.col("doc.doc_id").cast("long").alias("number"), F.col("doc.text").cast("string").alias("text"))
+    groups = near_copies(rows, similarity, cut)
+    order = F.struct(F.col("number").isNull().alias("last"), "number", "file", "row")
+    numbered = cut(groups.join(rows.select("file", "row", "number"), ["file", "row"]).select("component", order.alias("o")))
+    first = numbered.groupBy("component").agg(F.min("o").alias("first"))
+    gone = numbered.join(first, "component").where("o <> first").select("o.file", "o.row")
+    folder = cut.path("gone")
+    write_row_sets(gone, folder)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        left_out = RowSets(folder)
+        for b in batches:
+            k = b.num_columns - 2
+            stays = ~left_out.mask(b.column(k).to_numpy(), b.column(k + 1).to_numpy())
+            yield pa.RecordBatch.from_arrays(b.filter(pa.array(stays)).columns[:k], names)
+
+    return table.select(*[F.col("doc").getField(c).alias(f"_{k}") for k, c in enumerate(names)], "file", "row").mapInArrow(run, docs.schema)

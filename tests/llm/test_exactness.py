@@ -499,6 +499,29 @@ def shingle_similarity(a: str, b: str) -> float:
     return len(x & y) / len(x | y)
 
 
+def components(spark, rows):
+    from kbmap.llm.common import Cut
+
+    placed = spark.createDataFrame(rows, "row long, text string").repartition(4, "row").select(F.lit(1).cast("long").alias("file"), "row", "text")
+    return simhash.near_copies(placed, 0.8, Cut(spark)).withColumnRenamed("row", "doc_id")
+
+
+@pytest.mark.parametrize("shared, words", [(170, 200), (210, 300), (250, 300)])
+def test_documents_below_the_similarity_all_stay(spark, shared, words):
+    """Strangers that share a template at similarities from 0.53 to 0.74, with true pairs among them."""
+    rng = random.Random(shared)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(5))
+    template, rows = [word() for _ in range(shared)], []
+    for k in range(300):
+        w = template + [word() for _ in range(words - shared)]
+        rows.append((len(rows), " ".join(w), "en", "s", 1))
+        if k % 10 == 0:
+            rows.append((len(rows), " ".join([*w[:-3], word(), word(), word()]), "en", "s", 1))
+    assert 0.5 < shingle_similarity(rows[1][1], rows[2][1]) < 0.8
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long").repartition(4, "doc_id")
+    assert simhash.keep_one_of_each(df).count() == 300
+
+
 def test_a_shared_template_links_nothing(spark):
     rng = random.Random(10)
     word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(5))
@@ -522,7 +545,7 @@ def test_block_and_append_edits_are_found(spark):
         linked += shingle_similarity(*pair) >= 0.8
         rows += [(2 * k, pair[0]), (2 * k + 1, pair[1])]
     want = {i // 2 for i, t in rows if i % 2 == 0 and shingle_similarity(t, rows[i + 1][1]) >= 0.8}
-    got = simhash.near_copies(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).groupBy("component").agg(F.collect_list("doc_id").alias("m")).where("size(m) > 1").collect()
+    got = components(spark, rows).groupBy("component").agg(F.collect_list("doc_id").alias("m")).where("size(m) > 1").collect()
     found = {min(r.m) // 2 for r in got}
     assert 200 < linked == len(want) and found <= want and len(found) >= 0.99 * linked, (len(found), linked)
 
@@ -539,8 +562,7 @@ def test_every_holder_of_a_band_is_met(spark):
             rows.append((len(rows), " ".join(w[:-10] + [word() for _ in range(10)])))
     pairs = [(i - 1, i) for i, t in rows if i and shingle_similarity(rows[i - 1][1], t) >= 0.8]
     assert len(pairs) == 200
-    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
-    component = {r.doc_id: r.component for r in simhash.near_copies(df).collect()}
+    component = {r.doc_id: bytes(r.component) for r in components(spark, rows).collect()}
     assert sum(component[a] == component[b] for a, b in pairs) >= 0.99 * len(pairs), sum(component[a] == component[b] for a, b in pairs)
     assert len(set(component.values())) >= 2000
 
