@@ -1,11 +1,9 @@
-"""SimHash near-duplicates by multi-index hashing.
-
-A fingerprint is cut in two segments. For each segment a table is keyed by a value of a small
-Hamming ball around the segment together with the untouched other segment; two fingerprints within
-two bits always meet under some key (flip one of their differing bits in either), and a key
-holds at most 1 + 64 fingerprints however many documents agree in one segment. So no bucket grows
-with the data and no pairs are emitted inside a group: each bucket links its members to its smallest,
-and every fetched match is checked by its complete distance.
+"""SimHash near-duplicates by multi-index hashing, and near copies by similarity for the corpus pipeline.
+
+A fingerprint is cut in two segments with a table each. Two fingerprints within two bits differ by at most one bit in the first
+segment or agree in the second; so each asks the first table for a small Hamming ball around its value and the second for its value,
+and every match is checked by its complete distance. Table values that many fingerprints share are split by the other segment,
+so that no bucket grows without bound and no match is left out.
 """
 
 from __future__ import annotations
@@ -20,6 +18,8 @@ from pyspark.sql import functions as F
 from .common import Cut, RowSets, connected_components, located, write_row_sets
 
 SEED = 42
+#: Bits of a segment, and fingerprints of one segment value above which it is split by the other segment.
+HALF, CROWD = 32, 1024
 
 
 def _hashes(words: list[bytes], n: int) -> np.ndarray:
@@ -72,21 +72,51 @@ def hex_fingerprint(fp: Column) -> Column:
     return F.lower(F.lpad(F.hex(fp), 16, "0"))
 
 
-def ball_keys(fp: Column) -> Column:
-    """The keys under which a fingerprint stands: itself, and it with one bit of one segment flipped."""
-    return F.concat(F.array(fp), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: fp.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), i))))
+def _table(part: Column, seg: int, fp: Column) -> Column:
+    return F.struct(F.lit(seg).alias("seg"), part.alias("value"), fp.alias("fp"))
+
+
+def segments(fp: Column) -> tuple[Column, Column]:
+    """The fingerprint's halves as non-negative longs."""
+    return F.shiftrightunsigned(fp, HALF), fp.bitwiseAND(F.lit((1 << HALF) - 1))
+
 
+def refined(rows: DataFrame, crowded: DataFrame) -> DataFrame:
+    """Add ``part`` and ``rest``: rows of a crowded table value are keyed by each third of the other segment too.
+
+    Two fingerprints within two bits that meet there differ in the other segment by at most two bits, so they share one of its thirds.
+    """
+    top, low = segments(F.col("fp"))
+    other = F.when(F.col("seg") == 0, low).otherwise(top)
+    third = lambda k, a, n: F.struct(F.lit(k).alias("part"), F.shiftright(other, a).bitwiseAND(F.lit((1 << n) - 1)).alias("rest"))
+    whole = F.array(F.struct(F.lit(-1).alias("part"), F.lit(0).cast("long").alias("rest")))
+    keys = F.when(F.col("many").isNull(), whole).otherwise(F.array(third(0, 0, 11), third(1, 11, 11), third(2, 22, 10)))
+    return rows.join(crowded, ["seg", "value"], "left").select("seg", "value", "fp", F.explode(keys).alias("k")).select("seg", "value", "k.part", "k.rest", "fp")
 
-def links(distinct_fps: DataFrame) -> DataFrame:
-    """Edges (a, b) between fingerprints that meet in a bucket; their closure is that of all pairs within two bits.
 
-    Fingerprints of one bucket are within one bit of its key, so within two bits of each other. The
-    bucket's smallest member is its hub; a match counts only if its complete distance is 2 or less.
+def links(cut: Cut, distinct_fps: DataFrame) -> DataFrame:
+    """Edges (a, b) between all fingerprints that differ in one or two bits.
+
+    Each segment has a table of its values. Two differing bits are at most one in the first segment or none in the second, so a
+    fingerprint asks the first table for the ball of radius one around its value and the second for its value alone; of two
+    neighbours in a ball, the one whose bit is 0 asks. What a table holds is checked by the complete distance. Values with more than
+    ``CROWD`` fingerprints are split by the other segment, whatever their number.
     """
-    rows = distinct_fps.select("fp", F.explode(ball_keys(F.col("fp"))).alias("key"))
-    bucket = rows.groupBy("key").agg(F.collect_list("fp").alias("m")).where(F.size("m") > 1)
-    pairs = bucket.select(F.array_min("m").alias("a"), F.explode("m").alias("b")).where("a <> b")
-    return pairs.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= 2).distinct()
+    fp = F.col("fp")
+    top, low = segments(fp)
+    table = cut(distinct_fps.select("fp", F.explode(F.array(_table(top, 0, fp), _table(low, 1, fp))).alias("t")).select("t.seg", "t.value", "fp"))
+    crowded = cut(table.groupBy("seg", "value").count().where(F.col("count") > CROWD).select("seg", "value", F.lit(True).alias("many")))
+    one = lambda i: F.call_function("shiftleft", F.lit(1).cast("long"), i)
+    free = F.filter(F.sequence(F.lit(0), F.lit(HALF - 1)), lambda i: top.bitwiseAND(one(i)) == 0)
+    around = F.concat(F.array(top), F.transform(free, lambda i: top.bitwiseOR(one(i))))
+    asked = distinct_fps.select("fp", F.explode(F.concat(F.transform(around, lambda v: F.struct(F.lit(0).alias("seg"), v.alias("value"))), F.array(F.struct(F.lit(1).alias("seg"), low.alias("value"))))).alias("q"))
+    held = refined(table, crowded).withColumnRenamed("fp", "b")
+    sought = refined(asked.select("q.seg", "q.value", "fp"), crowded).withColumnRenamed("fp", "a")
+    a, b = F.col("a"), F.col("b")
+    # Holders of one value meet once; a neighbour in the ball stands in another value of the first table.
+    same_value = F.when(F.col("seg") == 0, segments(a)[0] == segments(b)[0]).otherwise(F.lit(True))
+    met = sought.join(held, ["seg", "value", "part", "rest"]).where((F.bit_count(a.bitwiseXOR(b)) <= 2) & (~same_value | (a < b)) & (a != b))
+    return met.select("a", "b").distinct()
 
 
 def near_duplicates(docs: DataFrame, n: int = 3) -> DataFrame:
@@ -98,7 +128,7 @@ def near_duplicates(docs: DataFrame, n: int = 3) -> DataFrame:
     cut = Cut(docs.sparkSession)
     fps = cut(fingerprints(docs, n))
     distinct = cut(fps.groupBy("fp").agg(F.min("doc_id").alias("least")))
-    roots = connected_components(cut, links(distinct))
+    roots = connected_components(cut, links(cut, distinct))
     rooted = cut(distinct.join(roots, distinct.fp == roots.v, "left").select("fp", "least", F.coalesce("root", "fp").alias("root")))
     least = cut(rooted.groupBy("root").agg(F.min("least").alias("component_id")))
     named = cut(rooted.join(least, "root").select("fp", "component_id"))
