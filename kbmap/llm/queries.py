@@ -51,7 +51,8 @@ def op8_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_source_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     weighed = mixing.weigh(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "embeddings"))
     cut = Cut(spark)
-    return mixing.sample(cut, cut(weighed)).select("doc_id", "source", "lang", "topic", "n_tokens", "weight", "probability", "kept")
+    drawn = mixing.sample(cut, cut(weighed))
+    return drawn.select("doc_id", "source", "lang", "topic", "n_tokens", F.round("weight", 6).alias("weight"), F.round("probability", 6).alias("probability"), "kept")
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -151,8 +152,8 @@ d AS (
 c AS (SELECT source, lang, topic, sum(n_tokens)::DOUBLE AS tokens FROM d GROUP BY ALL HAVING sum(n_tokens) > 0),
 {targets},
 {", ".join(steps)},
-p AS (SELECT source, lang, topic, round(raked / share, 6) AS weight, round(raked / share / max(raked / share) OVER (), 6) AS probability FROM w{k})
-SELECT doc_id, source, lang, topic, n_tokens, coalesce(weight, 0.0) AS weight, coalesce(probability, 0.0) AS probability,
+p AS (SELECT source, lang, topic, raked / share AS weight, raked / share / max(raked / share) OVER () AS probability FROM w{k})
+SELECT doc_id, source, lang, topic, n_tokens, round(coalesce(weight, 0.0), 6) AS weight, round(coalesce(probability, 0.0), 6) AS probability,
        ('0x' || substr(md5(doc_id::VARCHAR || ':7'), 1, 8))::BIGINT / 4294967296.0::DOUBLE < coalesce(probability, 0.0) AS kept
 FROM d LEFT JOIN p USING (source, lang, topic)
 """
