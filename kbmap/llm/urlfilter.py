@@ -190,17 +190,31 @@ def train(cut: Cut, rows: DataFrame, names: list[str], b: Boosting = Boosting())
     return model
 
 
+#: Groups of hosts; a training row's suffix statistic leaves out the rows of its own host's group.
+FOLDS = 5
+
+
 def suffix_statistics(labelled: DataFrame) -> DataFrame:
-    """(suffix, suffix_rate): permille of unwanted URLs below each suffix, drawn towards the overall rate by 20 pseudo-rows."""
+    """(suffix, fold, suffix_rate): permille of unwanted URLs below each suffix, drawn towards the overall rate by 20 pseudo-rows.
+
+    Rows with a fold count all rows of the suffix but those of that fold; the row whose fold is null counts all.
+    """
     rate = labelled.agg(F.coalesce(F.avg("label"), F.lit(0.0))).first()[0]
-    return labelled.groupBy("suffix").agg(F.round(1000 * (F.sum("label") + 20 * F.lit(rate)) / (F.count(F.lit(1)) + 20)).cast("int").alias("suffix_rate"))
+    parts = labelled.groupBy("suffix", "fold").agg(F.count(F.lit(1)).alias("n"), F.sum("label").alias("k"))
+    totals = parts.groupBy("suffix").agg(F.sum("n").alias("all_n"), F.sum("k").alias("all_k"), F.collect_list(F.struct("fold", "n", "k")).alias("folds"))
+    none = F.array(F.struct(F.lit(None).cast("int").alias("fold"), F.lit(0).cast("long").alias("n"), F.lit(0).cast("long").alias("k")))
+    rows = totals.select("suffix", "all_n", "all_k", F.explode(F.concat("folds", none)).alias("x"))
+    n, k = F.col("all_n") - F.col("x.n"), F.col("all_k") - F.col("x.k")
+    return rows.select("suffix", "x.fold", F.round(1000 * (k + 20 * F.lit(rate)) / (n + 20)).cast("int").alias("suffix_rate"))
 
 
 def judge(pages: DataFrame, labelled: DataFrame | None = None, rules=RULES, b: Boosting = Boosting()) -> DataFrame:
     """page_id, host, path, rule, verdict and the model's probability for every row of ``pages``.
 
     ``labelled`` has url and label (1 unwanted); the suffix statistics and the trees are aggregates over all of its
-    rows. Without it the pages themselves are labelled by SEED_WORDS in the host, which no feature sees.
+    rows. Without it the pages themselves are labelled by SEED_WORDS in the host, which no feature sees: the suffix statistic
+    that a training row meets leaves out all rows of its own group of hosts. An empty table gives an empty result, repeated rows a row
+    each; rows whose probability is exactly a half are allowed.
     """
     cut = Cut(pages.sparkSession)
 
@@ -213,11 +227,12 @@ def judge(pages: DataFrame, labelled: DataFrame | None = None, rules=RULES, b: B
     else:
         source = described(labelled.where("label is not null"), F.col("label").cast("int").alias("label"))
     names = [*features(F.lit(""), F.lit(""), F.lit("")), "suffix_rate"]
-    described_rows = cut(source.drop("url", "host", "path"))
-    suffixes = cut(suffix_statistics(described_rows))
+    described_rows = cut(source.withColumn("fold", F.pmod(F.xxhash64("host"), F.lit(FOLDS)).cast("int")).drop("url", "host", "path"))
+    statistics = cut(suffix_statistics(described_rows))
+    suffixes = statistics.where("fold is null").drop("fold")
     default = int(suffixes.agg(F.coalesce(F.round(F.avg("suffix_rate")), F.lit(0))).first()[0])
     rated = lambda df: df.join(suffixes, "suffix", "left").withColumn("suffix_rate", F.coalesce("suffix_rate", F.lit(default)))
-    model = train(cut, rated(described_rows).select(*names, "label"), names, b)
+    model = train(cut, described_rows.join(statistics.where("fold is not null"), ["suffix", "fold"]).select(*names, "label"), names, b)
     rule = matched_rule(F.col("host"), F.col("path"), rules)
     return (
         rated(described(pages, F.col("page_id").cast("long").alias("page_id")))
