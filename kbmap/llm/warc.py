@@ -42,8 +42,8 @@ class ArcError(ValueError):
 
 
 def _field(value: str) -> str:
-    """A header field may hold no white space; such characters and the percent sign are escaped."""
-    return "".join(c if c > " " and c not in "%\x7f\x85\xa0  " else "".join(f"%{b:02X}" for b in c.encode()) for c in value) or "-"
+    """A header field may hold no white space; such characters are escaped as in a URL, all others stay as they are."""
+    return "".join(c if c > " " and c not in "\x7f\x85\xa0  " else "".join(f"%{b:02X}" for b in c.encode()) for c in value) or "-"
 
 
 def arc_start(version: int, name: str, date: str) -> bytes:
@@ -99,8 +99,9 @@ def split_http(content: bytes) -> tuple[bytes, bytes]:
     return b"", content
 
 
-def record_id(page_id: int | None, url: str) -> str:
-    return f"<urn:uuid:{uuid.uuid5(_SPACE, f'{page_id} {url}')}>"
+def record_id(page_id: int | None, url: str = "") -> str:
+    """A record's identifier follows from its page's number, so revisits can name it; without one from its URL."""
+    return f"<urn:uuid:{uuid.uuid5(_SPACE, url if page_id is None else str(page_id))}>"
 
 
 def warc_record(headers: list[tuple[str, str]], block: bytes) -> bytes:
@@ -129,6 +130,7 @@ def convert(record: ArcRecord, page_id: int | None, first: int | None) -> bytes:
         headers.append(("Page-Number", str(page_id)))
     if first is not None:
         headers += [
+            ("WARC-Refers-To", record_id(first)),
             ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"),
             ("Refers-To-Page-Number", str(first)),
         ]

@@ -603,3 +603,79 @@ def test_rare_suffixes_and_long_hosts_count_whole(spark):
     host = "a" * 256 + "".join(chr(0x4E00 + k) for k in range(64))
     entropy = urlfilter.features(F.lit("http://" + host), F.lit(host), F.lit(""))["host_entropy"]
     assert spark.range(1).select(entropy.alias("e")).first().e > 0
+
+
+# --- more of 2, 6, 9 and 10
+
+
+@pytest.mark.parametrize("crowd", [2, 1024])
+def test_segment_tables_find_every_link(spark, monkeypatch, crowd):
+    """All pairs by brute force, with many fingerprints of one segment value, split and whole."""
+    from kbmap.llm.common import Cut
+
+    monkeypatch.setattr(simhash, "CROWD", crowd)
+    rng, fps = random.Random(crowd), set()
+    for _ in range(12):
+        base = rng.getrandbits(64)
+        for _ in range(25):
+            fps.add(base ^ sum(1 << k for k in rng.sample(range(64), rng.randrange(4))))
+            fps.add((base & ~0xFFFFFFFF) | rng.getrandbits(32))
+    signed = [x - (1 << 64) if x >> 63 else x for x in fps]
+    df = spark.createDataFrame([(x,) for x in signed], "fp long")
+    got = {frozenset((r.a, r.b)) for r in simhash.links(Cut(spark), df).collect()}
+    mask = (1 << 64) - 1
+    want = {frozenset((a, b)) for a in signed for b in signed if a < b and ((a ^ b) & mask).bit_count() <= 2}
+    assert got == want and len(want) > 100
+
+
+def test_given_target_weights_are_met(spark):
+    """Weights given for source and language; tiny cells keep their documents' chance; values without a weight leave."""
+    from kbmap.llm.common import Cut
+
+    rows = [(i, s, lang, t, n) for i, (s, lang, t, n) in enumerate((s, lang, t, 3 + 10**k) for k, s in enumerate("abc") for lang in ("en", "de") for t in "xy")]
+    df = spark.createDataFrame(rows, "doc_id long, source string, lang string, topic string, n_tokens long")
+    given = {"source": {"a": 2, "b": 1, "c": 1, "absent": 4}, "lang": {"en": 3.0, "de": 1.0}}
+    cells = mixing.raked_cells(Cut(spark), df, given=given, rounds=30)
+    left = {(r.dim, r.value): (r.target, r.reached) for r in mixing.residuals(cells).collect()}
+    assert left["source", "a"][0] == 0.5 and left["lang", "en"][0] == 0.75 and all(t == pytest.approx(x, abs=1e-6) for t, x in left.values())
+    only = mixing.probabilities(Cut(spark), df, given={"source": {"a": 1.0}}).collect()
+    assert all((r.probability > 0) == (r.source == "a") for r in only)
+    skewed = spark.createDataFrame([(0, "a", "en", "x", 10**9), (1, "b", "en", "x", 1)], df.schema)
+    assert all(r.probability > 0 for r in mixing.probabilities(Cut(spark), skewed, given={"source": {"a": 1e-9, "b": 1.0}}).collect())
+
+
+def _urls(rng, n):
+    """Labelled URLs whose unwanted hosts are long, hyphenated and full of digits; hosts never repeat."""
+    letters = "abcdefghijklmnopqrstuvwxyz"
+    for _ in range(n):
+        bad = rng.random() < 0.4
+        name = "".join(rng.choice(letters + "0123456789--" if bad else letters) for _ in range(rng.randrange(14, 30) if bad else rng.randrange(5, 16)))
+        path = "/".join("".join(rng.choice(letters) for _ in range(5)) for _ in range(rng.randrange(1, 4)))
+        yield f"http://{name}.{'top' if bad and rng.random() < 0.5 else 'org'}/{path}{'?id=1&x=2' if bad and rng.random() < 0.5 else ''}", int(bad)
+
+
+def test_url_model_on_held_out_hosts(spark):
+    rng = random.Random(21)
+    labelled = spark.createDataFrame(list(_urls(rng, 3000)), "url string, label int")
+    held = [(i, u, y) for i, (u, y) in enumerate(_urls(rng, 1500))]
+    pages = spark.createDataFrame([(i, u) for i, u, _ in held], "page_id long, url string")
+    got = {r.page_id: r.verdict for r in urlfilter.judge(pages, labelled, ()).collect()}
+    right = sum((got[i] == "block") == bool(y) for i, _, y in held)
+    assert right >= 0.93 * len(held), right / len(held)
+
+
+def test_a_suffix_does_not_learn_its_own_label(spark):
+    rng = random.Random(22)
+    word = lambda: "".join(rng.choice("bcdfghjklm") for _ in range(8))
+    rows = [(i, f"http://www.{word()}.com/{word()}") for i in range(3000)] + [(5000 + i, "http://www.casino.com/" + word()) for i in range(200)]
+    got = urlfilter.judge(spark.createDataFrame(rows, "page_id long, url string"), None, ()).collect()
+    assert sum(r.verdict == "block" for r in got if r.page_id < 5000) == 0
+    assert len({r.verdict for r in got if r.page_id >= 5000}) == 1
+
+
+def test_targets_and_references_of_archives():
+    assert warc._field("http://x/a%20b") == "http://x/a%20b" and warc._field("a b") == "a%20b"
+    line = warc.arc_record(1, "http://x/a%20b", "20200102030405", b"HTTP/1.1 200 OK\r\n\r\nhello")
+    record = warc.ArcRecord(1, dict(zip(("url", "ip", "date"), line.split(b"\n")[0].decode().split(" "))), b"HTTP/1.1 200 OK\r\n\r\nhello")
+    back = next(warc.read_warc(io.BytesIO(warc.convert(record, 9, 4))))
+    assert back.headers["WARC-Target-URI"] == "http://x/a%20b" and back.headers["WARC-Refers-To"] == warc.record_id(4) != warc.record_id(9)
