@@ -38,9 +38,29 @@ def _side_covers(a: Alignment, c: Corr, tree: Tree, side: str) -> bool:
     return any(at == attr and tree.by_id[n].concept == owner for n, at in tree.attrs)
 
 
+def _covered_by(a: Alignment, side: str) -> list[tuple[str, str]]:
+    return [(c.s1 if side == "s" else c.t1, c.id) for c in a.corrs if c.kind == "c2c"]
+
+
+def _attrs_by(a: Alignment, side: str) -> list[tuple[tuple[str, str], str]]:
+    return [(a.owner(c, side), c.id) for c in a.corrs if c.kind == "a2a"]
+
+
 def summaries(spark: SparkSession, a: Alignment, trees: dict[str, Tree], side: str) -> DataFrame:
     """(root, sig, vars): per tree the correspondences that this side of it can cover, as a sorted array."""
-    rows = [(r, sorted(c.id for c in a.corrs if _side_covers(a, c, t, side)), len(t.vars)) for r, t in trees.items()]
+    by_concept, by_attr = defaultdict(list), defaultdict(list)
+    for concept, i in _covered_by(a, side):
+        by_concept[concept].append(i)
+    for owner, i in _attrs_by(a, side):
+        by_attr[owner].append(i)
+    ends = [((c.s1, c.s2) if side == "s" else (c.t1, c.t2), c.id) for c in a.corrs if c.kind == "r2r"]
+    rows = []
+    for root, t in trees.items():
+        concepts = {n.concept for n in t.nodes}
+        sig = [i for x in concepts for i in by_concept[x]]
+        sig += [i for x in {(t.by_id[n].concept, at) for n, at in t.attrs} for i in by_attr[x]]
+        sig += [i for pair, i in ends if concepts.issuperset(pair)]
+        rows.append((root, sorted(sig), len(t.vars)))
     return spark.createDataFrame(rows, "root string, sig array<string>, vars int")
 
 
@@ -122,73 +142,122 @@ class Skeleton:
     def _at(self, tv: int) -> Column:
         return F.get("asg", F.lit(tv))
 
-    def valid_covered(self, c: Corr, cand) -> Column:
+    # Each check is a list of (last target variable it looks at, condition), so that the fold can refuse a state as soon as it is known.
+
+    def _is(self, tv: int, sv: int) -> Column:
+        return self._at(tv) == sv
+
+    @staticmethod
+    def _any(conditions) -> Column:
+        return reduce(lambda x, y: x | y, conditions, F.lit(False))
+
+    @staticmethod
+    def _all(checks) -> Column:
+        return reduce(lambda x, y: x & y, [c for _, c in checks], F.lit(True))
+
+    def _nodes_of(self, tree: Tree, concept: str) -> list[int]:
+        return [v for v, (_, at) in enumerate(tree.vars) if at is None and tree.concept(v) == concept]
+
+    def check_covered(self, c: Corr, cand) -> list[tuple[int, Column]]:
         """Some target variable interprets the correspondence."""
         if c.kind == "r2r":
-            one = lambda s, t: reduce(lambda x, y: x | y, [self._at(tv) == sv for tv, (n, at) in enumerate(self.t.vars) if at is None and self.t.concept(tv) == t for sv, (m, sat) in enumerate(self.s.vars) if sat is None and self.s.concept(sv) == s], F.lit(False))
-            return one(c.s1, c.t1) & one(c.s2, c.t2)
-        return reduce(lambda x, y: x | y, [self._at(tv) == sv for tv, hits in cand.items() for sv, cid in hits if cid == c.id], F.lit(False))
-
-    def valid_r2r(self) -> Column:
+            out = []
+            for s, t in ((c.s1, c.t1), (c.s2, c.t2)):
+                tvs = self._nodes_of(self.t, t)
+                out.append((max(tvs, default=0), self._any(self._is(tv, sv) for tv in tvs for sv in self._nodes_of(self.s, s))))
+            return out
+        hits = [(tv, sv) for tv, found in cand.items() for sv, cid in found if cid == c.id]
+        return [(max((tv for tv, _ in hits), default=0), self._any(self._is(tv, sv) for tv, sv in hits))]
+
+    def _pairs_on(self, tree: Tree, c1: str, c2: str, want) -> list[tuple[int, int]]:
+        return [
+            (i, j) for i in self._nodes_of(tree, c1) for j in self._nodes_of(tree, c2)
+            if i != j and tree.tree_path(tree.vars[i][0], tree.vars[j][0]) == want
+        ]
+
+    def check_r2r(self) -> list[tuple[int, Column]]:
         """Each covered path correspondence is respected by some pair of mapped node pairs on its two paths."""
-        ok = F.lit(True)
+        out = []
         for c in (c for c in self.covered if c.kind == "r2r"):
             want_s, want_t = (tuple((s.prop, s.inv) for s in p) for p in (c.s_path, c.t_path))
-            pairs = lambda tree, c1, c2, want: [(i, j) for i, (n, x) in enumerate(tree.vars) for j, (m, y) in enumerate(tree.vars) if x is None and y is None and i != j and tree.by_id[n].concept == c1 and tree.by_id[m].concept == c2 and tree.tree_path(n, m) == want]
-            hits = [(self._at(t1) == s1) & (self._at(t2) == s2) for t1, t2 in pairs(self.t, c.t1, c.t2, want_t) for s1, s2 in pairs(self.s, c.s1, c.s2, want_s)]
-            ok = ok & reduce(lambda x, y: x | y, hits, F.lit(False))
-        return ok
+            hits = [(t1, s1, t2, s2) for t1, t2 in self._pairs_on(self.t, c.t1, c.t2, want_t) for s1, s2 in self._pairs_on(self.s, c.s1, c.s2, want_s)]
+            last = max((max(t1, t2) for t1, _, t2, _ in hits), default=0)
+            out.append((last, self._any(self._is(t1, s1) & self._is(t2, s2) for t1, s1, t2, s2 in hits)))
+        return out
 
-    def valid_c2a(self, mode: str = "literal") -> Column:
+    def check_c2a(self, mode: str = "literal") -> list[tuple[int, Column]]:
         """If node m is filled from n, attributes that correspond on their concepts are filled from n as well.
 
         ``relaxed`` lets the attribute stay empty; ``strict`` also keeps an attribute empty while its node is.
         """
-        ok = F.lit(True)
+        out = []
         for tv, (tn, ta) in enumerate(self.t.vars):
             if ta is None:
                 continue
             node_tv = self.t.index[tn, None]
-            tc, fed = self.t.concept(tv), False
+            tc, fed, last = self.t.concept(tv), False, max(tv, node_tv)
             for sv, (sn, sa) in enumerate(self.s.vars):
                 if sa is None or ((self.s.concept(sv), sa), (tc, ta)) not in self.a2a or (self.s.concept(sv), tc) not in self.c2c:
                     continue
                 fed = True
-                same = self._at(tv) == sv
+                same = self._is(tv, sv)
                 if mode == "relaxed":
                     same = same | (self._at(tv) == -1)
-                ok = ok & ((self._at(node_tv) != self.s.index[sn, None]) | same)
+                out.append((last, (self._at(node_tv) != self.s.index[sn, None]) | same))
             if mode == "strict" and fed:
-                ok = ok & ((self._at(node_tv) != -1) | (self._at(tv) == -1))
-        return ok
+                out.append((last, (self._at(node_tv) != -1) | (self._at(tv) == -1)))
+        return out
 
-    def valid_attr_owner(self) -> Column:
+    def check_owner(self) -> list[tuple[int, Column]]:
         """Attributes of target concepts without a concept correspondence come only from individuals that are transferred."""
-        ok, with_c2c = F.lit(True), {t for _, t in self.c2c}
+        out, with_c2c = [], {t for _, t in self.c2c}
         nodes = [tv for tv, (_, at) in enumerate(self.t.vars) if at is None]
-        for tv, (tn, ta) in enumerate(self.t.vars):
+        for tv, (_, ta) in enumerate(self.t.vars):
             if ta is None or self.t.concept(tv) in with_c2c:
                 continue
             for sv, (sn, sa) in enumerate(self.s.vars):
                 if sa is not None and ((self.s.concept(sv), sa), (self.t.concept(tv), ta)) in self.a2a:
-                    moved = reduce(lambda x, y: x | y, [self._at(n) == self.s.index[sn, None] for n in nodes], F.lit(False))
-                    ok = ok & ((self._at(tv) != sv) | moved)
-        return ok
+                    moved = self._any(self._is(n, self.s.index[sn, None]) for n in nodes)
+                    out.append((max([tv, *nodes]), (self._at(tv) != sv) | moved))
+        return out
 
-    def valid_isa(self) -> Column:
+    def check_isa(self) -> list[tuple[int, Column]]:
         """Two mapped nodes of one target individual come from one source individual."""
-        ok = F.lit(True)
+        out, group = [], defaultdict(list)
+        for sv, (sn, sa) in enumerate(self.s.vars):
+            if sa is None:
+                group[self.s.individual(sn)].append(sv)
         for tv, (tn, ta) in enumerate(self.t.vars):
             n = self.t.by_id[tn]
             if ta is None and n.edge == "a":
                 up = self.t.index[n.parent, None]
-                group = defaultdict(list)
-                for sv, (sn, sa) in enumerate(self.s.vars):
-                    if sa is None:
-                        group[self.s.individual(sn)].append(sv)
-                same = reduce(lambda x, y: x | y, [self._at(tv).isin(g) & self._at(up).isin(g) for g in group.values()], F.lit(False))
-                ok = ok & ((self._at(tv) == -1) | (self._at(up) == -1) | same)
-        return ok
+                same = self._any(self._at(tv).isin(g) & self._at(up).isin(g) for g in group.values())
+                out.append((max(tv, up), (self._at(tv) == -1) | (self._at(up) == -1) | same))
+        return out
+
+    def valid_covered(self, c: Corr, cand) -> Column:
+        return self._all(self.check_covered(c, cand))
+
+    def valid_r2r(self) -> Column:
+        return self._all(self.check_r2r())
+
+    def valid_c2a(self, mode: str = "literal") -> Column:
+        return self._all(self.check_c2a(mode))
+
+    def valid_attr_owner(self) -> Column:
+        return self._all(self.check_owner())
+
+    def valid_isa(self) -> Column:
+        return self._all(self.check_isa())
+
+    def checks(self, names: tuple[str, ...] = (), c2a_mode: str = "literal") -> list[tuple[int, Column]]:
+        """All conditions of the named notions (r2r, c2a, owner), with coverage and the subclass rule, which always hold."""
+        cand, out = self.candidates(), self.check_isa()
+        for c in self.covered:
+            out += self.check_covered(c, cand)
+        for name in names:
+            out += {"r2r": self.check_r2r, "c2a": lambda: self.check_c2a(c2a_mode), "owner": self.check_owner}[name]()
+        return out
 
     # Costs.
 
@@ -230,12 +299,32 @@ class Skeleton:
                 total = total + F.when(bound & (s_below != F.lit(t_below)), 1).otherwise(0)
         return total.cast("long")
 
+    def consistency_pairs(self, nodes_only: bool = False):
+        """A function from a target variable to the inconsistent ordered pairs that it forms with earlier ones."""
+        n = len(self.s.vars)
+        below = sorted(i * n + j for i in range(n) for j in range(n) if i != j and self.s.below(i, j))
+        reach = F.array(*[F.lit(x) for x in below]) if below else F.array().cast("array<int>")
+        tvs = [k for k, (_, at) in enumerate(self.t.vars) if at is None or not nodes_only]
+
+        def added(tv: int) -> Column:
+            total = F.lit(0).cast("long")
+            for other in [x for x in tvs if x < tv] if tv in tvs else []:
+                for i, j in ((other, tv), (tv, other)):
+                    bound = (self._at(i) >= 0) & (self._at(j) >= 0)
+                    s_below = F.array_contains(reach, self._at(i) * n + self._at(j))
+                    total = total + F.when(bound & (s_below != F.lit(self.t.below(i, j))), 1).otherwise(0)
+            return total
+
+        return added
+
     def coverage_cost(self) -> Column:
         return F.size(F.filter("asg", lambda x: x == -1)).cast("long")
 
 
-def edge_pairs(spark: SparkSession, a: Alignment, side: str = "t", max_len: int = 4) -> set[tuple[str, str]]:
-    return {(r.root, r.tail) for r in association_paths(spark, a.side(side), a.aligned_concepts(side), max_len).select("root", "tail").distinct().collect()}
+def edge_pairs(spark: SparkSession, a: Alignment, side: str = "t", max_len: int = 4, undirected: bool = False) -> set[tuple[str, str]]:
+    """Pairs of aligned concepts that an association path joins; ``undirected`` counts a path for both directions."""
+    found = {(r.root, r.tail) for r in association_paths(spark, a.side(side), a.aligned_concepts(side), max_len).select("root", "tail").distinct().collect()}
+    return found | {(y, x) for x, y in found} if undirected else found
 
 
 def renamings(
@@ -243,26 +332,48 @@ def renamings(
 ) -> DataFrame:
     """``asg`` arrays of the skeleton's renamings that interpret every covered correspondence and pass the named checks.
 
-    ``checks``: r2r, c2a, owner. The worst-case number of states is known beforehand; beyond ``max_renamings`` it raises.
+    ``checks``: r2r, c2a, owner. Each condition is tested as soon as the last variable that it looks at has its value, so states that
+    cannot end well never multiply. Where more than ``max_renamings`` could end well in the worst case, it raises.
     """
-    cand = sk.candidates()
-    if math.prod(len(h) + 1 for h in cand.values()) > max_renamings * 1000:
+    if bound_of(sk) > max_renamings * 1000:
         raise ValueError("too many renamings to enumerate; use count_renamings")
+    return _fold(spark, sk, source_once, sk.checks(checks, c2a_mode))
+
+
+def bound_of(sk: Skeleton) -> int:
+    """No more renamings than this: values of the free variables; an attribute whose node decides it adds none."""
+    return math.prod(len(h) + 1 for tv, h in sk.candidates().items() if sk.t.vars[tv][1] is None or len(h) > 1 or not h)
+
+
+def _fold(spark: SparkSession, sk: Skeleton, source_once: bool, conditions: list[tuple[int, Column]], each=None) -> DataFrame:
+    """States grow by one variable a step; ``each(state, tv)`` may add columns or drop states after the step."""
+    cand, due = sk.candidates(), defaultdict(list)
+    for last, condition in conditions:
+        due[last].append(condition)
     state = spark.createDataFrame([([],)], "asg array<int>")
     for tv in range(len(sk.t.vars)):
         options = F.array(*[F.lit(x) for x in (-1, *dict.fromkeys(sv for sv, _ in cand[tv]))])
-        state = state.select("asg", F.explode(options).alias("c"))
+        carried = [c for c in state.columns if c != "asg"]
+        state = state.select("asg", *carried, F.explode(options).alias("c"))
         if source_once:
             state = state.where((F.col("c") == -1) | ~F.array_contains("asg", F.col("c")))
-        state = state.select(F.concat("asg", F.array("c")).alias("asg"))
+        state = state.select(F.concat("asg", F.array("c")).alias("asg"), *carried)
+        if due[tv]:
+            state = state.where(reduce(lambda x, y: x & y, due[tv]))
+        if each is not None:
+            state = each(state, tv)
         if tv == 4:
             state = state.repartition(spark.sparkContext.defaultParallelism)
-    ok = sk.valid_isa()
-    for c in sk.covered:
-        ok = ok & sk.valid_covered(c, cand)
-    for name in checks:
-        ok = ok & {"r2r": sk.valid_r2r, "c2a": lambda: sk.valid_c2a(c2a_mode), "owner": sk.valid_attr_owner}[name]()
-    return state.where(ok)
+    return state
+
+
+def brute_force_renamings(spark: SparkSession, sk: Skeleton, source_once: bool = True, checks: tuple[str, ...] = (), c2a_mode: str = "literal") -> DataFrame:
+    """The reference: every combination of candidates first, all conditions last."""
+    state = _fold(spark, sk, False, [])
+    used = F.filter("asg", lambda x: x >= 0)
+    if source_once:
+        state = state.where(F.size(used) == F.size(F.array_distinct(used)))
+    return state.where(sk._all(sk.checks(checks, c2a_mode)))
 
 
 def validity_counts(spark: SparkSession, sk: Skeleton, c2a_mode: str = "literal") -> DataFrame:
@@ -355,6 +466,11 @@ def costed(spark: SparkSession, sk: Skeleton, r: DataFrame, edge_ok: set[tuple[s
     return r.withColumn("combined", F.col("path_cost") + F.col("cons_cost"))
 
 
+def with_cue(r: DataFrame, cue: Column, weight: float = 0.0, by: str = "combined") -> DataFrame:
+    """Add an optional cue (a column that is small for good renamings) to a cost; without a weight it changes nothing."""
+    return r.withColumn("cued", F.col(by) + F.lit(weight) * cue)
+
+
 def histogram(r: DataFrame, by: str) -> DataFrame:
     """(cost, equal, better, rank) per distinct cost: dense ranks without a global sort of the renamings."""
     h = r.groupBy(F.col(by).alias("cost")).agg(F.count(F.lit(1)).alias("equal"))
@@ -363,6 +479,12 @@ def histogram(r: DataFrame, by: str) -> DataFrame:
     return h.select("cost", "equal", before.alias("better"), F.dense_rank().over(w).cast("long").alias("rank"))
 
 
+def lexicographic(r: DataFrame, *by: str) -> DataFrame:
+    """Add ``lex``: dense ranks by the first cost, then the next; from the few distinct cost tuples."""
+    keys = r.select(*by).distinct().withColumn("lex", F.dense_rank().over(W.orderBy(*by)).cast("long"))  # one row per distinct tuple
+    return r.join(F.broadcast(keys), list(by))
+
+
 def rank_renamings(r: DataFrame, by: str) -> DataFrame:
     return r.join(F.broadcast(histogram(r, by)), r[by] == F.col("cost")).drop("cost")  # a row per distinct cost
 
@@ -373,6 +495,30 @@ def gold_position(r: DataFrame, gold: list[int], by: str) -> DataFrame:
     return histogram(r, by).join(F.broadcast(cost), "cost").select(F.lit(by).alias("ranking"), "rank", "better", (F.col("equal") - 1).alias("equal"))
 
 
-def best_renamings(r: DataFrame, k: int, by: str = "combined") -> DataFrame:
-    """The k cheapest renamings; ties by the assignment itself."""
-    return r.orderBy(by, "asg").limit(k)
+def best_renamings(r: DataFrame, k: int, by: str | list[str] = "combined") -> DataFrame:
+    """The k cheapest of renamings at hand, each task keeping k at most; a list of costs ranks lexicographically, ties by the assignment itself."""
+    return r.orderBy(*([by] if isinstance(by, str) else by), "asg").limit(k)
+
+
+def best_by_bounds(spark: SparkSession, sk: Skeleton, k: int, checks: tuple[str, ...] = (), c2a_mode: str = "literal", nodes_only: bool = False) -> DataFrame:
+    """The k most consistent renamings without listing all: (asg, cons_cost).
+
+    A state's inconsistent pairs never get fewer, so its cost so far bounds all that grow from it. The fold runs with a
+    bound of 0, 1, 3, 7, ... and drops states above it, until k renamings are within the bound.
+    """
+    pair = sk.consistency_pairs(nodes_only)
+
+    def within(bound: int) -> DataFrame:
+        def each(state: DataFrame, tv: int) -> DataFrame:
+            before = F.col("cons_cost") if "cons_cost" in state.columns else F.lit(0).cast("long")
+            return state.withColumn("cons_cost", before + pair(tv)).where(F.col("cons_cost") <= bound)
+
+        return _fold(spark, sk, True, sk.checks(checks, c2a_mode), each)
+
+    worst = len(sk.t.vars) ** 2
+    bound = 0
+    while True:
+        top = within(bound).orderBy("cons_cost", "asg").limit(k)
+        if bound >= worst or top.count() == k:
+            return top
+        bound = 2 * bound + 1
