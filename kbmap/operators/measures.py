@@ -54,6 +54,15 @@ def growth(series: DataFrame) -> DataFrame:
     return d.withColumn("second", F.col("diff") - F.lag("diff").over(w))
 
 
+def growth_type(series: DataFrame) -> DataFrame:
+    """(series, growth): linear if the first differences of (series, x, n) agree, quadratic if the second, exponential if the ratios do."""
+    w = W.partitionBy("series").orderBy("x")  # one row per setting of an experiment
+    d = series.withColumn("d", F.col("n") - F.lag("n").over(w)).withColumn("r", F.round(F.col("n") / F.lag("n").over(w), 6)).withColumn("dd", F.col("d") - F.lag("d").over(w))
+    same = lambda c: F.min(c) == F.max(c)
+    kind = F.when(same("d"), "linear").when(same("dd"), "quadratic").when(same("r"), "exponential").otherwise("other")
+    return d.groupBy("series").agg(kind.alias("growth"))
+
+
 def overlap_dictionary(types: DataFrame, threshold: float = 0.2, measure: str = "min", disjoint: list[tuple[str, str]] = ()) -> DataFrame:
     """(c1, c2, shared, ratio): pairs of classes whose individuals overlap enough, from (id, cls).
 

@@ -129,6 +129,10 @@ per AS (SELECT c, greatest(coalesce(nb.n, 0), 1) * greatest(coalesce(nr.n, 0), 1
 """
 
 
+def _names(kb) -> list[str]:
+    return sorted({*kb.classes, *(p.name for p in kb.props)})
+
+
 def oracle_sql() -> dict[str, str]:
     def depth(d):
         return f"WITH RECURSIVE {_paths('s', ['ActiveCustomer', 'Nation'], d)} SELECT root, tail, path_id, hops FROM paths"
@@ -158,9 +162,9 @@ def oracle_sql() -> dict[str, str]:
         "path_cost": f"{_ALL}, h AS (SELECT (c1 = 3)::BIGINT + (c2 = 3)::BIGINT AS cost, count(*) AS equal FROM g WHERE once AND strict AND r2r GROUP BY 1) SELECT cost, equal::BIGINT AS equal, coalesce(sum(equal) OVER (ORDER BY cost ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS better, dense_rank() OVER (ORDER BY cost)::BIGINT AS rank FROM h",
         "coverage_cost": f"{_ALL}, h AS (SELECT (1 + 2 * ((o1 = 0)::INT + (o2 = 0)::INT + (c1 = 0)::INT + (c2 = 0)::INT))::BIGINT AS cost, count(*) AS equal FROM g WHERE once AND strict AND r2r GROUP BY 1) SELECT cost, equal::BIGINT AS equal, coalesce(sum(equal) OVER (ORDER BY cost ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS better, dense_rank() OVER (ORDER BY cost)::BIGINT AS rank FROM h",
         "named_costs": "SELECT * FROM (VALUES ('R1', 0::BIGINT, 0::BIGINT, 1::BIGINT, 1::BIGINT), ('R2', 0, 0, 1, 5), ('R3', 0, 4, 9, 1), ('R4', 1, 1, 3, 1)) v(name, path_cost, cons_nodes, cons_cost, cov_cost)",
-        "e1_counts": "SELECT x, 2 * x + 1 AS mappings, abs(2 * x + 1 - (x + 1 + 10)) AS delta FROM (SELECT unnest(range(1, 11)) AS x)",
-        "e2_counts": "SELECT x, (x + 1) * (x + 2) // 2 AS mappings, abs((x + 1) * (x + 2) // 2 - (x + 1 + 10)) AS delta FROM (SELECT unnest(range(1, 11)) AS x)",
-        "e3_counts": "SELECT x, (2 ** (x + 1))::BIGINT - 1 + x * (x + 1) // 2 AS mappings, abs(x * (x + 1) // 2 - 10) AS delta FROM (SELECT unnest(range(1, 7)) AS x)",
+        "e1_counts": "SELECT x, 2 * x + 1 AS mappings, abs(2 * x + 1 - (x + 1 + 10)) AS delta, 2::BIGINT AS delta_counted FROM (SELECT unnest(range(1, 11)) AS x)",
+        "e2_counts": "SELECT x, (x + 1) * (x + 2) // 2 AS mappings, abs((x + 1) * (x + 2) // 2 - (x + 1 + 10)) AS delta, abs((x + 1) * (x + 2) // 2 - (2 * x + 3)) AS delta_counted FROM (SELECT unnest(range(1, 11)) AS x)",
+        "e3_counts": "SELECT x, (2 ** (x + 1))::BIGINT - 1 + x * (x + 1) // 2 AS mappings, abs(x * (x + 1) // 2 - 10) AS delta, abs(x * (x + 1) // 2 - (x + 2)) AS delta_counted FROM (SELECT unnest(range(1, 9)) AS x)",
         "e4_counts": "WITH m AS (SELECT k, k + 1 AS o, k + 2 AS c FROM (SELECT unnest(range(1, 4)) AS k)), p AS (SELECT *, o * o + o AS po, c * c + c AS pc, o * (o - 1) + 2 * o * o AS go, c * (c - 1) + 2 * c * c AS gc FROM m) SELECT k, po * po * pc * pc * o AS baseline, o * pc * po * pc * o AS r2r, go * gc * o AS c2a, po * pc * o AS strict FROM p",
         "suggest_r2r": "SELECT * FROM (VALUES ('opendata', 'wrote/about', 'has_skill'), ('orders', '^placed_by', 'submits'), ('conversations', '^in_conv', 'has_utterance')) v(scenario, source_path, target_path)",
         "fragment_d1": "SELECT * FROM (VALUES ('class', 'Customer'), ('class', 'Supplier'), ('class', 'Nation'), ('prop', 'c_name'), ('prop', 's_name'), ('prop', 's_acctbal'), ('prop', 'n_name'), ('prop', 'supplier_in'), ('prop', 'lives_in')) v(kind, name)",
@@ -184,7 +188,37 @@ UNION SELECT 'nation/' || n_nationkey, 'type', 'iri', 'Country' FROM nation UNIO
         "migrate_exchange": "SELECT 'located' AS p, (SELECT count(*) FROM customer) + (SELECT count(*) FROM supplier) AS n UNION ALL SELECT 'name', count(*) FROM customer UNION ALL SELECT 'placedBy', count(*) FROM orders UNION ALL SELECT 'nation_name', count(*) FROM (SELECT c_nationkey FROM customer UNION SELECT s_nationkey FROM supplier) UNION ALL SELECT 'type', 2 * (SELECT count(*) FROM customer) + 2 * (SELECT count(*) FROM supplier) + (SELECT count(*) FROM orders) + (SELECT count(*) FROM (SELECT c_nationkey FROM customer UNION SELECT s_nationkey FROM supplier))",
         "inverse_exchange": "SELECT 'cust/' || o_custkey AS s, 'submits' AS p, 'order/' || o_orderkey AS o FROM orders",
         "conversation_exchange": "SELECT DISTINCT 'conv/' || conv_id AS s, 'type' AS p, 'iri' AS o_kind, 'Dialogue' AS o FROM conversations UNION SELECT 'turn/' || conv_id || '.' || turn, 'type', 'iri', 'Utterance' FROM conversations UNION SELECT 'conv/' || conv_id, 'has_utterance', 'iri', 'turn/' || conv_id || '.' || turn FROM conversations UNION SELECT 'turn/' || conv_id || '.' || turn, 'speaker', 'lit', role FROM conversations",
-        "cycle_links": "SELECT 'cust/' || a.c_custkey AS s, 'linked' AS p, 'cust/' || b.c_custkey AS o FROM customer a JOIN customer b USING (c_nationkey, c_mktsegment) WHERE a.c_custkey < b.c_custkey",
+        "cycle_exchange": """WITH t AS (SELECT 'turn/' || conv_id || '.' || turn AS k, 'conv/' || conv_id AS c, role, 'turn/' || conv_id || '.' || lag(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS before FROM conversations)
+SELECT k AS s, 'type' AS p, 'iri' AS o_kind, 'Utterance' AS o FROM t UNION SELECT k, 'speaker', 'lit', role FROM t WHERE role IS NOT NULL UNION SELECT k, 'answers', 'iri', before FROM t WHERE before IS NOT NULL
+UNION SELECT k, 'part_of', 'iri', c FROM t UNION SELECT c, 'type', 'iri', 'Dialogue' FROM t""",
+        "exchange_all_orders": """SELECT 'cust/' || c_custkey AS s, 'type' AS p, 'iri' AS o_kind, 'Client' AS o FROM customer UNION SELECT 'order/' || o_orderkey, 'type', 'iri', 'Purchase' FROM orders
+UNION SELECT 'order/' || o_orderkey, 'status', 'lit', o_orderstatus FROM orders UNION SELECT 'cust/' || o_custkey, 'submits', 'iri', 'order/' || o_orderkey FROM orders""",
+        "op_growth_types": "SELECT * FROM (VALUES ('breadth', 'linear'), ('depth', 'quadratic'), ('doubling', 'exponential')) v(series, growth)",
+        "op_range_join": "SELECT floor(o_totalprice / 40000)::BIGINT AS band, count(*) AS n FROM orders WHERE o_totalprice >= 0 AND o_totalprice < 480000 GROUP BY 1",
+        "op_overlap_join": "SELECT a.user_id, count(*) AS pairs FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id < b.event_id AND abs(epoch(date_trunc('second', a.ts)) - epoch(date_trunc('second', b.ts))) < 3600 GROUP BY 1",
+        "op_asof_join": "SELECT o_orderkey, (SELECT max_by(event_id, (ts, event_id)) FROM events e WHERE e.user_id = o.o_custkey AND e.ts <= o.o_orderdate) AS event_id FROM orders o",
+        "op_salted_join": "SELECT s_nationkey, sum(l_quantity::BIGINT)::BIGINT AS q, count(*) AS n FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1",
+        "op_hash_sample": "SELECT o_orderkey FROM orders WHERE ('0x' || substr(md5(o_orderkey::VARCHAR || ':7'), 1, 8))::BIGINT / 4294967296.0::DOUBLE < 0.1",
+        "op_name_matches": f"""WITH a(l) AS (VALUES {_values((x,) for x in _names(scenarios.migration().source))}), b(r) AS (VALUES {_values((x,) for x in _names(scenarios.migration().target))})
+SELECT l, r, round(1 - levenshtein(lower(l), lower(r)) / greatest(length(l), length(r)), 6) AS score FROM a, b WHERE 1 - levenshtein(lower(l), lower(r)) / greatest(length(l), length(r)) >= 0.6""",
+        "op_event_pivot": "SELECT strftime(ts, '%Y-%m') AS month, " + ", ".join(f"count(*) FILTER (WHERE event_type = '{k}') AS {k}" for k in ("click", "purchase", "view", "signup", "error")) + " FROM events GROUP BY 1",
+        "op_price_summary": "SELECT o_orderpriority, max_by(o_orderkey, (o_totalprice, o_orderkey)) AS dearest, round(quantile_cont(o_totalprice, 0.5), 4) AS median FROM orders GROUP BY 1",
+        "op_segment_map": "WITH c AS (SELECT c_nationkey, c_mktsegment, count(*) AS n FROM customer GROUP BY 1, 2) SELECT c_nationkey, coalesce(string_agg(c_mktsegment || '=' || n, ',' ORDER BY c_mktsegment || '=' || n) FILTER (WHERE n > 1), '') AS segments FROM c GROUP BY 1",
+        "op_cube": "SELECT o_orderstatus, o_orderpriority, count(*) AS n, grouping_id(o_orderstatus, o_orderpriority)::BIGINT AS g FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)",
+        "op_sessions": """WITH g AS (SELECT user_id, ts, sum(CASE WHEN ts - before < INTERVAL 6 HOUR THEN 0 ELSE 1 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k
+  FROM (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events))
+SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS start, count(*) AS n FROM g GROUP BY user_id, k""",
+        "op_hashed_blanks": "SELECT '_:' || sha256('_:r,5(cust/' || c_custkey || ',nation/' || c_nationkey || ')') AS node FROM customer",
+        "bench_condition_on_value": "SELECT 'part/' || p_partkey AS s, 'type' AS p, CASE WHEN p_size > 25 THEN 'LargePart' ELSE 'SmallPart' END AS o FROM part",
+        "bench_condition_on_property": "SELECT 'order/' || o_orderkey AS s, 'type' AS p, 'FilledOrder' AS o FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem)",
+        "bench_aggregate": "SELECT 'cust/' || o_custkey AS s, 'order_count' AS p, count(*)::VARCHAR AS o FROM orders GROUP BY o_custkey",
+        "bench_value_function": "SELECT 'cust/' || c_custkey AS s, 'balance_eur' AS p, (c_acctbal::DECIMAL(16,2) * 0.5::DECIMAL(2,1))::DECIMAL(18,2)::VARCHAR AS o FROM customer",
+        "bench_concat": "SELECT 'part/' || p_partkey AS s, 'caption' AS p, concat_ws(' ', p_brand, p_type) AS o FROM part",
+        "bench_datatype": "SELECT 'part/' || p_partkey AS s, 'size' AS p, p_size::DECIMAL(10,1)::VARCHAR || '^^decimal' AS o FROM part",
+        "bench_lang_add": "SELECT 'doc/' || doc_id AS s, 'source' AS p, source || '@' || coalesce(lang, 'und') AS o FROM documents WHERE source IS NOT NULL",
+        "bench_lang_drop": "SELECT 'doc/' || doc_id AS s, 'source' AS p, source AS o FROM documents WHERE source IS NOT NULL",
+        "bench_uri_literal": "SELECT '<' || url || '>' AS s, 'address' AS p, url AS o FROM pages WHERE url IS NOT NULL",
+        "bench_fusion": "SELECT 'party/' || c_custkey AS s, 'name' AS p, c_name AS o FROM customer UNION SELECT 'party/' || s_suppkey, 'name', s_name FROM supplier",
         "path_r2r_exchange": f"WITH {_SALES} SELECT count(*) AS pairs FROM (SELECT DISTINCT x.c, y.c FROM b x JOIN b y ON x.s = y.s AND 'cust/' || x.c < 'cust/' || y.c)",
         "overlap_dictionary": "WITH t AS (SELECT p_partkey AS id, 'brand:' || p_brand AS cls FROM part UNION ALL SELECT p_partkey, 'type:' || p_type FROM part UNION ALL SELECT p_partkey, 'size:large' FROM part WHERE p_size > 40), n AS (SELECT cls, count(*) AS n FROM t GROUP BY cls) SELECT a.cls AS c1, b.cls AS c2, count(*) AS shared, round(count(*) / least(any_value(x.n), any_value(y.n)), 6) AS ratio FROM t a JOIN t b ON a.id = b.id AND a.cls < b.cls JOIN n x ON x.cls = a.cls JOIN n y ON y.cls = b.cls GROUP BY 1, 2 HAVING round(count(*) / least(any_value(x.n), any_value(y.n)), 6) >= 0.2",
         "op_growth": "SELECT x, n, n - lag(n) OVER (ORDER BY x) AS diff, round(n / lag(n) OVER (ORDER BY x), 6) AS ratio, CASE WHEN x > 2 THEN 0::BIGINT END AS second FROM (SELECT x, 2 * x + 1 AS n FROM (SELECT unnest(range(1, 11)) AS x))",

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from functools import lru_cache
+from functools import lru_cache, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .functions.paths import iri
-from .operators import assoc, baselines, interpret, measures
+from .operators import assoc, baselines, interpret, measures, relational
+from .plans import generate
 from .plans.rules import Rule, exchange, to_sparql
 from .sources import patterns, scenarios
 from .streaming import incremental
@@ -21,7 +22,10 @@ def _trees(spark: SparkSession, name: str, side: str) -> dict:
     return assoc.semantic_associations(spark, _ALIGNMENTS[name](), side)
 
 
-_ALIGNMENTS = {"w0": scenarios.running, "w1": scenarios.open_data, "w2": scenarios.migration, "w3": scenarios.inverse_orders, "w3b": scenarios.conversations}
+_ALIGNMENTS = {"w0": scenarios.running, "w1": scenarios.open_data, "w2": scenarios.migration, "w3": scenarios.inverse_orders, "w3b": scenarios.conversations, "w4": scenarios.cyclic}
+_SOURCES = {"w0": scenarios.sales_source, "w1": scenarios.open_data_source, "w2": scenarios.sales_source, "w3": scenarios.sales_source, "w3b": scenarios.conversation_source, "w4": scenarios.conversation_source}
+#: Bounds of paths and trees: one step further round a cycle makes a copy of every branch.
+_BOUNDS = {"w4": (2, 2)}
 
 
 def _skeleton(spark: SparkSession, name: str, s_root: str, t_root: str) -> interpret.Skeleton:
@@ -204,13 +208,19 @@ def best_renamings(spark, sf_dir):
 
 
 def _series(depth, children, per, xs):
+    """(x, mappings, delta, delta_counted): ``delta`` against all correspondences of the alignment, ``delta_counted`` against those of classes
+    and of the attributes that move (with one more), which is what the printed differences count."""
+
     def query(spark, sf_dir):
         parts = {f"x{x}_": scenarios.taxonomy(depth(x), children(x), x, per=per) for x in xs}
         a = scenarios.merged(parts)
-        sides = [interpret.summaries(spark, a, assoc.semantic_associations(spark, a, s, 10, 10), s) for s in "st"]
+        # Only isa steps lead to an aligned class here, and the next class is always aligned: paths have one step.
+        sides = [interpret.summaries(spark, a, assoc.semantic_associations(spark, a, s, 1, 10), s) for s in "st"]
         out = interpret.reduced_skeletons(*sides).groupBy(F.regexp_extract("s_root", r"^x(\d+)_", 1).cast("long").alias("x")).agg(F.count(F.lit(1)).alias("mappings"))
-        counts = spark.createDataFrame([(x, len(p.corrs)) for x, p in ((x, parts[f"x{x}_"]) for x in xs)], "x long, corrs long")
-        return out.join(F.broadcast(counts), "x").select("x", "mappings", F.abs(F.col("mappings") - F.col("corrs")).alias("delta"))
+        sizes = [(x, len(p.corrs), sum(c.kind == "c2c" for c in p.corrs) + (x + 2)) for x, p in ((x, parts[f"x{x}_"]) for x in xs)]
+        counts = spark.createDataFrame(sizes, "x long, corrs long, counted long")
+        d = lambda c: F.abs(F.col("mappings") - F.col(c))
+        return out.join(F.broadcast(counts), "x").select("x", "mappings", d("corrs").alias("delta"), d("counted").alias("delta_counted"))
 
     return query
 
@@ -226,6 +236,95 @@ def e4_counts(spark, sf_dir):
     return spark.createDataFrame(rows, "k long, baseline long, r2r long, c2a long, strict long")
 
 
+# --- from alignment to facts -------------------------------------------------------------------------------------
+
+
+@lru_cache(maxsize=16)
+def _generation(spark: SparkSession, name: str) -> generate.Generation:
+    return generate.Generation(spark, _ALIGNMENTS[name](), *_BOUNDS.get(name, (4, 6)))
+
+
+def _source(spark, sf_dir, name):
+    return _SOURCES[name](spark, sf_dir, _ALIGNMENTS[name]().source)
+
+
+def all_mappings(spark, sf_dir):
+    """Every valid mapping of every kept skeleton of the running scenario, with costs and rank within its skeleton."""
+    out = generate.ranked(_generation(spark, "w0").mappings())
+    return out.select("s_root", "t_root", F.array_join("asg", ",").alias("asg"), "path_cost", "cons_cost", "cov_cost", "combined", "rank", "better")
+
+
+def _exchange_of(name):
+    def query(spark, sf_dir):
+        return generate.exchange_all(_generation(spark, name), _source(spark, sf_dir, name))
+
+    return query
+
+
+def usecase_counts(spark, sf_dir):
+    """(scenario, baseline, r2r, c2a, both): mappings of all skeletons under each combination of the validity notions."""
+    parts = [_generation(spark, n).validity_table().select(F.lit(n).alias("scenario"), "*") for n in ("w1", "w2", "w3", "w3b", "w4")]
+    return reduce(DataFrame.unionByName, parts)
+
+
+_GOLD = {
+    "w1": ("Author", "Person", {"Person": "Author", "Person>has_skill/Skill": "Author>wrote/Document/about/Topic"}),
+    "w2": ("Customer", "Customer2", {"Customer2": "Customer", "Customer2>Party/located/Nation2": "Customer>lives_in/Nation"}),
+    "w3": ("Order", "Client", {"Client": "Order>placed_by/Customer", "Client>submits/Purchase": "Order"}),
+    "w4": ("Turn", "Utterance", {"Utterance": "Turn", "Utterance>answers/Utterance": "Turn>replies_to/Turn", "Utterance>part_of/Dialogue": "Turn>in_conv/Conversation"}),
+}
+_RANKINGS = ("cov_cost", "path_cost", "cons_cost", "combined")
+
+
+def usecase_ranks(spark, sf_dir):
+    """(scenario, ranking, rank, better, equal) of each scenario's desired mapping among the valid ones of its skeleton."""
+    parts = []
+    for name, (s_root, t_root, nodes) in _GOLD.items():
+        gen = _generation(spark, name)
+        sk = interpret.Skeleton(gen.a, gen.trees["s"][s_root], gen.trees["t"][t_root])
+        r = interpret.costed(spark, sk, interpret.renamings(spark, sk, checks=generate.ALL_CHECKS))
+        parts += [interpret.gold_position(r, assignment(sk, nodes), by).select(F.lit(name).alias("scenario"), "*") for by in _RANKINGS]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def brute_force_renamings(spark, sf_dir):
+    """The reference enumeration of the cyclic scenario's largest skeleton, conditions last."""
+    gen = _generation(spark, "w4")
+    sk = max(gen.skeletons.values(), key=lambda k: (len(k.t.vars), len(k.s.vars)))
+    return interpret.brute_force_renamings(spark, sk, checks=("r2r", "c2a")).select(F.array_join("asg", ",").alias("asg"))
+
+
+def best_by_bounds(spark, sf_dir):
+    return interpret.best_by_bounds(spark, w0_skeleton(spark), 5, ("r2r", "c2a", "owner"), "strict").select(F.array_join("asg", ",").alias("asg"), "cons_cost")
+
+
+def ranking_lexicographic(spark, sf_dir):
+    sk = w0_skeleton(spark)
+    r = interpret.costed(spark, sk, interpret.renamings(spark, sk, checks=("r2r", "c2a"), c2a_mode="strict"))
+    out = interpret.lexicographic(r, "path_cost", "cons_cost")
+    return out.groupBy("path_cost", "cons_cost", "lex").agg(F.count(F.lit(1)).alias("n"))
+
+
+def capability_matrix(spark, sf_dir):
+    """(scenario, full, aligned_properties, shortest, annotated): facts that each way of finding associations makes of the gold mapping's."""
+    rows = []
+    for name, (s_root, t_root, nodes) in _GOLD.items():
+        gen = _generation(spark, name)
+        a, has = gen.a, {}
+        plain = {s: baselines.aligned_property_associations(spark, a, s, max_len=gen.max_len, max_depth=gen.max_depth) for s in "st"}
+        paths = {s: assoc._settle(baselines.shortest_associations(assoc.association_paths(spark, a.side(s), a.aligned_concepts(s), gen.max_len)), assoc.PATH_SCHEMA) for s in "st"}
+        short = {s: assoc.semantic_associations(spark, a, s, gen.max_len, gen.max_depth, paths[s]) for s in "st"}
+        for way, trees in (("full", gen.trees), ("aligned_properties", plain), ("shortest", short)):
+            has[way] = set(nodes) <= set(trees["t"][t_root].by_id) and set(nodes.values()) <= set(trees["s"][s_root].by_id)
+        rows.append((name, *(has[w] for w in ("full", "aligned_properties", "shortest"))))
+    return spark.createDataFrame(rows, "scenario string, full boolean, aligned_properties boolean, shortest boolean")
+
+
+def examples_by_rank(spark, sf_dir):
+    """Three individuals of most facts for each of the three best mappings of the running scenario."""
+    return generate.examples(_generation(spark, "w0"), _source(spark, sf_dir, "w0"), 3)
+
+
 def suggest_r2r(spark, sf_dir):
     """Path correspondences read off a renaming: tree paths between mapped nodes on both sides that no given one states."""
     rows = []
@@ -374,13 +473,6 @@ def conversation_exchange(spark, sf_dir):
     return exchange([Rule(sk, asg, "conv")], scenarios.conversation_source(spark, sf_dir, sk.a.source))
 
 
-def cycle_links(spark, sf_dir):
-    """The self-property of the cyclic scenario: customers of one nation and segment, lower key to higher."""
-    c = scenarios.table(spark, sf_dir, "customer")
-    a, b = c.select(F.col("c_custkey").alias("x"), "c_nationkey", "c_mktsegment"), c.select(F.col("c_custkey").alias("y"), "c_nationkey", "c_mktsegment")
-    return a.join(b, ["c_nationkey", "c_mktsegment"]).where("x < y").select(iri("cust", "x").alias("s"), F.lit("linked").alias("p"), iri("cust", "y").alias("o"))
-
-
 def path_r2r_exchange(spark, sf_dir):
     """Two-step source path to one target property: active customers that bought from one supplier are related."""
     src = _sales(spark, sf_dir)
@@ -407,6 +499,146 @@ def op_growth(spark, sf_dir):
     return measures.growth(spark.createDataFrame([(x, 2 * x + 1) for x in range(1, 11)], "x long, n long"))
 
 
+def op_growth_types(spark, sf_dir):
+    """The kind of growth of three printed series' rules."""
+    rows = [(name, x, n) for name, f in (("breadth", lambda x: 2 * x + 1), ("depth", lambda x: (x + 1) * (x + 2) // 2), ("doubling", lambda x: 3 * 2**x)) for x, n in ((x, f(x)) for x in range(1, 11))]
+    return measures.growth_type(spark.createDataFrame(rows, "series string, x long, n long"))
+
+
+def op_range_join(spark, sf_dir):
+    """Orders by price band."""
+    bands = spark.range(0, 12).select(F.col("id").alias("band"), (F.col("id") * 40000.0).alias("low"), ((F.col("id") + 1) * 40000.0).alias("high"))
+    orders = scenarios.table(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice")
+    return relational.range_join(orders, "o_totalprice", bands, "low", "high", 100000.0).groupBy("band").agg(F.count(F.lit(1)).alias("n"))
+
+
+def op_overlap_join(spark, sf_dir):
+    """Per user the pairs of events whose following hours overlap."""
+    e = scenarios.table(spark, sf_dir, "events").select("user_id", "event_id", F.unix_timestamp(F.col("ts").cast("timestamp")).alias("start")).withColumn("stop", F.col("start") + 3600)
+    met = relational.overlap_join(e, e, ["user_id"], 7200).where("event_id < r_event_id")
+    return met.groupBy("user_id").agg(F.count(F.lit(1)).alias("pairs"))
+
+
+def op_asof_join(spark, sf_dir):
+    """Each order with its customer's last event before it."""
+    orders = scenarios.table(spark, sf_dir, "orders").select("o_orderkey", F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("at"))
+    events = scenarios.table(spark, sf_dir, "events").select("user_id", "ts", "event_id")
+    return relational.as_of_join(orders, events, "user_id", "at", "ts", ["event_id"]).select("o_orderkey", "event_id")
+
+
+def op_salted_join(spark, sf_dir):
+    """Revenue by supplier nation, hot suppliers spread."""
+    lines = scenarios.table(spark, sf_dir, "lineitem").select(F.col("l_suppkey").alias("k"), "l_orderkey", "l_linenumber", F.col("l_quantity").cast("long").alias("q"))
+    hot = lines.groupBy("k").count().where("count > 1000")
+    supp = scenarios.table(spark, sf_dir, "supplier").select(F.col("s_suppkey").alias("k"), "s_nationkey")
+    return relational.salted_join(lines, supp, "k", 8, hot).groupBy("s_nationkey").agg(F.sum("q").alias("q"), F.count(F.lit(1)).alias("n"))
+
+
+def op_hash_sample(spark, sf_dir):
+    return relational.hash_sample(scenarios.table(spark, sf_dir, "orders"), F.col("o_orderkey"), 0.1).select("o_orderkey")
+
+
+def op_name_matches(spark, sf_dir):
+    """Properties of the migrated knowledge base that a name matcher would align."""
+    a = scenarios.migration()
+    names = lambda kb: spark.createDataFrame([(x,) for x in sorted({*kb.classes, *(p.name for p in kb.props)})], "name string")
+    return relational.name_matches(names(a.source), names(a.target))
+
+
+def op_event_pivot(spark, sf_dir):
+    e = scenarios.table(spark, sf_dir, "events")
+    kinds = ("click", "purchase", "view", "signup", "error")
+    return e.groupBy(F.date_format("ts", "yyyy-MM").alias("month")).pivot("event_type", list(kinds)).agg(F.count(F.lit(1))).select("month", *[F.coalesce(k, F.lit(0)).cast("long").alias(k) for k in kinds])
+
+
+def op_price_summary(spark, sf_dir):
+    """The dearest order and the median price of each priority."""
+    o = scenarios.table(spark, sf_dir, "orders")
+    return o.groupBy("o_orderpriority").agg(F.max_by("o_orderkey", F.struct("o_totalprice", "o_orderkey")).alias("dearest"), F.round(F.percentile("o_totalprice", 0.5), 4).alias("median"))
+
+
+def op_segment_map(spark, sf_dir):
+    """A map of customers by segment for each nation, as sorted entries."""
+    c = scenarios.table(spark, sf_dir, "customer").groupBy("c_nationkey", "c_mktsegment").agg(F.count(F.lit(1)).alias("n"))
+    m = c.groupBy("c_nationkey").agg(F.map_from_entries(F.collect_list(F.struct("c_mktsegment", "n"))).alias("m"))
+    big = F.map_filter("m", lambda k, v: v > 1)
+    return m.select("c_nationkey", F.array_join(F.array_sort(F.transform(F.map_entries(big), lambda e: F.concat(e.key, F.lit("="), e.value.cast("string")))), ",").alias("segments"))
+
+
+def op_cube(spark, sf_dir):
+    """Orders by status and priority in all groupings."""
+    o = scenarios.table(spark, sf_dir, "orders")
+    return o.cube("o_orderstatus", "o_orderpriority").agg(F.count(F.lit(1)).alias("n"), F.grouping_id().cast("long").alias("g"))
+
+
+def op_sessions(spark, sf_dir):
+    """Sessions of users: events less than six hours apart."""
+    e = scenarios.table(spark, sf_dir, "events").withColumn("at", F.col("ts").cast("timestamp"))
+    return e.groupBy("user_id", F.session_window("at", "6 hours")).agg(F.count(F.lit(1)).alias("n")).select("user_id", F.date_format("session_window.start", "yyyy-MM-dd HH:mm:ss").alias("start"), "n")
+
+
+def op_hashed_blanks(spark, sf_dir):
+    """Invented nodes under hashed names."""
+    from .functions.paths import skolem
+
+    c = scenarios.table(spark, sf_dir, "customer")
+    return c.select(skolem("r,5", [iri("cust", "c_custkey"), iri("nation", "c_nationkey")], hashed=True).alias("node"))
+
+
+def bench_condition_on_value(spark, sf_dir):
+    """A class by a condition on a value: outside the rule language, a plain operator."""
+    p = scenarios.table(spark, sf_dir, "part")
+    return p.select(iri("part", "p_partkey").alias("s"), F.lit("type").alias("p"), F.when(F.col("p_size") > 25, "LargePart").otherwise("SmallPart").alias("o"))
+
+
+def bench_condition_on_property(spark, sf_dir):
+    o, li = scenarios.table(spark, sf_dir, "orders"), scenarios.table(spark, sf_dir, "lineitem")
+    filled = o.join(li, o.o_orderkey == li.l_orderkey, "left_semi")
+    return filled.select(iri("order", "o_orderkey").alias("s"), F.lit("type").alias("p"), F.lit("FilledOrder").alias("o"))
+
+
+def bench_aggregate(spark, sf_dir):
+    o = scenarios.table(spark, sf_dir, "orders")
+    return o.groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n")).select(iri("cust", "o_custkey").alias("s"), F.lit("order_count").alias("p"), F.col("n").cast("string").alias("o"))
+
+
+def bench_value_function(spark, sf_dir):
+    c = scenarios.table(spark, sf_dir, "customer")
+    return c.select(iri("cust", "c_custkey").alias("s"), F.lit("balance_eur").alias("p"), (F.col("c_acctbal").cast("decimal(18,2)") * F.lit("0.5").cast("decimal(2,1)")).cast("decimal(18,2)").cast("string").alias("o"))
+
+
+def bench_concat(spark, sf_dir):
+    p = scenarios.table(spark, sf_dir, "part")
+    return p.select(iri("part", "p_partkey").alias("s"), F.lit("caption").alias("p"), F.concat_ws(" ", "p_brand", "p_type").alias("o"))
+
+
+def bench_datatype(spark, sf_dir):
+    p = scenarios.table(spark, sf_dir, "part")
+    return p.select(iri("part", "p_partkey").alias("s"), F.lit("size").alias("p"), F.concat(F.col("p_size").cast("decimal(10,1)").cast("string"), F.lit("^^decimal")).alias("o"))
+
+
+def bench_lang_add(spark, sf_dir):
+    d = scenarios.table(spark, sf_dir, "documents")
+    return d.where("source is not null").select(iri("doc", "doc_id").alias("s"), F.lit("source").alias("p"), F.concat("source", F.lit("@"), F.coalesce("lang", F.lit("und"))).alias("o"))
+
+
+def bench_lang_drop(spark, sf_dir):
+    return bench_lang_add(spark, sf_dir).withColumn("o", F.regexp_replace("o", "@[a-z]+$", ""))
+
+
+def bench_uri_literal(spark, sf_dir):
+    p = scenarios.table(spark, sf_dir, "pages")
+    return p.where("url is not null").select(F.concat(F.lit("<"), "url", F.lit(">")).alias("s"), F.lit("address").alias("p"), F.col("url").alias("o"))
+
+
+def bench_fusion(spark, sf_dir):
+    """Customers and suppliers of one nation and number become one party."""
+    c, s = scenarios.table(spark, sf_dir, "customer"), scenarios.table(spark, sf_dir, "supplier")
+    party = lambda k: iri("party", k)
+    a = c.select(party("c_custkey").alias("s"), F.lit("name").alias("p"), F.col("c_name").alias("o"))
+    return a.unionByName(s.select(party("s_suppkey").alias("s"), F.lit("name").alias("p"), F.col("s_name").alias("o"))).distinct()
+
+
 def op_replies(spark, sf_dir):
     kb = scenarios.conversations().source
     return scenarios.conversation_source(spark, sf_dir, kb).objects["replies_to"]()
@@ -460,11 +692,15 @@ def queries() -> dict:
         kb_profile, alignment_profile, aligned_concepts, basic_assoc, schema_hops, assoc_paths, tree_nodes, tree_reach, tree_variables, skeletons_all, skeletons_pruned_target,
         skeletons_pruned_both, candidates, validity_counts, named_costs, gold_position, best_renamings, e4_counts, suggest_r2r, construct_scoped, exchange_gold, construct_joint,
         construct_per_solution, construct_multi_renaming, blank_stats, pattern_eval, simplify_profile, independent_rules, aligned_prop_exchange, annotated_exchange, facts_lost, fact_recall,
-        fk_profile, shortest_assoc, overlap_dictionary, opendata_exchange, migrate_exchange, inverse_exchange, conversation_exchange, cycle_links, path_r2r_exchange, sparql_text,
+        fk_profile, shortest_assoc, overlap_dictionary, opendata_exchange, migrate_exchange, inverse_exchange, conversation_exchange, path_r2r_exchange, sparql_text, all_mappings, usecase_counts, usecase_ranks,
+        brute_force_renamings, best_by_bounds, ranking_lexicographic, capability_matrix, examples_by_rank, op_growth_types, op_range_join, op_overlap_join, op_asof_join, op_salted_join, op_hash_sample,
+        op_name_matches, op_event_pivot, op_price_summary, op_segment_map, op_cube, op_sessions, op_hashed_blanks, bench_condition_on_value, bench_condition_on_property, bench_aggregate,
+        bench_value_function, bench_concat, bench_datatype, bench_lang_add, bench_lang_drop, bench_uri_literal, bench_fusion,
         examples_topn, op_growth, op_replies, op_fact_rollup, op_event_facts, op_events_by_day, op_event_json, op_page_titles, bench_property_to_path, bench_flatten, bench_sink_property,
     )
     found = {f.__name__: f for f in plain}
     found |= {f"bench_{f.__name__}": f for f in (patterns.rename_class, patterns.rename_property, patterns.hoist_property, patterns.resourcify)}
+    found |= {f"exchange_all_{k}": _exchange_of(n) for k, n in (("orders", "w3"), ("migration", "w2"))} | {"cycle_exchange": _exchange_of("w4")}
     for d in (1, 2, 3, 4):
         found[f"assoc_paths_depth{d}"] = lambda spark, sf_dir, d=d: _paths(spark, "s", d)
     found |= {
@@ -473,6 +709,6 @@ def queries() -> dict:
         "renamings_multiuse": _renaming_count(("r2r", "c2a"), "literal", False), "renamings_relaxed": _renaming_count(("r2r", "c2a"), "relaxed"),
         "path_cost": _cost_histogram("path_cost"), "consistency_cost": _cost_histogram("cons_cost"), "coverage_cost": _cost_histogram("cov_cost"), "ranking_combined": _cost_histogram("combined"),
         "e1_counts": _series(lambda x: 1, lambda x: x, "class", range(1, 11)), "e2_counts": _series(lambda x: x, lambda x: 1, "class", range(1, 11)),
-        "e3_counts": _series(lambda x: x, lambda x: 2, "level", range(1, 7)), "fragment_d1": _fragment(1), "fragment_d2": _fragment(2),
+        "e3_counts": _series(lambda x: x, lambda x: 2, "level", range(1, 9)), "fragment_d1": _fragment(1), "fragment_d2": _fragment(2),
     }
     return found

@@ -177,6 +177,16 @@ def conversations() -> Alignment:
     return Alignment(s, t, [corr_c2c("c1", "Conversation", "Dialogue"), corr_c2c("c2", "Turn", "Utterance"), corr_a2a("a1", "Turn", "role", "Utterance", "speaker")])
 
 
+def cyclic() -> Alignment:
+    """Turns that answer turns: a property whose two ends are one class, on both sides."""
+    s = KB("src", ["Conversation", "Turn"], [Prop("role", "Turn"), Prop("in_conv", "Turn", "Conversation"), Prop("replies_to", "Turn", "Turn")])
+    t = KB("tgt", ["Dialogue", "Utterance"], [Prop("speaker", "Utterance"), Prop("part_of", "Utterance", "Dialogue"), Prop("answers", "Utterance", "Utterance")])
+    return Alignment(s, t, [
+        corr_c2c("c1", "Conversation", "Dialogue"), corr_c2c("c2", "Turn", "Utterance"), corr_a2a("a1", "Turn", "role", "Utterance", "speaker"),
+        corr_r2r("r1", "Turn", "replies_to", "Turn", "Utterance", "answers", "Utterance"),
+    ])
+
+
 def conversation_source(spark: SparkSession, sf_dir: str, kb: KB) -> Source:
     conv = lambda: table(spark, sf_dir, "conversations").withColumn("key", F.concat_ws(".", "conv_id", "turn"))
     return Source(
