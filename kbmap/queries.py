@@ -306,7 +306,7 @@ def ranking_lexicographic(spark, sf_dir):
 
 
 def capability_matrix(spark, sf_dir):
-    """(scenario, full, aligned_properties, shortest, annotated): facts that each way of finding associations makes of the gold mapping's."""
+    """(scenario, full, aligned_properties, shortest): whether each way of finding associations has the nodes of the desired mapping."""
     rows = []
     for name, (s_root, t_root, nodes) in _GOLD.items():
         gen = _generation(spark, name)
