@@ -2,18 +2,19 @@
 
 Equal vectors collapse first. A coarse k-means, fitted on a bounded sample, cuts the distinct vectors
 into inverted lists; sub-space codebooks code the residuals. Each vector probes every list that can hold a vector within the
-threshold, by bounds and not by a count: look-up tables give the asymmetric distance to every coded member, members whose distance can reach the
-threshold (the code's own error is stored, so the triangle inequality loses none of a probed list)
-are compared by exact double-precision cosine. Lists are cut in blocks of bounded size, so no task
-holds a whole list, and a block emits per vector a count and a spanning link, never its pairs.
+threshold, by bounds and not by a count: look-up tables give the asymmetric angle to every coded member, members whose angle can reach the
+threshold (the angle between a member and its code is known, so the triangle inequality loses none of a probed list)
+are compared by exact double-precision cosine. Large lists are cut, small neighbours share a bundle of bounded size, so a vector is
+sent once for many lists and no task holds a large list; a bundle emits per vector a count and a spanning link, never its pairs.
 
-Vectors that are null, empty, zero, or hold null or non-finite components link with nothing.
+Vectors that are null, empty, zero, or hold null or non-finite components link with nothing; vectors of different widths don't link.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -32,7 +33,9 @@ class Settings:
     max_lists: int = 4096
     subspaces: int = 8
     codes: int = 64
-    block: int = 2048  # most members compared at once
+    block: int = 2048  # members that a cut of a large list holds on average
+    bundle: int = 16384  # most members of neighbouring lists that one task holds, and vectors of a slice that it compares with them
+    held_values: int = 1 << 20  # components that a bundle holds at most, for wide vectors
     seed: int = 5
 
 
@@ -67,34 +70,44 @@ class Quantiser:
         top = np.argpartition(d, probes - 1, axis=1)[:, :probes]
         return np.take_along_axis(top, np.take_along_axis(d, top, 1).argsort(1, kind="stable"), 1)
 
-    def reachable(self, x: np.ndarray, own: np.ndarray, reach: float, radius: np.ndarray) -> np.ndarray:
-        """Mask (row, list) of the lists that may hold a vector within ``reach`` of a row whose nearest centre is ``own``.
+    def reachable(self, x: np.ndarray, own: np.ndarray, threshold: float, radius: np.ndarray) -> np.ndarray:
+        """Mask (row, list) of the lists that may hold a unit vector whose cosine with a row is the threshold or more; ``own`` is the row's nearest centre.
 
-        A member lies within its list's radius of the centre (negative for empty lists) and on its centre's side of the
-        plane half-way to the row's own centre; the row must be within ``reach`` of both bodies.
+        A member lies within its list's radius of the centre (negative for empty lists), and on its centre's side of the
+        plane half-way to the row's own centre: across that plane's normal the best unit vector in the row's cone must get there.
         """
-        d = np.maximum((x * x).sum(1)[:, None] + (self.centres * self.centres).sum(1) - 2 * x @ self.centres.T, 0)
-        c = self.centres[own]
-        apart = np.sqrt(np.maximum((c * c).sum(1)[:, None] + (self.centres * self.centres).sum(1) - 2 * c @ self.centres.T, 0))
-        beyond = d - d[np.arange(len(x)), own][:, None]
-        return (radius >= 0) & (np.sqrt(d) <= reach + radius + 1e-6) & (beyond <= 2 * reach * apart + 1e-6)
-
-    def code(self, x: np.ndarray, lists: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Codes of the residuals and each row's distance from what its code stands for."""
+        reach, norms = float(np.sqrt(max(0.0, 2 - 2 * threshold))), (self.centres * self.centres).sum(1)
+        dots, c = x @ self.centres.T, self.centres[own]
+        d = np.maximum((x * x).sum(1)[:, None] + norms - 2 * dots, 0)
+        apart = np.sqrt(np.maximum(norms[own][:, None] + norms - 2 * c @ self.centres.T, 0))
+        along = dots - dots[np.arange(len(x)), own][:, None]
+        best = threshold * along + np.sqrt(max(0.0, 1 - threshold**2)) * np.sqrt(np.maximum(apart**2 - along**2, 0))
+        best = np.where(along >= threshold * apart, apart, best)
+        return (radius >= 0) & (np.sqrt(d) <= reach + radius + 1e-6) & (best >= (norms - norms[own][:, None]) / 2 - 1e-6)
+
+    def code(self, x: np.ndarray, lists: np.ndarray) -> np.ndarray:
+        """Codes of the residuals."""
         r = x - self.centres[lists]
-        codes, back = np.empty((len(x), len(self.books)), np.uint8), np.empty_like(r)
-        for k, (c, book) in enumerate(zip(self.cuts, self.books)):
-            codes[:, k] = ((book * book).sum(1) - 2 * r[:, c] @ book.T).argmin(1)
-            back[:, c] = book[codes[:, k]]
-        return codes, np.sqrt(((r - back) ** 2).sum(1))
+        return np.stack([((b * b).sum(1) - 2 * r[:, c] @ b.T).argmin(1).astype(np.uint8) for c, b in zip(self.cuts, self.books)], 1)
 
-    def distances(self, q: np.ndarray, centre: int, codes: np.ndarray) -> np.ndarray:
-        """Asymmetric distances of queries to the coded members of one list, summed from look-up tables."""
-        r, total = q - self.centres[centre], np.zeros((len(q), len(codes)))
+    def back(self, codes: np.ndarray, lists: np.ndarray) -> np.ndarray:
+        """What codes stand for."""
+        out = self.centres[lists].copy()
         for k, (c, book) in enumerate(zip(self.cuts, self.books)):
-            table = ((r[:, c][:, None, :] - book[None]) ** 2).sum(2)
-            total += table[:, codes[:, k]]
-        return np.sqrt(np.maximum(total, 0))
+            out[:, c] += book[codes[:, k]]
+        return out
+
+    def tables(self, q: np.ndarray) -> list[np.ndarray]:
+        """Look-up tables (code, query) of products; single precision, as exact cosines follow."""
+        return [(book @ q[:, c].T).astype(np.float32) for c, book in zip(self.cuts, self.books)]
+
+    @staticmethod
+    def products(tables: list[np.ndarray], codes: np.ndarray) -> np.ndarray:
+        """(member, query): products of queries with the coded residuals, summed from look-up tables a row at a time."""
+        total = tables[0][codes[:, 0]]
+        for k in range(1, len(tables)):
+            total += tables[k][codes[:, k]]
+        return total
 
 
 def _spanning(n: int, edges: np.ndarray) -> np.ndarray:
@@ -123,27 +136,35 @@ def distinct_vectors(embeddings: DataFrame) -> DataFrame:
     return v.withColumn("ok", F.coalesce(usable, F.lit(False)) & F.col("vec_id").isNotNull())
 
 
-def near_duplicates(embeddings: DataFrame, s: Settings = Settings()) -> DataFrame:
-    """vec_id, n_links, component_id and kept: one row per row of ``embeddings``.
+_FOUND = "rep long, links long, other long"
 
-    ``n_links`` counts other rows whose cosine is at least the threshold; ``component_id`` is the
-    smallest vec_id reachable by links. Rows with a null vec_id link with nothing and are kept.
-    """
-    spark = embeddings.sparkSession
-    cut = Cut(spark)
-    rows = cut(distinct_vectors(embeddings).withColumn("key", F.when(F.col("ok"), F.sha2(F.to_json("embedding"), 256))))
-    reps = cut(
-        rows.where("ok").groupBy("key").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min_by("embedding", "vec_id").alias("embedding"))
-    )
-    n = reps.count()
-    if n == 0:
-        return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+
+def _bundles(sizes: dict[int, int], centres: np.ndarray, s: Settings, most: int) -> tuple[list[tuple[int, int, int]], int]:
+    """(list, first bundle, bundles) and the number of bundles: large lists are cut into bundles of their own, small neighbours share one of ``most`` members."""
+    order = np.argsort(centres @ np.linalg.svd(centres, full_matrices=False)[2][0], kind="stable") if len(centres) > 1 else [0]
+    out, n, room = [], 0, 0
+    for x in map(int, order):
+        size = sizes.get(x, 0)
+        if size > most:
+            cuts = -(-size // s.block)
+            out.append((x, n, cuts))
+            n, room = n + cuts, 0
+        elif size:
+            if size > room:
+                n, room = n + 1, most
+            room -= size
+            out.append((x, n - 1, 1))
+    return out, n
+
+
+def _links(cut: Cut, reps: DataFrame, width: int, n: int, s: Settings) -> DataFrame:
+    """(rep, links, other) of distinct vectors of one width: counts of linked rows, and links that span what hangs together."""
+    spark = reps.sparkSession
     part = min(1.0, 1.2 * s.sample_rows / n)
     train = reps.select("embedding").where(F.abs(F.xxhash64("rep")) % 1_000_000 < F.lit(int(part * 1_000_000))).limit(s.sample_rows)
     sample = np.array([r[0] for r in train.collect()] or [reps.first().embedding], dtype=float)
     sample /= np.linalg.norm(sample, axis=1, keepdims=True)
     model = spark.sparkContext.broadcast(Quantiser(sample, max(1, min(s.max_lists, n // s.list_size)), s))  # bounded by max_lists
-    width = sample.shape[1]
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         q = model.value
@@ -153,63 +174,84 @@ def near_duplicates(embeddings: DataFrame, s: Settings = Settings()) -> DataFram
             flat = b.column(2).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
             unit = flat / np.linalg.norm(flat, axis=1, keepdims=True)
             own = np.concatenate([q.near(unit[a : a + 1024], 1)[:, 0] for a in range(0, len(unit), 1024)])
-            codes, error = q.code(unit, own)
+            codes = q.code(unit, own)
             away = np.sqrt(((unit - q.centres[own]) ** 2).sum(1))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), b.column(1), pa.array(list(unit), pa.list_(pa.float64())), pa.array(own, pa.int64()), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(error), pa.array(away)],
-                ["rep", "copies", "unit", "list", "code", "error", "away"],
+                [b.column(0), b.column(1), pa.array(list(unit), pa.list_(pa.float64())), pa.array(own, pa.int64()), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(away)],
+                ["rep", "copies", "unit", "list", "code", "away"],
             )
 
-    same_width = reps.where(F.size("embedding") == width).select("rep", "copies", "embedding")
-    coded = cut(same_width.mapInArrow(assign, "rep long, copies long, unit array<double>, list long, code binary, error double, away double"))
+    coded = cut(reps.select("rep", "copies", "embedding").mapInArrow(assign, "rep long, copies long, unit array<double>, list long, code binary, away double"))
     sizes = coded.groupBy("list").agg(F.count(F.lit(1)), F.max("away")).collect()  # one row per list, at most max_lists
-    blocks = spark.createDataFrame([(int(r[0]), -(-int(r[1]) // s.block)) for r in sizes], "list long, blocks int")
+    most = max(s.block, min(s.bundle, s.held_values // width))
+    placed, n_bundles = _bundles({int(r[0]): int(r[1]) for r in sizes}, model.value.centres, s, most)
+    places = spark.createDataFrame(placed, "list long, first long, cuts long")
+    first, cuts = (np.zeros(len(model.value.centres), np.int64) for _ in range(2))
+    for x, f, c in placed:
+        first[x], cuts[x] = f, c
     radius = np.full(len(model.value.centres), -1.0)
     for r in sizes:
         radius[r[0]] = r[2]
-    reach = float(np.sqrt(max(0.0, 2 - 2 * s.threshold)))
 
     def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         q = model.value
         for whole in batches:
             for b in (whole.slice(k, 512) for k in range(0, whole.num_rows, 512)):
                 unit = b.column(1).flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1)
-                mask = q.reachable(unit, b.column(2).to_numpy(zero_copy_only=False), reach, radius)
-                yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([np.flatnonzero(m) for m in mask], pa.list_(pa.int64()))], ["rep", "unit", "lists"])
-
-    probed = coded.select("rep", "unit", "list").mapInArrow(probe, "rep long, unit array<double>, lists array<long>")
-    held = coded.join(F.broadcast(blocks), "list").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
-    asked = probed.select("rep", "unit", F.explode("lists").alias("list")).join(F.broadcast(blocks), "list").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    # Queries of a block are dealt over slices too, so that a list which many vectors probe is not one task.
-    slices = asked.groupBy("list", "block").agg(F.ceil(F.count(F.lit(1)) / F.lit(4 * s.block)).cast("int").alias("slices")).collect()  # one row per block: n / block and max_lists at most
-    by_block = spark.createDataFrame([tuple(r) for r in slices], "list long, block int, slices int")
-    held = held.join(F.broadcast(by_block), ["list", "block"]).withColumn("slice", F.explode(F.sequence(F.lit(0), F.col("slices") - 1)))
-    asked = asked.join(F.broadcast(by_block), ["list", "block"]).withColumn("slice", F.pmod(F.xxhash64("rep", F.lit(1)), F.col("slices")).cast("int"))
+                mask = q.reachable(unit, b.column(2).to_numpy(zero_copy_only=False), s.threshold, radius)
+                spans = []
+                for lists in map(np.flatnonzero, mask):
+                    n_cuts = cuts[lists]
+                    starts = np.repeat(first[lists] - n_cuts.cumsum() + n_cuts, n_cuts)
+                    spans.append(np.unique(starts + np.arange(len(starts))))
+                yield pa.RecordBatch.from_arrays([*b.columns, pa.array(spans, pa.list_(pa.int64()))], ["rep", "unit", "list", "bundles"])
+
+    probed = coded.select("rep", "unit", "list").mapInArrow(probe, "rep long, unit array<double>, list long, bundles array<long>")
+    held = coded.join(F.broadcast(places), "list").withColumn("bundle", F.col("first") + F.pmod(F.xxhash64("rep"), F.col("cuts")))
+    # A vector goes once to each bundle that holds lists it probes. Those of a bundle are dealt over slices, so that one which many probe is not one task.
+    asked = probed.select("rep", "unit", "list", F.explode("bundles").alias("bundle"))
+    deal = -(-n // most)
+    held = held.withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(deal - 1))))
+    asked = asked.withColumn("slice", F.pmod(F.xxhash64("rep", F.lit(1)), F.lit(deal)).cast("int"))
 
     def compare(key, left, right):
-        q, centre = model.value, int(key[0])
+        q = model.value
         empty = pd.DataFrame({"rep": pd.Series(dtype="int64"), "links": pd.Series(dtype="int64"), "other": pd.Series(dtype="int64")})
         if not len(left) or not len(right):
             return empty
-        m_id, m_n, m_x = left["rep"].to_numpy(), left["copies"].to_numpy(), np.stack(left["unit"].to_numpy())
-        codes, error = np.frombuffer(b"".join(left["code"]), np.uint8).reshape(len(left), -1), left["error"].to_numpy()
-        limit = reach + error + 1e-6
-        q_id, q_x = right["q_rep"].to_numpy(), np.stack(right["q_unit"].to_numpy())
+        left = left.sort_values(["list", "rep"], kind="stable")
+        m_id, m_n, m_x, m_list = left["rep"].to_numpy(), left["copies"].to_numpy(), np.stack(left["unit"].to_numpy()), left["list"].to_numpy()
+        codes = np.frombuffer(b"".join(left["code"]), np.uint8).reshape(len(left), -1)
+        # The angle between a query and a member is no smaller than the query's angle to the code less the member's own.
+        back = q.back(codes, m_list)
+        length = np.sqrt((back * back).sum(1))
+        own_angle = np.arccos(np.clip((back * m_x).sum(1) / np.maximum(length, 1e-300), -1, 1))
+        least = length * np.cos(np.minimum(np.pi, np.arccos(s.threshold) + own_angle)) - 1e-5
+        edges_of = [0, *(np.flatnonzero(np.diff(m_list)) + 1).tolist(), len(m_list)]
+        q_id, q_x, q_list = right["q_rep"].to_numpy(), np.stack(right["q_unit"].to_numpy()), right["q_list"].to_numpy()
         ids = np.unique(np.concatenate([m_id, q_id]))
         count, edges = np.zeros(len(q_id), np.int64), []
-        for a in range(0, len(q_id), 256):
-            x = q_x[a : a + 256]
-            i, j = np.nonzero(q.distances(x, centre, codes) <= limit)
-            if not len(i):
-                continue
-            if 4 * len(i) > len(x) * len(m_id):
-                exact = (x @ m_x.T)[i, j]
-            else:
-                exact = np.einsum("nd,nd->n", x[i], m_x[j])
-            near = (exact >= s.threshold) & (q_id[a + i] != m_id[j])
-            i, j = i[near], j[near]
-            np.add.at(count, a + i, m_n[j])
-            edges.append(np.unique(np.stack([np.searchsorted(ids, q_id[a + i]), np.searchsorted(ids, m_id[j])], 1), axis=0))
+        for a in range(0, len(q_id), 1024):
+            x = q_x[a : a + 1024]
+            mask, tables, to_centres = q.reachable(x, q_list[a : a + 1024], s.threshold, radius), q.tables(x), x @ q.centres.T
+            for lo, hi in zip(edges_of, edges_of[1:]):
+                who = np.flatnonzero(mask[:, m_list[lo]])
+                if not len(who):
+                    continue
+                near = tables if len(who) == len(x) else [t[:, who] for t in tables]
+                for lo in range(lo, hi, 1024):
+                    up = min(hi, lo + 1024)
+                    j, i = np.nonzero(q.products(near, codes[lo:up]) >= least[lo:up, None] - to_centres[who, m_list[lo]])
+                    if not len(i):
+                        continue
+                    dense = 16 * len(i) > len(who) * (up - lo)
+                    i, j = who[i], j + lo
+                    exact = (x @ m_x[lo:up].T)[i, j - lo] if dense else np.einsum("nd,nd->n", x[i], m_x[j])
+                    hit = (exact >= s.threshold) & (q_id[a + i] != m_id[j])
+                    if hit.any():
+                        i, j = i[hit], j[hit]
+                        np.add.at(count, a + i, m_n[j])
+                        edges.append(np.unique(np.stack([np.searchsorted(ids, q_id[a + i]), np.searchsorted(ids, m_id[j])], 1), axis=0))
         hit = np.flatnonzero(count)
         if not len(hit):
             return empty
@@ -218,13 +260,31 @@ def near_duplicates(embeddings: DataFrame, s: Settings = Settings()) -> DataFram
         counted = pd.DataFrame({"rep": q_id[hit], "links": count[hit], "other": q_id[hit]})
         return pd.concat([counted, pd.DataFrame({"rep": ids[moved], "links": 0, "other": root[moved]})])
 
-    keys = ["list", "block", "slice"]
-    found = cut(
-        held.select(*keys, "rep", "copies", "unit", "code", "error")
+    keys = ["bundle", "slice"]
+    return cut(
+        held.select(*keys, "rep", "copies", "unit", "list", "code")
         .groupBy(*keys)
-        .cogroup(asked.select(*[F.col(k).alias(f"q_{k}") for k in (*keys, "rep", "unit")]).groupBy(*[f"q_{k}" for k in keys]))
-        .applyInPandas(compare, "rep long, links long, other long")
+        .cogroup(asked.select(*[F.col(k).alias(f"q_{k}") for k in (*keys, "rep", "unit", "list")]).groupBy(*[f"q_{k}" for k in keys]))
+        .applyInPandas(compare, _FOUND)
+    )
+
+
+def near_duplicates(embeddings: DataFrame, s: Settings = Settings()) -> DataFrame:
+    """vec_id, n_links, component_id and kept: one row per row of ``embeddings``.
+
+    ``n_links`` counts other rows whose cosine is at least the threshold; ``component_id`` is the
+    smallest vec_id reachable by links. Rows with a null vec_id link with nothing and are kept.
+    """
+    spark = embeddings.sparkSession
+    cut = Cut(spark)
+    rows = cut(distinct_vectors(embeddings).withColumn("key", F.when(F.col("ok"), F.sha2(F.to_json("embedding"), 256))))
+    reps = cut(
+        rows.where("ok").groupBy("key").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min_by("embedding", "vec_id").alias("embedding"))
     )
+    # One row per width of vectors; only vectors of one width can be compared.
+    widths = reps.groupBy(F.size("embedding").alias("width")).agg(F.count(F.lit(1)).alias("n")).where("n > 1").collect()
+    found = [_links(cut, reps.where(F.size("embedding") == w.width), w.width, w.n, s) for w in widths]
+    found = reduce(DataFrame.unionByName, found) if found else spark.createDataFrame([], _FOUND)
     roots = connected_components(cut, found.where("rep <> other").select(F.col("rep").alias("a"), F.col("other").alias("b")))
     counts = found.groupBy("rep").agg(F.sum("links").alias("links"))
     named = (

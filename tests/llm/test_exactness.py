@@ -577,6 +577,21 @@ def test_crowded_bands_are_cut_in_blocks(spark):
     assert simhash.holder_pairs(Cut(spark), shared, joined, 0.8).count() == want
 
 
+def test_embedding_links_of_each_width(spark):
+    rng = np.random.default_rng(8)
+    rows = []
+    for width, n in ((1, 3), (5, 300), (16, 300), (17, 1)):
+        base = rng.normal(size=(max(1, n // 4), width))
+        rows += [(base[rng.integers(len(base))] + 0.12 * rng.normal(size=width)).tolist() for _ in range(n)]
+    order = rng.permutation(len(rows))
+    df = spark.createDataFrame([(int(i), rows[k]) for i, k in enumerate(order)], "vec_id long, embedding array<double>")
+    units = [np.array(rows[k]) / np.linalg.norm(rows[k]) for k in order]
+    want = {i: sum(i != j and len(x) == len(y) and x @ y >= 0.9 for j, y in enumerate(units)) for i, x in enumerate(units)}
+    for s in (embdedup.Settings(list_size=25, block=16, bundle=32), embdedup.Settings(list_size=25, block=16, bundle=90)):
+        got = {r.vec_id: r.n_links for r in embdedup.near_duplicates(df, s).collect()}
+        assert got == want and max(want.values()) > 2
+
+
 def test_embedding_links_over_many_lists(spark):
     """Spread-out vectors over far more lists than any fixed number of probes: every link by brute force."""
     rng = np.random.default_rng(13)
