@@ -1,21 +1,21 @@
 """SentencePiece encoding as a relational lattice, and decoding.
 
-A piece never holds a space after another character, so a text falls into words (a run of spaces and
-what follows) that are encoded apart. Every different word goes through the lattice once: its substrings of
+Where no piece spans two neighbouring characters, every way through a text passes between them, so a text falls into
+words there (a piece never holds a space after another character; the space before a word belongs to it) that are encoded
+apart. Every different word goes through the lattice once: its substrings of
 bounded length are exploded and joined to the piece table, the matches (edges) are grouped by word, and a fold
 over the edges in order of their ends keeps the best way to each position. A file's texts fall into stretches of
 rows with a bounded number of different words; the pieces of each stretch's words are written as one file
 in the scratch folder, and the texts look them up there, so no text is shuffled and nothing that grows with the corpus is
-broadcast or collected. Words that many sampled rows have are encoded first and broadcast (at most ``HEAD_WORDS``); they
+broadcast or collected. Words that sampled rows hold most often are encoded first and broadcast (at most ``HEAD_WORDS``); they
 needn't travel with every stretch. What the sample holds changes no result. A word that
 neither table has is an error, never encoded in another way.
 
 Scores add up as those of a unigram model, as the sentencepiece library does when it is given the same pieces as a
 unigram model; of equal ways the one whose last piece is longest wins. Characters without a piece become
 byte pieces. Null and empty texts have no pieces. Decoding gives the text back; a literal U+2581 comes
-back as a space. Repeated rows give a row each; an empty table gives an empty result. A word above ``LONG_WORD`` code points is cut
-where no piece spans two neighbours, which every way passes; only a run above that bound without any such place is folded
-by the worker that meets it, in time linear in its length.
+back as a space. Repeated rows give a row each; an empty table gives an empty result. Only a run above ``LONG_WORD`` code points
+whose neighbours are all spanned by pieces is folded by the worker that meets it, in time linear in its length.
 """
 
 from __future__ import annotations
@@ -24,18 +24,18 @@ import bisect
 import functools
 import re
 import zlib
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import Cut, folder_of, located, named_whole
 
-#: Different words after which a stretch of rows ends: bounds what a worker holds at once.
+#: Different words after which a stretch of rows ends, and code points of texts cut at once: bound what a worker holds.
 STRETCH_WORDS = 600_000
 #: Most words in the broadcast table, the files they are sampled from, and the share (one in so many) of these files' rows.
 HEAD_WORDS, HEAD_FILES, HEAD_SHARE = 200_000, 32, 16
@@ -43,11 +43,11 @@ HEAD_WORDS, HEAD_FILES, HEAD_SHARE = 200_000, 32, 16
 EXPANSION = 8
 #: Words that a task groups in memory before it falls back to sorting.
 GROUPED_WORDS = 20_000
-#: Words above so many code points are cut at places that every way passes.
+#: Words above so many code points are folded by the worker that meets them.
 LONG_WORD = 1000
 MAX_VOCABULARY = 1_000_000
-#: Ids decoded at once, and ids or rows after which a batch is handed on.
-SLICE, BATCH_IDS, BATCH_ROWS = 1 << 18, 1 << 20, 1000
+#: Characters, words or ids that an array step takes at once, and the greatest table of pairs of characters.
+SLICE, DENSE = 1 << 18, 1 << 24
 _SPACE = "▁"
 
 
@@ -137,16 +137,6 @@ class Pieces:
             at = -best[at][1]
         return ids[::-1]
 
-    def cutter(self):
-        """A function that cuts a long word at every place that no piece spans."""
-        pairs = {p[k : k + 2] for p in self.table for k in range(len(p) - 1)}
-
-        def cut(word: str) -> list[str]:
-            places = [k for k in range(1, len(word)) if word[k - 1 : k + 1] not in pairs]
-            return [word[a:b] for a, b in zip([0, *places], [*places, len(word)])]
-
-        return cut
-
     def decoder(self):
         """A function from an array of ids to the bytes they stand for, gathered in slices of bounded size."""
         sizes = np.array([len(b) for b in self.as_bytes], np.int64)
@@ -173,42 +163,69 @@ def split_words(text: str | None, splitter: re.Pattern) -> list[str]:
     return splitter.findall(" " + text.replace(_SPACE, " ")) if text else []
 
 
-def is_spaced(word: str) -> bool:
-    """Whether a word is exactly one space and something behind it."""
-    return word[:1] == " " and word[1:2] not in ("", " ")
-
-
-def word_runs(pieces: Pieces):
-    """A function from a text to runs (spaced, words) in order; words of a spaced run stand without their one leading space.
-
-    Gives what ``split_words`` gives; plain lines are cut by ``str.split``, others by the pattern.
-    """
-    splitter, hard = pieces.splitter(), pieces.hard()
-    odd = [c for c in hard if c != "\n"]
-
-    def runs(text: str | None) -> list[tuple[bool, list[str]]]:
-        if not text:
-            return []
-        text = " " + text.replace(_SPACE, " ")
-        if "\n" not in hard:
-            return [(False, splitter.findall(text))]
-        out = []
-        for k, line in enumerate(text.split("\n")):
-            if k:
-                out.append((False, ["\n"]))
-            if not line:
-                continue
-            if "  " in line or line[-1] == " " or any(c in line for c in odd):
-                out.append((False, splitter.findall(line)))
+class Segments:
+    """Cuts texts, each with a space before it, wherever no piece spans two neighbouring characters."""
+
+    def __init__(self, pieces: Pieces):
+        pairs = {p[k : k + 2] for p in pieces.table for k in range(len(p) - 1)}
+        ends = [sorted({ord(p[side]) for p in pairs}) for side in (0, 1)]
+        step = len(ends[1]) + 1
+        self.left, self.right = np.zeros(0x110000, np.int64), np.zeros(0x110000, np.int64)
+        self.left[ends[0]], self.right[ends[1]] = np.arange(1, len(ends[0]) + 1) * step, np.arange(1, step)
+        self.codes = np.array(sorted(self.left[ord(a)] + self.right[ord(b)] for a, b in pairs), np.int64)
+        self.dense = None
+        if (n := (len(ends[0]) + 1) * step) <= DENSE:
+            self.dense = np.zeros(n, bool)
+            self.dense[self.codes] = True
+
+    def spanned(self, points: np.ndarray) -> np.ndarray:
+        """For neighbours in an array of code points, whether a piece spans them."""
+        code = self.left[points[:-1]] + self.right[points[1:]]
+        return np.isin(code, self.codes) if self.dense is None else self.dense[code]
+
+    def __call__(self, texts: list[str]) -> tuple[pa.Array, np.ndarray, bytes, np.ndarray]:
+        """For non-empty texts: all words; the number of words before each text and of all; the bytes of all texts; the place of each text there."""
+        whole = "".join([f" {t}" for t in texts]).replace(_SPACE, " ")
+        borders = np.cumsum([0, *(len(t) + 1 for t in texts)])
+        starts, places, size = [], [], 0
+        for a in range(0, len(whole), SLICE):
+            part = whole[max(a - 1, 0) : a + SLICE]
+            points = np.frombuffer(part.encode("utf-32-le"), "<u4")
+            first = ~self.spanned(points)
+            if a:
+                points = points[1:]
             else:
-                first, *rest = line.split(" ")
-                if first:
-                    out.append((False, [first]))
-                if rest:
-                    out.append((True, rest))
-        return out
-
-    return runs
+                first = np.concatenate([[True], first])
+            first[borders[np.searchsorted(borders, a) : np.searchsorted(borders, min(a + SLICE, len(whole)))] - a] = True
+            at = np.flatnonzero(first)
+            starts.append(at + a)
+            if part.isascii():
+                places.append(at + size)
+                size += len(points)
+            else:
+                wide = (1 + (points >= 0x80) + (points >= 0x800) + (points >= 0x10000)).cumsum()
+                places.append(np.concatenate([[0], wide])[at] + size)
+                size += int(wide[-1])
+        offsets = np.concatenate([*places, [size]]).astype(np.int64)
+        data = whole.encode()
+        words = pa.Array.from_buffers(pa.large_string(), len(offsets) - 1, [None, pa.py_buffer(offsets), pa.py_buffer(data)])
+        before = np.searchsorted(np.concatenate([*starts, [len(whole)]]), borders)
+        return words, before, data, offsets[before]
+
+
+def runs_of_rows(batch: pa.RecordBatch, limit: int) -> Iterator[tuple[int, int, int, list[str]]]:
+    """(file, first row, number of rows, their texts) of a batch (file, row, ..., text): neighbouring rows of one file with at most
+    ``limit`` code points, or one row."""
+    files, rows, column = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(batch.num_columns - 1)
+    sizes = pc.fill_null(pc.utf8_length(column), 0).to_pylist()
+    a = held = 0
+    for k in range(len(files) + 1):
+        if k == len(files) or k > a and (files[k] != files[a] or rows[k] != rows[k - 1] + 1 or held + sizes[k] > limit):
+            if k > a:
+                yield files[a], rows[a], k - a, [t or "" for t in column.slice(a, k - a).to_pylist()]
+            a, held = k, 0
+        if k < len(files):
+            held += sizes[k]
 
 
 #: Bytes of a piece number in the fold, and the bit that marks a character without a piece.
@@ -259,60 +276,53 @@ def pack_folded(folded: pa.Array, pieces: Pieces) -> pa.Array:
 
 
 def frequent_words(source: DataFrame, shared, size: int) -> DataFrame:
-    """(word): the words that most sampled rows have, at most ``size``; a bounded number of files is sampled."""
+    """(word): the words that sampled rows hold most often, at most ``size``; a bounded number of files is sampled."""
     named = source.sparkSession._jvm.org.apache.hadoop.fs.Path
     files = sorted(named(f).toString() for f in source.inputFiles())
     chosen = files[:: max(1, -(-len(files) // HEAD_FILES))]
     rows = source.where(F.col("path").isin(chosen) & (F.col("row") % HEAD_SHARE == 0)).select("text")
+    limit = STRETCH_WORDS
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        runs = word_runs(shared.value)
+        cut = Segments(shared.value)
         for b in batches:
-            found: Counter = Counter()
-            for text in b.column(0):
-                met = set()
-                for spaced, words in runs(text.as_py()):
-                    met.update([f" {w}" for w in words] if spaced else words)
-                found.update(w for w in met if len(w) <= LONG_WORD)
-            yield pa.RecordBatch.from_arrays([pa.array(found.keys(), pa.string()), pa.array(found.values(), pa.int64())], ["word", "n"])
+            numbers = pa.array(range(len(b)), pa.int64())
+            for _, _, _, texts in runs_of_rows(pa.RecordBatch.from_arrays([pa.array([0] * len(b)), numbers, b.column(0)], ["file", "row", "text"]), limit):
+                found = cut([t for t in texts if t])[0].value_counts()
+                found = found.filter(pc.less_equal(pc.utf8_length(found.field(0)), LONG_WORD))
+                yield pa.RecordBatch.from_arrays([found.field(0).cast(pa.string()), found.field(1)], ["word", "n"])
 
     counted = rows.mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).where("n > 1")
     return counted.orderBy(F.desc("n"), "word").limit(size).select("word")
 
 
-def _stretch_words(shared, head):
-    """For mapInArrow over (file, row, text): the words of each stretch that the broadcast table lacks, with the stretch."""
+def _stretch_words(shared, head, limit: int):
+    """For mapInArrow over (file, row, text): the words of each stretch that the broadcast table lacks, with the stretch.
+
+    A stretch ends with the run of rows that takes it above ``limit`` words, so it has at most twice as many, or those of one text.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        pieces = shared.value
-        runs, cut_long = word_runs(pieces), pieces.cutter()
-        known_spaced, known_plain = set(head.value[0]), set(head.value[1])
-        spaced_words, plain_words, at, first, last = set(), set(), None, 0, 0
+        cut, known = Segments(shared.value), set(head.value)
+        words, at, first, last = set(), None, 0, 0
 
         def out():
-            rest = (spaced_words.difference(known_spaced), plain_words.difference(known_plain))
-            words = {w for w in rest[1] if len(w) <= LONG_WORD}
-            words.update(f" {w}" for w in rest[0] if len(w) < LONG_WORD)
-            for w in [*(w for w in rest[1] if len(w) > LONG_WORD), *(f" {w}" for w in rest[0] if len(w) >= LONG_WORD)]:
-                words.update(x for x in cut_long(w) if len(x) <= LONG_WORD and x not in known_plain and not (x[0] == " " and x[1:] in known_spaced))
-            found = sorted(words)
             # A stretch with nothing of its own still has a table: its absence would be an error.
-            found = found or [" "]
+            found = sorted(w for w in words.difference(known) if len(w) <= LONG_WORD) or [" "]
             for k in range(0, len(found), 50_000):
                 part = found[k : k + 50_000]
                 n = len(part)
                 yield pa.RecordBatch.from_arrays([pa.array(part, pa.string()), pa.array([at] * n, pa.int64()), pa.array([first << 32 | last - first] * n, pa.int64())], ["word", "file", "span"])
 
         for b in batches:
-            for file, row, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
-                if at is not None and (file != at or row != last + 1 or len(spaced_words) + len(plain_words) > STRETCH_WORDS):
+            for file, row, n, texts in runs_of_rows(b, limit):
+                if at is not None and (file != at or row != last + 1 or len(words) > limit):
                     yield from out()
-                    spaced_words, plain_words, at = set(), set(), None
+                    words, at = set(), None
                 if at is None:
                     at, first = file, row
-                last = row
-                for spaced, words in runs(text.as_py()):
-                    (spaced_words if spaced else plain_words).update(words)
+                last = row + n - 1
+                words.update(cut([t for t in texts if t])[0].unique().to_pylist())
         if at is not None:
             yield from out()
 
@@ -366,8 +376,8 @@ def _write_dictionaries(rows: DataFrame, folder: str, shared) -> int:
 class Stretches:
     """Tables of the stretches of one file after the other, read as rows ask for them."""
 
-    def __init__(self, folder: str, head: tuple[dict, dict]):
-        self.folder, self.head, self.file, self.last, self.spaced, self.plain = folder, head, None, -1, {}, {}
+    def __init__(self, folder: str, head: dict[str, bytes]):
+        self.folder, self.head, self.file, self.last, self.words = folder, head, None, -1, {}
 
     def turn_to(self, file: int, row: int) -> None:
         if file == self.file and self.first <= row <= self.last:
@@ -382,70 +392,73 @@ class Stretches:
         if k < 0 or not self.spans[k][0] <= row <= self.spans[k][1]:
             raise LookupError(f"no table of words for row {row} of file {file}")
         self.file, (self.first, self.last, name) = file, self.spans[k]
-        self.spaced, self.plain = dict(self.head[0]), dict(self.head[1])
+        self.words = dict(self.head)
         with self.system.open_input_file(f"{self.at}/{name}") as f:
             for batch in pa.ipc.open_stream(f):
-                words, ids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-                self.spaced.update((w[1:], i) for w, i in zip(words, ids) if is_spaced(w))
-                self.plain.update((w, i) for w, i in zip(words, ids) if not is_spaced(w))
+                self.words.update(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()))
 
 
-def _apply(shared, head, folder: str):
+def _apply(shared, head, folder: str, limit: int):
     """For mapInArrow over (file, row, doc_id, text): ids, their number and checksum, and whether decoding gives the text back."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         p, tables = shared.value, Stretches(folder, head.value)
-        runs, cut_long, back, kind = word_runs(p), p.cutter(), p.decoder(), f"<u{p.width}"
-        doc_ids, parts, trips, held = [], [], [], 0
+        cut, back, kind = Segments(p), p.decoder(), f"<u{p.width}"
 
-        def plain(w: str) -> bytes:
-            ids = tables.spaced.get(w[1:]) if is_spaced(w) else tables.plain.get(w)
-            if ids is not None:
-                return ids
+        def missing(w: str) -> bytes:
             if len(w) <= LONG_WORD:
                 raise LookupError("a word is missing from its stretch's table")
-            segments = cut_long(w)
-            return p.pack(p.fold(w)) if len(segments) == 1 else b"".join(map(plain, segments))
-
-        def out():
-            sizes = np.array([len(x) // p.width for x in parts], np.int64)
-            flat, ends = np.frombuffer(b"".join(parts), kind), np.concatenate([[0], sizes.cumsum()]).astype(np.int32)
-            wide = flat.astype("<u4")
+            return p.pack(p.fold(w))
+
+        def encoded(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+            """The ids of all words, and the number of ids before each word and of all."""
+            coded = words.dictionary_encode()
+            different = coded.dictionary.to_pylist()
+            found = list(map(tables.words.get, different))
+            for k in [k for k, x in enumerate(found) if x is None]:
+                found[k] = missing(different[k])
+            flat = np.frombuffer(b"".join(found), kind)
+            sizes = np.fromiter(map(len, found), np.int64, len(found)) // p.width
+            starts, each = sizes.cumsum() - sizes, coded.indices.to_numpy()
+            parts, before = [np.empty(0, kind)], [np.zeros(1, np.int64)]
+            for k in range(0, len(each), SLICE):
+                part = each[k : k + SLICE]
+                n = sizes[part]
+                ends = n.cumsum()
+                parts.append(flat[np.repeat(starts[part] - ends + n, n) + np.arange(ends[-1])])
+                before.append(ends + before[-1][-1])
+            return np.concatenate(parts), np.concatenate(before)
+
+        def rows_of(doc_ids: pa.Array, texts: list[str]) -> pa.RecordBatch:
+            words, first, data, places = cut([t for t in texts if t])
+            ids, before = encoded(words)
+            full = np.array([bool(t) for t in texts])
+            upto = np.concatenate([[0], full.cumsum()])
+            ends, sides = before[first][upto], places[upto]
+            wide = ids.astype("<u4")
             crc = [zlib.crc32(wide[a:b]) for a, b in zip(ends, ends[1:])]
-            return pa.RecordBatch.from_arrays(
-                [pa.array(doc_ids, pa.int64()), pa.ListArray.from_arrays(pa.array(ends), pa.array(wide.view(np.int32))), pa.array(sizes), pa.array(crc, pa.int64()), pa.array(trips, pa.bool_())],
-                ["doc_id", "ids", "n_pieces", "ids_crc32", "round_trip"],
-            )
+            trips = [back(ids[a:b]) == data[x:y] for a, b, x, y in zip(ends, ends[1:], sides, sides[1:])]
+            lists = pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(wide.view(np.int32)))
+            columns = [doc_ids, lists, pa.array(np.diff(ends)), pa.array(crc, pa.int64()), pa.array(trips, pa.bool_())]
+            return pa.RecordBatch.from_arrays(columns, ["doc_id", "ids", "n_pieces", "ids_crc32", "round_trip"])
 
         for b in batches:
-            for file, row, doc_id, value in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2).to_pylist(), b.column(3)):
-                text, ways = value.as_py() or "", []
-                if text:
-                    tables.turn_to(file, row)
-                    for spaced, words in runs(text):
-                        got = list(map((tables.spaced if spaced else tables.plain).get, words))
-                        if None in got:
-                            got = [x if x is not None else plain(f" {w}" if spaced else w) for x, w in zip(got, words)]
-                        ways += got
-                ids = b"".join(ways)
-                doc_ids.append(doc_id)
-                parts.append(ids)
-                trips.append(back(np.frombuffer(ids, kind)) == ((" " + text.replace(_SPACE, " ")).encode("utf-8", "surrogatepass") if text else b""))
-                held += len(ids)
-                if held > p.width * BATCH_IDS or len(parts) >= BATCH_ROWS:
-                    yield out()
-                    doc_ids, parts, trips, held = [], [], [], 0
-        if parts:
-            yield out()
+            k = 0
+            for file, row, n, texts in runs_of_rows(b, limit):
+                at = 0
+                while at < n:
+                    tables.turn_to(file, row + at)
+                    upto = min(n, tables.last - row + 1)
+                    yield rows_of(b.column(2).slice(k + at, upto - at), texts[at:upto])
+                    at = upto
+                k += n
 
     return run
 
 
-def _table_of(rows, pieces: Pieces) -> tuple[dict, dict]:
-    """Words with exactly one leading space, without it, and the others, each with its packed ids."""
-    ids = pack_folded(pa.array([bytes(r.ids) for r in rows], pa.binary()), pieces).to_pylist()
-    spaced = {r.word[1:]: x for r, x in zip(rows, ids) if is_spaced(r.word)}
-    return spaced, {r.word: x for r, x in zip(rows, ids) if not is_spaced(r.word)}
+def _table_of(rows, pieces: Pieces) -> dict[str, bytes]:
+    """Words with their packed ids."""
+    return dict(zip([r.word for r in rows], pack_folded(pa.array([bytes(r.ids) for r in rows], pa.binary()), pieces).to_pylist()))
 
 
 def encode(docs: DataFrame, model: str) -> DataFrame:
@@ -454,7 +467,7 @@ def encode(docs: DataFrame, model: str) -> DataFrame:
     ``round_trip`` says that decoding the ids gives the text back, but for literal U+2581.
     """
     spark: SparkSession = docs.sparkSession
-    cut, pieces = Cut(spark), Pieces.load(model)
+    cut, pieces, limit = Cut(spark), Pieces.load(model), STRETCH_WORDS
     shared = spark.sparkContext.broadcast(pieces)  # bounded by MAX_VOCABULARY
     source = located(docs, cut, F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     # A word becomes some sixty substrings, so it takes more and smaller partitions to group them in memory.
@@ -465,7 +478,7 @@ def encode(docs: DataFrame, model: str) -> DataFrame:
     try:
         frequent = cut(frequent_words(source, shared, HEAD_WORDS))
         head = spark.sparkContext.broadcast(_table_of(lattice(frequent.repartition(n, "word"), pieces).collect(), pieces))  # HEAD_WORDS at most
-        pairs = source.select("file", "row", "text").mapInArrow(_stretch_words(shared, head), "word string, file long, span long").where("word is not null")
+        pairs = source.select("file", "row", "text").mapInArrow(_stretch_words(shared, head, limit), "word string, file long, span long").where("word is not null")
         dealt = pairs.repartition(n, "word")
         # The condition keeps all columns of this branch, so that both read one exchange.
         words = dealt.groupBy("word").agg(F.max("file").alias("f"), F.max("span").alias("s")).where("f is not null and s is not null").select("word")
@@ -476,7 +489,7 @@ def encode(docs: DataFrame, model: str) -> DataFrame:
     finally:
         spark.conf.set(threshold, before)
     placed = source.select("file", "row", "doc_id", "text")
-    return placed.mapInArrow(_apply(shared, head, folder), "doc_id long, ids array<int>, n_pieces long, ids_crc32 long, round_trip boolean")
+    return placed.mapInArrow(_apply(shared, head, folder, limit), "doc_id long, ids array<int>, n_pieces long, ids_crc32 long, round_trip boolean")
 
 
 def decode(encoded: DataFrame, model: str) -> DataFrame:

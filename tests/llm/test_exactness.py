@@ -340,12 +340,33 @@ def test_lattice_equals_brute_force(spark):
     assert len(rows) == len(words)
 
 
-def test_word_runs_equal_the_pattern():
+def test_words_end_where_no_piece_spans(monkeypatch):
+    """The array steps cut where a plain walk over the characters does, in slices and with either table of pairs; no way is lost."""
     table = pieces.Pieces.load(tokenizers_files.path("piece_bpe_32k.model"))
-    runs, splitter, rng = pieces.word_runs(table), table.splitter(), random.Random(8)
-    for _ in range(3000):
-        text = "".join(rng.choice(["a", "b.", " ", "  ", "\n", "\t", "\r", "é", "\u2581", "word "]) for _ in range(rng.randrange(12)))
-        assert [f" {w}" if spaced else w for spaced, words in runs(text) for w in words] == pieces.split_words(text, splitter)
+    rng = random.Random(8)
+    pairs = {p[k : k + 2] for p in table.table for k in range(len(p) - 1)}
+    parts = ["a", "b.", " ", "  ", "\n", "\t", "\r", "é", "\u2581", "word ", "%%%", "中", "😀", "ing,"]
+    texts = ["".join(rng.choice(parts) for _ in range(1 + rng.randrange(30))) for _ in range(300)]
+    for piece, dense in ((1 << 18, 1 << 24), (7, 0), (1, 1 << 24)):
+        monkeypatch.setattr(pieces, "SLICE", piece)
+        monkeypatch.setattr(pieces, "DENSE", dense)
+        cut = pieces.Segments(table)
+        words, before, data, places = cut(texts)
+        words = words.to_pylist()
+        for k, text in enumerate(texts):
+            text = " " + text.replace("\u2581", " ")
+            places_of = [0, *(i for i in range(1, len(text)) if text[i - 1 : i + 1] not in pairs), len(text)]
+            mine = words[before[k] : before[k + 1]]
+            assert mine == [text[x:y] for x, y in zip(places_of, places_of[1:])] and data[places[k] : places[k + 1]].decode() == text
+            assert [i for w in mine for i in table.fold(w)] == [i for w in pieces.split_words(text[1:], table.splitter()) for i in table.fold(w)]
+        assert cut([])[0].to_pylist() == [] and cut([])[1].tolist() == [0]
+
+
+def test_runs_of_rows():
+    rows = [(1, 0, "ab"), (1, 1, None), (1, 2, "abc"), (1, 4, "a"), (2, 5, "abcdefgh"), (2, 6, "")]
+    batch = pa.RecordBatch.from_arrays([pa.array(x) for x in zip(*rows)], ["file", "row", "text"])
+    assert list(pieces.runs_of_rows(batch, 4)) == [(1, 0, 2, ["ab", ""]), (1, 2, 1, ["abc"]), (1, 4, 1, ["a"]), (2, 5, 1, ["abcdefgh"]), (2, 6, 1, [""])]
+    assert list(pieces.runs_of_rows(batch.slice(0, 0), 4)) == []
 
 
 def test_every_word_comes_from_the_lattice(spark, monkeypatch, tmp_path):
@@ -369,7 +390,7 @@ def test_every_word_comes_from_the_lattice(spark, monkeypatch, tmp_path):
 def test_a_lost_table_is_an_error(tmp_path):
     (tmp_path / f"{5:016x}").mkdir()
     with pytest.raises(LookupError):
-        pieces.Stretches(f"file://{tmp_path}", ({}, {})).turn_to(5, 0)
+        pieces.Stretches(f"file://{tmp_path}", {}).turn_to(5, 0)
 
 
 def test_piece_rows(spark, odd):
