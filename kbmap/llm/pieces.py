@@ -239,8 +239,10 @@ def lattice(words: DataFrame, pieces: Pieces) -> DataFrame:
     Each position keeps its best score and the pieces on the way there; of equal scores the first edge, whose piece is longest, stays.
     """
     spark = words.sparkSession
-    rows = [(p, i.to_bytes(NUMBER, "big"), s) for p, (i, s) in pieces.competitive().items()]
-    table = spark.createDataFrame(rows, "sub string, id binary, score double")
+    subs, hits = zip(*pieces.competitive().items())
+    columns = {"sub": pa.array(subs), "id": pa.array([i.to_bytes(NUMBER, "big") for i, _ in hits]), "score": pa.array([s for _, s in hits], pa.float64())}
+    # Arrow data need no Python workers; rows would start a second set of them on every executor.
+    table = spark.createDataFrame(pa.table(columns))
     ends = words.select("word", F.explode(F.sequence(F.lit(1), F.length("word"))).alias("j"))
     spans = ends.select("word", "j", F.explode(F.sequence(F.greatest(F.col("j") - pieces.longest, F.lit(0)), F.col("j") - 1)).alias("i"))
     subs = spans.withColumn("sub", F.substring("word", F.col("i") + 1, F.col("j") - F.col("i")))
