@@ -38,3 +38,9 @@ def test_aligned_concepts_are_read_off_the_tables(spark, quiet):
     assert got == by_sql("aligned_concepts", SF) and ("s", "Nation", 25) in got
     less = by_spark(spark, "aligned_concepts", quiet)
     assert less == by_sql("aligned_concepts", quiet) and {c for _, c, _ in got} - {c for _, c, _ in less} == {"ActiveCustomer", "Member"}
+
+
+def test_alignment_profile_counts_facts(spark, quiet):
+    for sf_dir in (SF, quiet):
+        assert by_spark(spark, "alignment_profile", sf_dir) == by_sql("alignment_profile", sf_dir)
+    assert ("c2c", 3) in {(r[0], r[1]) for r in by_spark(spark, "alignment_profile", quiet)}
