@@ -44,3 +44,12 @@ def test_alignment_profile_counts_facts(spark, quiet):
     for sf_dir in (SF, quiet):
         assert by_spark(spark, "alignment_profile", sf_dir) == by_sql("alignment_profile", sf_dir)
     assert ("c2c", 3) in {(r[0], r[1]) for r in by_spark(spark, "alignment_profile", quiet)}
+
+
+def test_all_mappings_follow_the_tables(spark, quiet):
+    rows = entry.queries()["all_mappings"](spark, SF).collect()
+    assert len(rows) == 78 and min(r.facts for r in rows) >= 0
+    nations = {r.facts for r in rows if r.s_root == "Nation"}
+    assert nations <= {0, 25, 50}
+    less = entry.queries()["all_mappings"](spark, quiet).collect()
+    assert 0 < len(less) < 78 and "ActiveCustomer" not in {r.s_root for r in less}
