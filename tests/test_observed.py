@@ -53,3 +53,22 @@ def test_all_mappings_follow_the_tables(spark, quiet):
     assert nations <= {0, 25, 50}
     less = entry.queries()["all_mappings"](spark, quiet).collect()
     assert 0 < len(less) < 78 and "ActiveCustomer" not in {r.s_root for r in less}
+
+
+def without(spark, tmp_path, **conditions) -> str:
+    """The tables, some with only the rows that meet a condition."""
+    for f in os.listdir(SF):
+        name = f.removesuffix(".parquet")
+        if name in conditions:
+            spark.read.parquet(f"{SF}/{f}").where(conditions[name]).write.parquet(str(tmp_path / f))
+        else:
+            os.symlink(f"{SF}/{f}", tmp_path / f)
+    return str(tmp_path)
+
+
+def test_association_paths_need_facts(spark, tmp_path):
+    got = by_spark(spark, "assoc_paths", SF)
+    assert got == by_sql("assoc_paths", SF) and len(got) == 10
+    some = without(spark, tmp_path, lineitem="l_returnflag <> 'R'")
+    less = by_spark(spark, "assoc_paths", some)
+    assert less == by_sql("assoc_paths", some) and {r[3] for r in got} - {r[3] for r in less} == {"returned_to/Supplier"}
