@@ -72,3 +72,12 @@ def test_association_paths_need_facts(spark, tmp_path):
     some = without(spark, tmp_path, lineitem="l_returnflag <> 'R'")
     less = by_spark(spark, "assoc_paths", some)
     assert less == by_sql("assoc_paths", some) and {r[3] for r in got} - {r[3] for r in less} == {"returned_to/Supplier"}
+
+
+@pytest.mark.parametrize("depth", (1,))
+def test_paths_of_a_depth_need_facts(spark, quiet, depth):
+    name = f"assoc_paths_depth{depth}"
+    got = by_spark(spark, name, SF)
+    assert got == by_sql(name, SF) and len(got) == {1: 0, 2: 1, 3: 3, 4: 5}[depth] and all(len(r) == 5 for r in got)
+    assert entry.queries()[name](spark, SF).columns[-1] == "facts"
+    assert by_spark(spark, name, quiet) == by_sql(name, quiet) == []
