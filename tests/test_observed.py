@@ -74,7 +74,7 @@ def test_association_paths_need_facts(spark, tmp_path):
     assert less == by_sql("assoc_paths", some) and {r[3] for r in got} - {r[3] for r in less} == {"returned_to/Supplier"}
 
 
-@pytest.mark.parametrize("depth", (1, 2, 3))
+@pytest.mark.parametrize("depth", (1, 2, 3, 4))
 def test_paths_of_a_depth_need_facts(spark, quiet, depth):
     name = f"assoc_paths_depth{depth}"
     got = by_spark(spark, name, SF)
