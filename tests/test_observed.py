@@ -81,3 +81,8 @@ def test_paths_of_a_depth_need_facts(spark, quiet, depth):
     assert got == by_sql(name, SF) and len(got) == {1: 0, 2: 1, 3: 3, 4: 5}[depth] and all(len(r) == 5 for r in got)
     assert entry.queries()[name](spark, SF).columns[-1] == "facts"
     assert by_spark(spark, name, quiet) == by_sql(name, quiet) == []
+
+
+def test_owner_rule_counts_over_the_tables(spark, quiet):
+    for sf_dir in (SF, quiet):
+        assert by_spark(spark, "attr_owner_rule", sf_dir) == by_sql("attr_owner_rule", sf_dir)
