@@ -86,3 +86,8 @@ def test_paths_of_a_depth_need_facts(spark, quiet, depth):
 def test_owner_rule_counts_over_the_tables(spark, quiet):
     for sf_dir in (SF, quiet):
         assert by_spark(spark, "attr_owner_rule", sf_dir) == by_sql("attr_owner_rule", sf_dir)
+
+
+def test_basic_associations_count_values(spark, quiet):
+    for sf_dir in (SF, quiet):
+        assert by_spark(spark, "basic_assoc", sf_dir) == by_sql("basic_assoc", sf_dir)
