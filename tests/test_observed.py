@@ -91,3 +91,15 @@ def test_owner_rule_counts_over_the_tables(spark, quiet):
 def test_basic_associations_count_values(spark, quiet):
     for sf_dir in (SF, quiet):
         assert by_spark(spark, "basic_assoc", sf_dir) == by_sql("basic_assoc", sf_dir)
+
+
+def test_best_by_bounds_over_the_tables(spark, quiet):
+    from kbmap import queries as Q
+    from kbmap.operators import interpret
+
+    got = entry.queries()["best_by_bounds"](spark, SF).collect()
+    plain = interpret.best_by_bounds(spark, Q.w0_skeleton(spark), 5, ("r2r", "c2a", "owner"), "strict").collect()
+    assert [(r.asg, r.cons_cost) for r in got] == [(",".join(map(str, r.asg)), r.cons_cost) for r in plain]
+    ((_, least, most),) = by_sql("attr_owner_rule", SF)
+    assert all(least <= r.facts <= most for r in got)
+    assert entry.queries()["best_by_bounds"](spark, quiet).count() == 0
