@@ -103,3 +103,17 @@ def test_best_by_bounds_over_the_tables(spark, quiet):
     ((_, least, most),) = by_sql("attr_owner_rule", SF)
     assert all(least <= r.facts <= most for r in got)
     assert entry.queries()["best_by_bounds"](spark, quiet).count() == 0
+
+
+def test_best_renamings_over_the_tables(spark, quiet):
+    from kbmap import queries as Q
+    from kbmap.operators import interpret
+
+    got = entry.queries()["best_renamings"](spark, SF).collect()
+    sk = Q.w0_skeleton(spark)
+    r = interpret.costed(spark, sk, interpret.renamings(spark, sk, checks=("r2r", "c2a", "owner"), c2a_mode="strict"))
+    plain = interpret.best_renamings(r, 5).collect()
+    assert [(r.asg, r.combined) for r in got] == [(",".join(map(str, r.asg)), r.combined) for r in plain]
+    ((_, least, most),) = by_sql("attr_owner_rule", SF)
+    assert all(least <= r.facts <= most for r in got)
+    assert entry.queries()["best_renamings"](spark, quiet).count() == 0
