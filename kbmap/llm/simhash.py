@@ -8,6 +8,7 @@ so that no bucket grows without bound and no match is left out.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -139,9 +140,10 @@ def near_duplicates(docs: DataFrame, n: int = 3) -> DataFrame:
 
 #: Words of the shingles whose similarity counts.
 SHINGLE_WORDS = 5
-#: Bands of a MinHash signature and values in each: a pair with Jaccard s shares no band with probability (1 - s ** BAND_VALUES) ** BANDS,
-#: 0.0006 at 0.8, whatever the number of documents and wherever the two differ.
-BANDS, BAND_VALUES = 40, 8
+#: Segments of a long fingerprint (16 bits each) and 64-bit words beside them by which the holders of a segment value are compared. About 15 % of
+#: the bits of a pair with Jaccard 0.8 differ, so it shares no segment with probability 0.0002, whatever the number of documents and
+#: wherever the two differ (up to 0.02 for sets of four or five shingles, whose majorities are coarser).
+SEGMENTS, CHECK_WORDS = 112, 2
 #: Words of 64 bits in the parity map that bounds a pair's difference from below before its shingles are compared.
 PARITY_WORDS = 16
 #: Holders of one band that are compared as one piece; a band with more is cut in blocks, each met by every holder.
@@ -163,20 +165,22 @@ def _grams(word_hashes: np.ndarray, n: int) -> np.ndarray:
     return np.unique(g)
 
 
-_rng = np.random.default_rng(SEED)
-_SCALE = _rng.integers(0, 1 << 32, BANDS * BAND_VALUES, np.uint32)[:, None] | np.uint32(1)
-_SHIFT = _rng.integers(0, 1 << 32, BANDS * BAND_VALUES, np.uint32)[:, None]
+_SALT = np.random.default_rng(SEED).integers(0, 1 << 63, SEGMENTS // 4 + CHECK_WORDS, np.uint64)
 
 
-def _bands(h: np.ndarray) -> np.ndarray:
-    """A hash of each band of the set's MinHash signature, which is taken in slices of bounded size."""
-    low, least = (h >> np.uint64(32)).astype(np.uint32), np.full(BANDS * BAND_VALUES, (1 << 32) - 1, np.uint32)
-    for k in range(0, len(low), 512):
-        least = np.minimum(least, (low[k : k + 512] * _SCALE + _SHIFT).min(1))
-    key = _mix(np.arange(BANDS, dtype=np.uint64))
-    for values in least.astype(np.uint64).reshape(BANDS, BAND_VALUES).T:
-        key = _mix(key + values)
-    return key.view(np.int64)
+def _long_fingerprint(h: np.ndarray) -> np.ndarray:
+    """The SimHash of a set of hashes: bit k is 1 if set in over half of the members; counted in slices of bounded size."""
+    count = np.zeros(64 * len(_SALT), np.int64)
+    for k in range(0, len(h), 255):
+        drawn = _mix(h[k : k + 255, None] ^ _SALT)
+        count += np.unpackbits(drawn.view(np.uint8), axis=1, bitorder="little").sum(0, dtype=np.uint8)
+    return np.packbits(2 * count > len(h), bitorder="little").view("<i8")
+
+
+def reach(similarity: float) -> int:
+    """Bits of the check words in which sets of that similarity differ at most, by four standard deviations and a quarter for small sets."""
+    share = math.acos(2 * similarity / (1 + similarity)) / math.pi
+    return int(64 * CHECK_WORDS * share * 1.25 + 4 * math.sqrt(64 * CHECK_WORDS * share))
 
 
 def _parity(h: np.ndarray) -> np.ndarray:
@@ -194,8 +198,8 @@ def _word_hashes(words: list[bytes]) -> np.ndarray:
 def near_copy_prints(rows: DataFrame) -> DataFrame:
     """(file, row, same, size, parity, bands) of (file, row, text).
 
-    ``same`` is a hash (128 bits) of the word sequence; then the number of hashed shingles, their parity map and the keys of the
-    bands. A word sequence that a batch has met before leaves the last three null.
+    ``same`` is a hash (128 bits) of the word sequence; then the number of hashed shingles, their parity map and their long
+    fingerprint. A word sequence that a batch has met before leaves the last three null.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -215,7 +219,7 @@ def near_copy_prints(rows: DataFrame) -> DataFrame:
                     g = _grams(_word_hashes(words), SHINGLE_WORDS)
                     size.append(len(g))
                     parity.append(_parity(g))
-                    bands.append(_bands(g))
+                    bands.append(_long_fingerprint(g))
                 longs = pa.list_(pa.int64())
                 yield pa.RecordBatch.from_arrays(
                     [b.column(0), b.column(1), pa.array(same, pa.binary()), pa.array(size, pa.int64()), pa.array(parity, longs), pa.array(bands, longs)],
@@ -266,22 +270,77 @@ def similar(cut: Cut, pairs: DataFrame, rows: DataFrame, prints: DataFrame, simi
     return out
 
 
+def close_holders(prints: DataFrame, similarity: float) -> DataFrame:
+    """(key, a, n): holders n of a segment value (key) that are near another holder of it by the check words.
+
+    ``a`` is the smallest holder near n, or n itself. Of values with more than ``BLOCK`` holders all stay, with the smallest of all.
+    """
+    parts = SEGMENTS // 4
+    word = lambda k: F.get("bands", F.floor(k / 4).cast("int"))
+    value = lambda k: F.call_function("shiftright", word(k), (k % 4) * 16).bitwiseAND(F.lit(0xFFFF).cast("long"))
+    held = prints.where("size is not null").groupBy("same").agg(F.first("bands").alias("bands"))
+    checks = [F.get("bands", F.lit(parts + k)).alias(f"c{k}") for k in range(CHECK_WORDS)]
+    keys = held.select("same", *checks, F.explode(F.transform(F.sequence(F.lit(0), F.lit(SEGMENTS - 1)), lambda k: k.cast("long") * 65536 + value(k))).alias("key"))
+    limit = reach(similarity)
+
+    def found(key: np.ndarray, check: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Rows that stay and, for each, the row of its smallest near holder; rows are in order of key and holder."""
+        starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+        sizes = np.diff(np.r_[starts, len(key)])
+        first, size = np.repeat(starts, sizes), np.repeat(sizes, sizes)
+        lead, stays = np.arange(len(key)), size > BLOCK
+        lead[stays] = first[stays]
+        at, lag = np.flatnonzero(~stays), 1
+        while len(at := at[at + lag < (first + size)[at]]):
+            near = at[np.bitwise_count(check[at] ^ check[at + lag]).sum(1) <= limit]
+            stays[near] = stays[near + lag] = True
+            np.minimum.at(lead, near + lag, near)
+            lag += 1
+        rows = np.flatnonzero(stays)
+        return rows, lead[rows]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def close(t: pa.Table) -> Iterator[pa.RecordBatch]:
+            check = np.stack([t.column(f"c{k}").to_numpy().view(np.uint64) for k in range(CHECK_WORDS)], axis=1)
+            rows, lead = found(t.column("key").to_numpy(), check)
+            same = t.column("same").combine_chunks()
+            for k in range(0, len(rows), 1 << 14):
+                r, a = (pa.array(x[k : k + (1 << 14)]) for x in (rows, lead))
+                yield from pa.table({"key": t.column("key").take(r), "a": same.take(a), "n": same.take(r)}).combine_chunks().to_batches()
+
+        held, n = [], 0
+        for b in batches:
+            if not b.num_rows:
+                continue
+            held.append(b)
+            n += b.num_rows
+            if n < 1 << 16 or b.column(0)[0].as_py() == b.column(0)[b.num_rows - 1].as_py():
+                continue
+            t = pa.Table.from_batches(held)
+            key = t.column("key").to_numpy()
+            whole = int(np.searchsorted(key, key[-1]))
+            yield from close(t.slice(0, whole))
+            held, n = t.slice(whole).to_batches(), len(key) - whole
+        if held:
+            yield from close(pa.Table.from_batches(held))
+
+    dealt = keys.select("key", "same", *[f"c{k}" for k in range(CHECK_WORDS)]).repartition("key").sortWithinPartitions("key", "same")
+    return dealt.mapInArrow(run, "key long, a binary, n binary")
+
+
 def near_copies(rows: DataFrame, similarity: float, cut: Cut) -> DataFrame:
     """(file, row, component) of (file, row, text): groups of rows with equal words or similar five-word shingles.
 
-    Rows with equal word sequences collapse to one node. Nodes that share a band of their MinHash signature are candidates, and
-    a match counts if the Jaccard similarity of the two shingle sets is high enough.
-    Every holder of a band first meets the band's smallest holder. The components of these links stand for what is
+    Rows with equal word sequences collapse to one node. Nodes that share a segment of their SimHash and are near by its check words are
+    candidates, and a match counts if the Jaccard similarity of the two shingle sets is high enough.
+    Every holder of a segment value (a band) first meets the smallest holder near it. The components of these links stand for what is
     already joined; then all pairs of a band's holders from different components meet, so that only pairs that
     could not change a component are left out. Crowded bands are cut in blocks.
     ``component`` names the group (a node's hash).
     """
     prints = cut(near_copy_prints(rows))
     nodes = cut(prints.where("size is not null").groupBy("same").agg(F.first("size").alias("size"), F.first("parity").alias("parity")))
-    held = prints.where("size is not null").select(F.col("same").alias("n"), F.explode("bands").alias("key"))
-    # Bands with one holder end here.
-    least = held.groupBy("key").agg(F.min("n").alias("a"), F.max("n").alias("top")).where("a <> top").select("key", "a")
-    shared = cut(held.join(least, "key").select("key", "a", "n").distinct())
+    shared = cut(close_holders(prints, similarity))
     pairs = cut(shared.where("a <> n").select("a", F.col("n").alias("b")).distinct())
     edges = similar(cut, plausible(pairs, nodes, similarity), rows, prints, similarity)
     joined = cut(nodes.join(connected_components(cut, edges).withColumnRenamed("v", "same"), "same", "left").withColumn("root", F.coalesce("root", "same")))

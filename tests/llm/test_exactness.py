@@ -598,6 +598,42 @@ def test_every_holder_of_a_band_is_met(spark):
     assert len(set(component.values())) >= 2000
 
 
+@pytest.mark.parametrize("block", [2048, 20])
+def test_candidates_are_those_of_the_fingerprints(spark, monkeypatch, block):
+    """Bits of the long fingerprint by majority, and every pair that shares a segment and is near by the check words is met."""
+    from kbmap.llm.common import Cut
+
+    monkeypatch.setattr(simhash, "BLOCK", block)
+    rng = random.Random(14)
+    texts = []
+    for _ in range(40):
+        w = [rng.choice("abcdefgh") * rng.randrange(1, 9) for _ in range(rng.choice((9, 60, 400)))]
+        texts += [" ".join(w), " ".join(w[1:]), " ".join(["x", *w[3:]])]
+    grams = {t: simhash._grams(simhash._word_hashes(simhash.text_words(t)), 5) for t in texts}
+    fp = {t: simhash._long_fingerprint(g) for t, g in grams.items()}
+    for t in texts[:6]:
+        drawn = [[int(x) for x in simhash._mix(np.array([h]) ^ simhash._SALT)] for h in grams[t]]
+        for word in (0, simhash.SEGMENTS // 4):
+            assert int(fp[t][word]) & (1 << 64) - 1 == sum(1 << k for k in range(64) if 2 * sum(d[word] >> k & 1 for d in drawn) > len(drawn))
+    df = spark.createDataFrame([(1, i, t) for i, t in enumerate(texts)], "file long, row long, text string").repartition(4)
+    prints = Cut(spark)(simhash.near_copy_prints(df))
+    number = {bytes(r.same): r.row for r in prints.collect()}
+    held = {}
+    for r in simhash.close_holders(prints, 0.8).collect():
+        held.setdefault(r.key, set()).add(number[bytes(r.n)])
+        assert bytes(r.a) <= bytes(r.n)
+    parts = [fp[t][: simhash.SEGMENTS // 4].copy().view("<u2") for t in texts]
+    checks = [fp[t][simhash.SEGMENTS // 4 :].view(np.uint64) for t in texts]
+    pairs = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            if int(np.bitwise_count(checks[i] ^ checks[j]).sum()) <= simhash.reach(0.8):
+                for k in np.flatnonzero(parts[i] == parts[j]).tolist():
+                    pairs += 1
+                    assert {i, j} <= held[k << 16 | int(parts[i][k])]
+    assert pairs > 1000
+
+
 def test_crowded_bands_are_cut_in_blocks(spark):
     from kbmap.llm.common import Cut
 
