@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -146,7 +147,9 @@ SHINGLE_WORDS = 5
 SEGMENTS, CHECK_WORDS = 112, 2
 #: Words of 64 bits in the parity map that bounds a pair's difference from below before its shingles are compared.
 PARITY_WORDS = 16
-#: Holders of one band that are compared as one piece; a band with more is cut in blocks, each met by every holder.
+#: Words of the parity map as folded for the first look at a band's holders.
+FOLDED_WORDS = 4
+#: Holders of a band above which all of them stay after that first look, and that are later compared as one piece.
 BLOCK = 2048
 
 
@@ -252,10 +255,15 @@ def shingle_sets(cut: Cut, rows: DataFrame, prints: DataFrame, asked: DataFrame)
     return cut(rows.select("file", "row", "text").mapInArrow(run, "same binary, grams array<long>"))
 
 
+def unshared(m: np.ndarray | Column, similarity: float) -> np.ndarray | Column:
+    """Members that two sets of ``m`` members together have apart at most, if they have that Jaccard similarity."""
+    return m * ((1 - similarity) / (1 + similarity)) + 1e-6
+
+
 def may_reach(a: str, b: str, similarity: float) -> Column:
     """False only for pairs (structs with size and parity) whose sets cannot have that Jaccard similarity."""
     differ = sum((F.bit_count(F.get(f"{a}.parity", F.lit(k)).bitwiseXOR(F.get(f"{b}.parity", F.lit(k)))) for k in range(PARITY_WORDS)), F.lit(0))
-    return differ <= (F.col(f"{a}.size") + F.col(f"{b}.size")) * ((1 - similarity) / (1 + similarity)) + 1e-6
+    return F.greatest(differ, F.abs(F.col(f"{a}.size") - F.col(f"{b}.size"))) <= unshared(F.col(f"{a}.size") + F.col(f"{b}.size"), similarity)
 
 
 def similar(cut: Cut, pairs: DataFrame, rows: DataFrame, prints: DataFrame, similarity: float) -> DataFrame:
@@ -270,20 +278,44 @@ def similar(cut: Cut, pairs: DataFrame, rows: DataFrame, prints: DataFrame, simi
     return out
 
 
-def close_holders(prints: DataFrame, similarity: float) -> DataFrame:
+def whole_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """The rows in order of their first column (a number), in tables that hold all rows of each of its values."""
+    held, n = [], 0
+    for b in batches:
+        if not b.num_rows:
+            continue
+        held.append(b)
+        n += b.num_rows
+        if n < 1 << 16 or b.column(0)[0].as_py() == b.column(0)[b.num_rows - 1].as_py():
+            continue
+        t = pa.Table.from_batches(held)
+        key = t.column(0).to_numpy()
+        whole = int(np.searchsorted(key, key[-1]))
+        yield t.slice(0, whole)
+        held, n = t.slice(whole).to_batches(), len(key) - whole
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def close_holders(prints: DataFrame, similarity: float, bounds: bool = False) -> DataFrame:
     """(key, a, n): holders n of a segment value (key) that are near another holder of it by the check words.
 
     ``a`` is the smallest holder near n, or n itself. Of values with more than ``BLOCK`` holders all stay, with the smallest of all.
+    With ``bounds``, holders whose sizes or folded parity maps show that their sets cannot have the similarity are not near.
     """
     parts = SEGMENTS // 4
     word = lambda k: F.get("bands", F.floor(k / 4).cast("int"))
     value = lambda k: F.call_function("shiftright", word(k), (k % 4) * 16).bitwiseAND(F.lit(0xFFFF).cast("long"))
-    held = prints.where("size is not null").groupBy("same").agg(F.first("bands").alias("bands"))
+    held = prints.where("size is not null").groupBy("same").agg(*[F.first(c).alias(c) for c in ("bands", "size", "parity")])
     checks = [F.get("bands", F.lit(parts + k)).alias(f"c{k}") for k in range(CHECK_WORDS)]
+    if bounds:
+        fold = lambda k: reduce(Column.bitwiseXOR, [F.get("parity", F.lit(i)) for i in range(k, PARITY_WORDS, FOLDED_WORDS)])
+        checks += [fold(k).alias(f"c{CHECK_WORDS + k}") for k in range(FOLDED_WORDS)] + [F.col("size").cast("int").alias("size")]
     keys = held.select("same", *checks, F.explode(F.transform(F.sequence(F.lit(0), F.lit(SEGMENTS - 1)), lambda k: k.cast("long") * 65536 + value(k))).alias("key"))
+    keys = keys.select("key", *[c for c in keys.columns if c != "key"])
     limit = reach(similarity)
 
-    def found(key: np.ndarray, check: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def found(key: np.ndarray, check: np.ndarray, fold: np.ndarray, size_of: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
         """Rows that stay and, for each, the row of its smallest near holder; rows are in order of key and holder."""
         starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
         sizes = np.diff(np.r_[starts, len(key)])
@@ -293,6 +325,9 @@ def close_holders(prints: DataFrame, similarity: float) -> DataFrame:
         at, lag = np.flatnonzero(~stays), 1
         while len(at := at[at + lag < (first + size)[at]]):
             near = at[np.bitwise_count(check[at] ^ check[at + lag]).sum(1) <= limit]
+            if bounds:
+                apart = np.maximum(np.bitwise_count(fold[near] ^ fold[near + lag]).sum(1), np.abs(size_of[near] - size_of[near + lag]))
+                near = near[apart <= unshared(size_of[near] + size_of[near + lag], similarity)]
             stays[near] = stays[near + lag] = True
             np.minimum.at(lead, near + lag, near)
             lag += 1
@@ -300,31 +335,16 @@ def close_holders(prints: DataFrame, similarity: float) -> DataFrame:
         return rows, lead[rows]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def close(t: pa.Table) -> Iterator[pa.RecordBatch]:
-            check = np.stack([t.column(f"c{k}").to_numpy().view(np.uint64) for k in range(CHECK_WORDS)], axis=1)
-            rows, lead = found(t.column("key").to_numpy(), check)
+        for t in whole_groups(batches):
+            words = np.stack([t.column(f"c{k}").to_numpy().view(np.uint64) for k in range(CHECK_WORDS + FOLDED_WORDS * bounds)], axis=1)
+            sizes = t.column("size").to_numpy().astype(np.int64) if bounds else None
+            rows, lead = found(t.column("key").to_numpy(), words[:, :CHECK_WORDS], words[:, CHECK_WORDS:], sizes)
             same = t.column("same").combine_chunks()
             for k in range(0, len(rows), 1 << 14):
                 r, a = (pa.array(x[k : k + (1 << 14)]) for x in (rows, lead))
                 yield from pa.table({"key": t.column("key").take(r), "a": same.take(a), "n": same.take(r)}).combine_chunks().to_batches()
 
-        held, n = [], 0
-        for b in batches:
-            if not b.num_rows:
-                continue
-            held.append(b)
-            n += b.num_rows
-            if n < 1 << 16 or b.column(0)[0].as_py() == b.column(0)[b.num_rows - 1].as_py():
-                continue
-            t = pa.Table.from_batches(held)
-            key = t.column("key").to_numpy()
-            whole = int(np.searchsorted(key, key[-1]))
-            yield from close(t.slice(0, whole))
-            held, n = t.slice(whole).to_batches(), len(key) - whole
-        if held:
-            yield from close(pa.Table.from_batches(held))
-
-    dealt = keys.select("key", "same", *[f"c{k}" for k in range(CHECK_WORDS)]).repartition("key").sortWithinPartitions("key", "same")
+    dealt = keys.repartition("key").sortWithinPartitions("key", "same")
     return dealt.mapInArrow(run, "key long, a binary, n binary")
 
 
@@ -335,12 +355,12 @@ def near_copies(rows: DataFrame, similarity: float, cut: Cut) -> DataFrame:
     candidates, and a match counts if the Jaccard similarity of the two shingle sets is high enough.
     Every holder of a segment value (a band) first meets the smallest holder near it. The components of these links stand for what is
     already joined; then all pairs of a band's holders from different components meet, so that only pairs that
-    could not change a component are left out. Crowded bands are cut in blocks.
+    could not change a component are left out. Crowded bands are cut in pieces.
     ``component`` names the group (a node's hash).
     """
     prints = cut(near_copy_prints(rows))
     nodes = cut(prints.where("size is not null").groupBy("same").agg(F.first("size").alias("size"), F.first("parity").alias("parity")))
-    shared = cut(close_holders(prints, similarity))
+    shared = cut(close_holders(prints, similarity, bounds=True))
     pairs = cut(shared.where("a <> n").select("a", F.col("n").alias("b")).distinct())
     edges = similar(cut, plausible(pairs, nodes, similarity), rows, prints, similarity)
     joined = cut(nodes.join(connected_components(cut, edges).withColumnRenamed("v", "same"), "same", "left").withColumn("root", F.coalesce("root", "same")))
@@ -362,16 +382,51 @@ def plausible(pairs: DataFrame, nodes: DataFrame, similarity: float) -> DataFram
 def holder_pairs(cut: Cut, shared: DataFrame, joined: DataFrame, similarity: float) -> DataFrame:
     """Pairs (a, b) of holders of one band (key, same) in different components that ``may_reach`` leaves.
 
-    Each holder stands in one block of its band and is met by the holders of all blocks.
+    The holders of a band's largest component ask nothing, they are only asked by those of its other components. Askers and holders are
+    dealt over parts of some sqrt(n * BLOCK) of the band's n holders, and each part of the askers meets each part of the holders in a
+    piece. Up to ``BLOCK`` holders are one piece with a row for each; of more, a holder stands in sqrt(n / BLOCK) pieces as asker and as
+    holder at most, and in one where the others are few.
     """
     rows = cut(shared.join(joined.select("same", "root"), "same"))
-    bands = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
-    blocks = bands.select("key", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
-    mixed = cut(rows.join(blocks, "key").join(joined.select("same", F.struct("size", "parity").alias("of")), "same"))
-    left = mixed.select("key", F.pmod(F.xxhash64("same"), F.col("blocks")).cast("int").alias("block"), F.col("same").alias("a"), F.col("root").alias("ra"), F.col("of").alias("of_a"))
-    right = mixed.select("key", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), F.col("same").alias("b"), F.col("root").alias("rb"), F.col("of").alias("of_b"))
-    met = left.join(right.hint("merge"), ["key", "block"]).where("a < b and ra <> rb").where(may_reach("of_a", "of_b", similarity))
-    return met.select("a", "b").distinct()
+    each = rows.groupBy("key", "root").agg(F.count(F.lit(1)).alias("n"))
+    bands = each.groupBy("key").agg(F.sum("n").alias("n"), F.max(F.struct("n", "root")).alias("most")).where("n > most.n")
+    parts = F.ceil(F.sqrt(F.col("n") / BLOCK)).cast("int")
+    dealt = bands.select("key", F.col("most.root").alias("large"), parts.alias("parts"), F.ceil((F.col("n") - F.col("most.n")) * parts / F.col("n")).cast("int").alias("askers"))
+    mixed = cut(rows.join(dealt, "key").join(joined.select("same", F.col("size").cast("long").alias("size"), F.col("parity").cast("array<long>").alias("parity")), "same"))
+    few, place = F.col("root") != F.col("large"), F.xxhash64("same")
+    asker, holder = F.pmod(F.shiftright(place, 32), F.col("askers")), F.pmod(place, F.col("parts"))
+    piece = lambda i, j: F.col("key") * (1 << 32) + i * F.col("parts") + j
+    row = lambda i, j, asks, held: F.struct(piece(i, j).alias("piece"), asks.alias("asks"), held.alias("held"))
+    asking = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: row(asker, j, F.lit(True), j == holder))
+    holding = F.transform(F.filter(F.sequence(F.lit(0), F.col("askers") - 1), lambda i: ~few | (i != asker)), lambda i: row(i, holder, F.lit(False), F.lit(True)))
+    pieces = mixed.select("same", "root", "size", "parity", few.alias("few"), F.explode(F.when(few, F.concat(asking, holding)).otherwise(holding)).alias("at"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in whole_groups(batches):
+            at = t.column("piece").to_numpy()
+            ends = np.r_[np.flatnonzero(at[1:] != at[:-1]) + 1, len(at)]
+            asks, held, few = (t.column(c).to_numpy() for c in ("asks", "held", "few"))
+            same, size = t.column("same").combine_chunks(), t.column("size").to_numpy()
+            root = t.column("root").combine_chunks().dictionary_encode().indices.to_numpy()
+            parity = t.column("parity").combine_chunks().flatten().to_numpy().view(np.uint64).reshape(-1, PARITY_WORDS)
+            for start, end in zip(np.r_[0, ends[:-1]].tolist(), ends.tolist()):
+                a, b = (start + np.flatnonzero(x[start:end]) for x in (asks, held))
+                step = max(1, (1 << 16) // max(1, len(b)))
+                for k in range(0, len(a), step):
+                    i = a[k : k + step, None]
+                    # Two askers meet both ways; one of them counts.
+                    x, y = np.nonzero((root[i] != root[b]) & (~few[b] | (i < b)) & (np.abs(size[i] - size[b]) <= unshared(size[i] + size[b], similarity)))
+                    x, y, differ = i[x, 0], b[y], 0
+                    for words in (slice(0, FOLDED_WORDS), slice(FOLDED_WORDS, None)):
+                        differ = differ + np.bitwise_count(parity[x, words] ^ parity[y, words]).sum(1, dtype=np.int64)
+                        left = differ <= unshared(size[x] + size[y], similarity)
+                        x, y, differ = x[left], y[left], differ[left]
+                    if len(x):
+                        yield pa.RecordBatch.from_arrays([same.take(pa.array(x)), same.take(pa.array(y))], ["a", "b"])
+
+    kind = joined.schema["same"].dataType.simpleString()
+    found = pieces.select("at.*", "same", "root", "size", "parity", "few").repartition("piece").sortWithinPartitions("piece", "same").mapInArrow(run, f"a {kind}, b {kind}")
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
 def keep_one_of_each(docs: DataFrame, similarity: float = 0.8) -> DataFrame:

@@ -644,6 +644,100 @@ def test_crowded_bands_are_cut_in_blocks(spark):
     assert simhash.holder_pairs(Cut(spark), shared, joined, 0.8).count() == want
 
 
+def generated(frame) -> int:
+    """Rows that explode() makes in a frame's plan when it runs."""
+    frame.collect()
+    found, todo = 0, [frame._jdf.queryExecution().executedPlan()]
+    while todo:
+        node = todo.pop()
+        name = node.getClass().getSimpleName()
+        if name == "GenerateExec":
+            found += node.metrics().apply("numOutputRows").value()
+        todo += [node.executedPlan()] if name == "AdaptiveSparkPlanExec" else [node.plan()] if name.endswith("QueryStageExec") else [node.children().apply(k) for k in range(node.children().size())]
+    return found
+
+
+@pytest.mark.parametrize("others, most", [(10, 4.5), (None, 9)])
+def test_rows_of_a_crowded_band_do_not_grow_with_the_square(spark, monkeypatch, others, most):
+    """Four times the holders of a band: of one large component and a few others, and of as many components as holders."""
+    from kbmap.llm.common import Cut
+
+    monkeypatch.setattr(simhash, "BLOCK", 50)
+    made = []
+    for n in (1000, 4000):
+        root = F.col("id") if others is None else F.when(F.col("id") < others, F.col("id")).otherwise(others)
+        parity = F.array(*[F.xxhash64(F.col("id") % (n // 2), F.lit(k)) for k in range(simhash.PARITY_WORDS)])
+        joined = spark.range(n).select(F.col("id").alias("same"), root.alias("root"), F.lit(9).alias("size"), parity.alias("parity"))
+        met = simhash.holder_pairs(Cut(spark), spark.range(n).select(F.lit(1).cast("long").alias("key"), F.col("id").alias("same")), joined, 0.8)
+        made.append(generated(met))
+        assert met.count() == (others or n // 2)
+    assert 1000 <= made[0] and made[1] <= most * made[0], made
+
+
+@pytest.mark.parametrize("block", [3, 40, 2048])
+def test_holders_of_other_components_all_meet(spark, monkeypatch, block):
+    """Pairs by brute force: bands of many sizes, components large and small, sizes and parity maps on both sides of the bound."""
+    from kbmap.llm.common import Cut
+
+    monkeypatch.setattr(simhash, "BLOCK", block)
+    rng = random.Random(15)
+    nodes, words = [], simhash.PARITY_WORDS
+    for i in range(400):
+        bits = 0
+        for _ in range(rng.randrange(12)):
+            bits ^= 1 << rng.randrange(64 * words)
+        parity = [(bits >> 64 * k & (1 << 64) - 1) for k in range(words)]
+        nodes.append((i, rng.choice((0, 0, 0, 1, 2, i + 10)), rng.choice((30, 40, 50)), [x - (1 << 64) if x >> 63 else x for x in parity], bits))
+    shared = [(key, i) for key, n in enumerate((1, 2, 7, 90, 90, 300)) for i in rng.sample(range(400), n)]
+    held = {}
+    for key, i in shared:
+        held.setdefault(key, []).append(i)
+    want = set()
+    for members in held.values():
+        for a in members:
+            for b in members:
+                (_, ra, sa, _, x), (_, rb, sb, _, y) = nodes[a], nodes[b]
+                if a < b and ra != rb and max((x ^ y).bit_count(), abs(sa - sb)) <= (sa + sb) / 9 + 1e-6:
+                    want.add((a, b))
+    joined = spark.createDataFrame([x[:4] for x in nodes], "same long, root long, size long, parity array<long>")
+    got = [(r.a, r.b) for r in simhash.holder_pairs(Cut(spark), spark.createDataFrame(shared, "key long, same long").repartition(4), joined, 0.8).collect()]
+    assert len(want) > 1000 and len(got) == len(set(got)) and set(got) == want
+
+
+def test_bounds_at_the_first_look_lose_no_similar_pair(spark):
+    """Pairs that similarity allows stay holders wherever they share a segment; texts that only share a passage don't."""
+    from kbmap.llm.common import Cut
+
+    rng = random.Random(16)
+    word = lambda: "".join(rng.choice("abcdefghijklmnop") for _ in range(5))
+    passage, texts = [word() for _ in range(120)], []
+    for k in range(150):
+        w = passage + [word() for _ in range(60)]
+        texts.append(" ".join(w))
+        if k % 3 == 0:
+            at, n = rng.randrange(150), rng.randrange(1, 14)
+            texts.append(" ".join(w[:at] + [word() for _ in range(n)] + w[at + n :]))
+    grams = [simhash._grams(simhash._word_hashes(simhash.text_words(t)), 5) for t in texts]
+    fp = [simhash._long_fingerprint(g) for g in grams]
+    parts = [f[: simhash.SEGMENTS // 4].copy().view("<u2") for f in fp]
+    checks = [f[simhash.SEGMENTS // 4 :].view(np.uint64) for f in fp]
+    prints = Cut(spark)(simhash.near_copy_prints(spark.createDataFrame([(1, i, t) for i, t in enumerate(texts)], "file long, row long, text string").repartition(4)))
+    number = {bytes(r.same): r.row for r in prints.collect()}
+    held = {}
+    for r in simhash.close_holders(prints, 0.8, bounds=True).collect():
+        held.setdefault(r.key, set()).add(number[bytes(r.n)])
+    pairs = 0
+    for i in range(len(texts)):
+        for j in range(i):
+            n = len(np.intersect1d(grams[i], grams[j]))
+            if n >= 0.8 * (len(grams[i]) + len(grams[j]) - n) and int(np.bitwise_count(checks[i] ^ checks[j]).sum()) <= simhash.reach(0.8):
+                for k in np.flatnonzero(parts[i] == parts[j]).tolist():
+                    pairs += 1
+                    assert {i, j} <= held[k << 16 | int(parts[i][k])]
+    assert pairs > 300
+    assert 4 * sum(map(len, held.values())) < simhash.close_holders(prints, 0.8).count()
+
+
 def test_embedding_links_of_each_width(spark):
     rng = np.random.default_rng(8)
     rows = []
