@@ -9,7 +9,7 @@ so that no bucket grows without bound and no match is left out.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from functools import reduce
 
 import numpy as np
@@ -297,55 +297,87 @@ def whole_groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(held)
 
 
-def close_holders(prints: DataFrame, similarity: float, bounds: bool = False) -> DataFrame:
+def near_in_group(key: np.ndarray, crowd: np.ndarray, near: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Rows that are near another row of their key and, for each, the smallest row near it, or itself; rows are in order of ``key``.
+
+    ``near`` says of rows i and j which are near. Rows of a ``crowd`` all stay, with the first of their key.
+    """
+    starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+    sizes = np.diff(np.r_[starts, len(key)])
+    first, size = np.repeat(starts, sizes), np.repeat(sizes, sizes)
+    lead, stays = np.where(crowd, first, np.arange(len(key))), crowd.copy()
+    at, lag = np.flatnonzero(~stays), 1
+    while len(at := at[at + lag < (first + size)[at]]):
+        met = at[near(at, at + lag)]
+        stays[met] = stays[met + lag] = True
+        np.minimum.at(lead, met + lag, met)
+        lag += 1
+    rows = np.flatnonzero(stays)
+    return rows, lead[rows]
+
+
+def close_holders(prints: DataFrame, similarity: float, bounds: bool = False, nodes: DataFrame | None = None) -> DataFrame:
     """(key, a, n): holders n of a segment value (key) that are near another holder of it by the check words.
 
     ``a`` is the smallest holder near n, or n itself. Of values with more than ``BLOCK`` holders all stay, with the smallest of all.
     With ``bounds``, holders whose sizes or folded parity maps show that their sets cannot have the similarity are not near.
+    Each text sends a row for every segment, so these rows carry the check words and a short name only; the few that are near
+    another by the check words then get the rest from ``nodes`` (same, size, parity; made from ``prints`` if not given) and meet again.
     """
-    parts = SEGMENTS // 4
+    parts, limit = SEGMENTS // 4, reach(similarity)
     word = lambda k: F.get("bands", F.floor(k / 4).cast("int"))
     value = lambda k: F.call_function("shiftright", word(k), (k % 4) * 16).bitwiseAND(F.lit(0xFFFF).cast("long"))
-    held = prints.where("size is not null").groupBy("same").agg(*[F.first(c).alias(c) for c in ("bands", "size", "parity")])
-    checks = [F.get("bands", F.lit(parts + k)).alias(f"c{k}") for k in range(CHECK_WORDS)]
-    if bounds:
-        fold = lambda k: reduce(Column.bitwiseXOR, [F.get("parity", F.lit(i)) for i in range(k, PARITY_WORDS, FOLDED_WORDS)])
-        checks += [fold(k).alias(f"c{CHECK_WORDS + k}") for k in range(FOLDED_WORDS)] + [F.col("size").cast("int").alias("size")]
-    keys = held.select("same", *checks, F.explode(F.transform(F.sequence(F.lit(0), F.lit(SEGMENTS - 1)), lambda k: k.cast("long") * 65536 + value(k))).alias("key"))
-    keys = keys.select("key", *[c for c in keys.columns if c != "key"])
-    limit = reach(similarity)
-
-    def found(key: np.ndarray, check: np.ndarray, fold: np.ndarray, size_of: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
-        """Rows that stay and, for each, the row of its smallest near holder; rows are in order of key and holder."""
-        starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-        sizes = np.diff(np.r_[starts, len(key)])
-        first, size = np.repeat(starts, sizes), np.repeat(sizes, sizes)
-        lead, stays = np.arange(len(key)), size > BLOCK
-        lead[stays] = first[stays]
-        at, lag = np.flatnonzero(~stays), 1
-        while len(at := at[at + lag < (first + size)[at]]):
-            near = at[np.bitwise_count(check[at] ^ check[at + lag]).sum(1) <= limit]
-            if bounds:
-                apart = np.maximum(np.bitwise_count(fold[near] ^ fold[near + lag]).sum(1), np.abs(size_of[near] - size_of[near + lag]))
-                near = near[apart <= unshared(size_of[near] + size_of[near + lag], similarity)]
-            stays[near] = stays[near + lag] = True
-            np.minimum.at(lead, near + lag, near)
-            lag += 1
-        rows = np.flatnonzero(stays)
-        return rows, lead[rows]
+    checks = [f"c{k}" for k in range(CHECK_WORDS)]
+    # A name that two nodes share adds holders and loses none.
+    name = F.xxhash64("same").alias("name")
+    held = prints.where("size is not null").groupBy("same").agg(F.first("bands").alias("bands"))
+    if nodes is None:
+        nodes = prints.where("size is not null").groupBy("same").agg(F.first("size").alias("size"), F.first("parity").alias("parity"))
+    each = F.explode(F.transform(F.sequence(F.lit(0), F.lit(SEGMENTS - 1)), lambda k: k.cast("long") * 65536 + value(k)))
+    keys = held.select(each.alias("key"), name, *[F.get("bands", F.lit(parts + k)).alias(c) for k, c in enumerate(checks)])
+
+    def stacked(t: pa.Table, columns: list[str]) -> np.ndarray:
+        return np.stack([t.column(c).to_numpy().view(np.uint64) for c in columns], axis=1)
+
+    def first_look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for t in whole_groups(batches):
+            key, check = t.column("key").to_numpy(), stacked(t, checks)
+            starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+            sizes = np.diff(np.r_[starts, len(key)])
+            crowd = np.repeat(sizes > BLOCK, sizes)
+            rows, _ = near_in_group(key, crowd, lambda i, j: np.bitwise_count(check[i] ^ check[j]).sum(1) <= limit)
+            left = t.append_column("crowd", pa.array(crowd))
+            for k in range(0, len(rows), 1 << 14):
+                yield from left.take(pa.array(rows[k : k + (1 << 14)])).combine_chunks().to_batches()
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    few = keys.repartition("key").sortWithinPartitions("key").mapInArrow(first_look, f"key long, name long, {', '.join(f'{c} long' for c in checks)}, crowd boolean")
+    fold = lambda k: reduce(Column.bitwiseXOR, [F.get("parity", F.lit(i)) for i in range(k, PARITY_WORDS, FOLDED_WORDS)])
+    folds = [f"f{k}" for k in range(FOLDED_WORDS * bounds)]
+    wide = nodes.select(name, "same", *[F.col("size").cast("long").alias("size"), *[fold(k).alias(c) for k, c in enumerate(folds)]][: len(folds) + bounds])
+    # Nothing of a crowd is compared, so its rows stay light.
+    light = [F.when(~F.col("crowd"), F.col(c)).otherwise(F.lit(0).cast("long")).alias(c) for c in [*checks, *["size"][:bounds], *folds]]
+    full = few.join(wide, "name").select("key", "same", "crowd", *light)
+
+    def second_look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in whole_groups(batches):
-            words = np.stack([t.column(f"c{k}").to_numpy().view(np.uint64) for k in range(CHECK_WORDS + FOLDED_WORDS * bounds)], axis=1)
-            sizes = t.column("size").to_numpy().astype(np.int64) if bounds else None
-            rows, lead = found(t.column("key").to_numpy(), words[:, :CHECK_WORDS], words[:, CHECK_WORDS:], sizes)
+            check, folded = stacked(t, checks), stacked(t, folds) if bounds else None
+            size = t.column("size").to_numpy() if bounds else None
+
+            def near(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+                met = np.bitwise_count(check[i] ^ check[j]).sum(1) <= limit
+                if bounds:
+                    i, j = i[met], j[met]
+                    apart = np.maximum(np.bitwise_count(folded[i] ^ folded[j]).sum(1), np.abs(size[i] - size[j]))
+                    met[met] = apart <= unshared(size[i] + size[j], similarity)
+                return met
+
+            rows, lead = near_in_group(t.column("key").to_numpy(), t.column("crowd").to_numpy(), near)
             same = t.column("same").combine_chunks()
             for k in range(0, len(rows), 1 << 14):
                 r, a = (pa.array(x[k : k + (1 << 14)]) for x in (rows, lead))
                 yield from pa.table({"key": t.column("key").take(r), "a": same.take(a), "n": same.take(r)}).combine_chunks().to_batches()
 
-    dealt = keys.repartition("key").sortWithinPartitions("key", "same")
-    return dealt.mapInArrow(run, "key long, a binary, n binary")
+    return full.repartition("key").sortWithinPartitions("key", "same").mapInArrow(second_look, "key long, a binary, n binary")
 
 
 def near_copies(rows: DataFrame, similarity: float, cut: Cut) -> DataFrame:
@@ -360,7 +392,7 @@ def near_copies(rows: DataFrame, similarity: float, cut: Cut) -> DataFrame:
     """
     prints = cut(near_copy_prints(rows))
     nodes = cut(prints.where("size is not null").groupBy("same").agg(F.first("size").alias("size"), F.first("parity").alias("parity")))
-    shared = cut(close_holders(prints, similarity, bounds=True))
+    shared = cut(close_holders(prints, similarity, True, nodes))
     pairs = cut(shared.where("a <> n").select("a", F.col("n").alias("b")).distinct())
     edges = similar(cut, plausible(pairs, nodes, similarity), rows, prints, similarity)
     joined = cut(nodes.join(connected_components(cut, edges).withColumnRenamed("v", "same"), "same", "left").withColumn("root", F.coalesce("root", "same")))

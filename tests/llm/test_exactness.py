@@ -738,6 +738,27 @@ def test_bounds_at_the_first_look_lose_no_similar_pair(spark):
     assert 4 * sum(map(len, held.values())) < simhash.close_holders(prints, 0.8).count()
 
 
+def test_rows_of_the_segments_are_narrow(spark):
+    """What is shuffled for the candidates: a row of a few words a segment, wherever it goes; the rest follows for near ones only."""
+    from kbmap.llm.common import Cut
+
+    rng, n = random.Random(18), 300
+    texts = [" ".join(rng.choice("abcdefghijklmnop") * rng.randrange(1, 9) for _ in range(80)) for _ in range(n - 5)]
+    texts += [t + " more" for t in texts[:5]]
+    prints = Cut(spark)(simhash.near_copy_prints(spark.createDataFrame([(1, i, t) for i, t in enumerate(texts)], "file long, row long, text string")))
+    number = {bytes(r.same): r.row for r in prints.collect()}
+    found = simhash.close_holders(prints, 0.8, bounds=True)
+    assert {number[bytes(r.n)] for r in found.collect()} == {*range(5), *range(n - 5, n)}
+
+    def shuffled(plan):
+        while plan.nodeName().endswith(("AdaptiveSparkPlan", "QueryStage")):
+            plan = plan.executedPlan() if plan.nodeName() == "AdaptiveSparkPlan" else plan.plan()
+        below = sum(shuffled(plan.children().apply(k)) for k in range(plan.children().size()))
+        return below + (plan.metrics().apply("dataSize").value() if plan.nodeName() == "Exchange" else 0)
+
+    assert n * simhash.SEGMENTS * 32 < shuffled(found._jdf.queryExecution().executedPlan()) < n * simhash.SEGMENTS * 60
+
+
 def test_embedding_links_of_each_width(spark):
     rng = np.random.default_rng(8)
     rows = []
